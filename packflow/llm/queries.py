@@ -15,6 +15,20 @@ def op1_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_digest(texts_to_tiff(read_table(spark, sf_dir, "documents")))
 
 
+def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from packflow.llm.simhash import near_duplicates
+
+    return near_duplicates(read_table(spark, sf_dir, "documents")).selectExpr("doc_id", "lower(lpad(hex(fingerprint), 16, '0')) as fingerprint", "component_id")
+
+
+def op10_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from packflow.llm.sentencepiece_bpe import piece_digest
+
+    return piece_digest(read_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = {k: f for k, f in globals().items() if k.startswith("op") and callable(f)}
     return dict(sorted(found.items(), key=lambda x: int(x[0][2:].split("_")[0])))

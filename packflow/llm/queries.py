@@ -15,6 +15,12 @@ def op1_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_digest(texts_to_tiff(read_table(spark, sf_dir, "documents")))
 
 
+def op7_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from packflow.llm.pii import pii_digest
+
+    return pii_digest(read_table(spark, sf_dir, "documents"))
+
+
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from packflow.llm.simhash import near_duplicates
 

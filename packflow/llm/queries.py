@@ -15,6 +15,12 @@ def op1_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_digest(texts_to_tiff(read_table(spark, sf_dir, "documents")))
 
 
+def op3_bm25(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from packflow.llm.bm25 import leaked_items
+
+    return leaked_items(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
+
+
 def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from packflow.llm.quality import quality_scores
 

@@ -140,3 +140,10 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     of_fp = member.join(least, "root").select("fp", "component")
     back = lambda c: F.when(F.col(c) == NULL_ID, None).otherwise(F.col(c))
     return docs.join(of_fp, "fp").select(back("key").alias(id_col), F.col("fp").alias("fingerprint"), back("component").alias("component_id"))
+
+
+def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, max_bits: int = 2) -> DataFrame:
+    """The row with the least id of each group, with all its columns; repeated rows stay once."""
+    kept = near_duplicates(df, id_col, text_col, words, max_bits).where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(id_or_last(id_col).alias("__key")).distinct()
+    rows = df.withColumn("__key", id_or_last(id_col)).join(kept, "__key", "left_semi")
+    return rows.dropDuplicates(["__key"]).select(*(F.col(f"`{c}`") for c in df.columns))

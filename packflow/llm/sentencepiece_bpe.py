@@ -17,6 +17,7 @@ from __future__ import annotations
 import functools
 import hashlib
 import re
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -80,13 +81,16 @@ class PieceModel:
                 self.of_char[ord(s)] = i
         self.vocab = n
         self.text_of = [b"" if special[i] and not sp.is_byte(i) else bytes((int(p[3:5], 16),)) if sp.is_byte(i) else p.replace(MARK, " ").encode() for i, p in enumerate(pieces)]
+        for name, strings in (("decimal", [f"{i} ".encode() for i in range(n)]), ("text", self.text_of)):
+            sizes = np.array([len(x) for x in strings], np.int64)
+            setattr(self, f"{name}_flat", np.frombuffer(b"".join(strings), np.uint8))
+            setattr(self, f"{name}_start", np.cumsum(sizes) - sizes)
+            setattr(self, f"{name}_size", sizes)
         self.forget()
 
     def forget(self) -> None:
         self.memory: dict[str, int] = {}
-        self.ids: list[np.ndarray] = []
-        self.decimal: list[str] = []
-        self.plain: list[str] = []
+        self.pool, self.start, self.size = np.empty(0, np.int32), np.empty(0, np.int64), np.empty(0, np.int64)
 
     def look_up(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(rank, piece) of each pair; NO_RANK where the two don't make a piece."""
@@ -100,24 +104,31 @@ class PieceModel:
         codes = np.frombuffer("".join(words).encode("utf-32-le"), np.uint32)
         sym, seg = self.of_char[codes], np.repeat(np.arange(len(words)), [len(w) for w in words])
         done_sym, done_seg = [], []
+        same = np.append(seg[1:] == seg[:-1], False)
+        rank, piece = self.look_up(sym, np.append(sym[1:], -1))
+        rank[~same] = NO_RANK
         while len(sym):
-            same = np.append(seg[1:] == seg[:-1], False)
-            rank, piece = self.look_up(sym, np.append(sym[1:], -1))
-            rank[~same] = NO_RANK
-            starts = np.flatnonzero(np.append(True, seg[1:] != seg[:-1]))
-            sizes = np.diff(np.append(starts, len(sym)))
-            best = np.repeat(np.minimum.reduceat(rank, starts), sizes)
+            fresh = np.append(True, seg[1:] != seg[:-1])
+            word = np.cumsum(fresh) - 1
+            best = np.minimum.reduceat(rank, np.flatnonzero(fresh))[word]
             still = best < NO_RANK
-            done_sym.append(sym[~still])
-            done_seg.append(seg[~still])
+            if not still.all():
+                done_sym.append(sym[~still])
+                done_seg.append(seg[~still])
             at = np.flatnonzero((rank == best) & still)
-            if len(at):
-                fresh = np.append(True, np.diff(at) != 1)  # of touching pairs, every other one from the left
+            if not len(at):
+                break
+            if (seg[at[1:]] == seg[at[:-1]]).any():  # of touching pairs, every other one from the left
+                fresh = np.append(True, np.diff(at) != 1)
                 at = at[(np.arange(len(at)) - np.flatnonzero(fresh)[np.cumsum(fresh) - 1]) % 2 == 0]
                 at = at[self.safe(at, sym, seg, piece[at], best[at])]
-                sym[at] = piece[at]
-                still[at + 1] = False
-            sym, seg = sym[still], seg[still]
+            sym[at] = piece[at]
+            still[at + 1] = False
+            sym, seg, rank, piece, now = sym[still], seg[still], rank[still], piece[still], np.cumsum(still)[at] - 1
+            now = np.concatenate((now, now[now > 0] - 1))  # only pairs with a merged symbol have changed
+            after = np.minimum(now + 1, len(sym) - 1)
+            rank[now], piece[now] = self.look_up(sym[now], sym[after])
+            rank[now[(seg[now] != seg[after]) | (now == after)]] = NO_RANK
         sym, seg = np.concatenate(done_sym), np.concatenate(done_seg)
         order = np.argsort(seg, kind="stable")
         return self.spell(sym[order], seg[order], len(words))
@@ -155,16 +166,11 @@ class PieceModel:
         return out[1:] if out[:1] == " " else out
 
     def learn(self, words: list[str]) -> None:
-        if len(self.memory) + len(words) > MAX_WORDS:
-            self.forget()
         ids, cuts = self.merge([MARK + w for w in words])
-        texts = list(map(str, ids.tolist()))
-        for k, word in enumerate(words):
-            a, b = int(cuts[k]), int(cuts[k + 1])
-            self.memory[word] = len(self.ids)
-            self.ids.append(ids[a:b].astype(np.int32))
-            self.decimal.append(" ".join(texts[a:b]))
-            self.plain.append(b"".join(self.text_of[i] for i in ids[a:b].tolist()).decode("utf-8", "replace"))
+        self.memory.update(zip(words, range(len(self.start), len(self.start) + len(words)), strict=True))
+        self.start = np.concatenate((self.start, cuts[:-1] + len(self.pool)))
+        self.size = np.concatenate((self.size, np.diff(cuts)))
+        self.pool = np.concatenate((self.pool, ids.astype(np.int32)))
 
     def words_of(self, text: str) -> list[str]:
         """Words without their first mark."""
@@ -174,18 +180,43 @@ class PieceModel:
             return text.split(" ")
         return [w[1:] for w in re.findall(f"{MARK}+[^{MARK}]*", MARK + text.replace(" ", MARK))]
 
-    def batch(self, texts: list[str]) -> list[list[int]]:
-        """Places in the memory of each text's words; unseen words are merged together first."""
+    def encode(self, texts: list[str], add_eos: bool = True) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, offsets) of texts; words not in memory are merged together first."""
         split = [self.words_of(t) for t in texts]
-        for _ in range(2):
-            unseen = set().union(*split).difference(self.memory) if split else ()
-            if not unseen:
-                break
-            if len(self.memory) + len(unseen) > MAX_WORDS:
-                self.forget()
-                unseen = set().union(*split)
-            self.learn(sorted(unseen))
-        return [list(map(self.memory.__getitem__, words)) for words in split]
+        unseen = set().union(*split).difference(self.memory)
+        if len(self.memory) + len(unseen) > MAX_WORDS:
+            self.forget()
+            unseen = set().union(*split)
+        if unseen:
+            self.learn(list(unseen))
+        n_words = np.fromiter(map(len, split), np.int64, len(split))
+        place = np.fromiter(map(self.memory.__getitem__, chain.from_iterable(split)), np.int64, n_words.sum())
+        size = self.size[place]
+        ids = self.pool[spread(self.start[place], size)]
+        cuts = np.append(0, np.cumsum(size))[np.append(0, np.cumsum(n_words))]
+        if add_eos:
+            ids = np.insert(ids, cuts[1:], self.eos)
+            cuts = cuts + np.arange(len(cuts))
+        return ids, cuts
+
+    def decimal_bytes(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids as decimal numbers, each with a blank after it, and where each begins."""
+        return self.spell_out(ids, self.decimal_flat, self.decimal_start, self.decimal_size)
+
+    def text_bytes(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids' texts, blanks for marks, control ids empty, and where each begins."""
+        return self.spell_out(ids, self.text_flat, self.text_start, self.text_size)
+
+    @staticmethod
+    def spell_out(ids, flat, start, size) -> tuple[np.ndarray, np.ndarray]:
+        sizes = size[ids]
+        return flat[spread(start[ids], sizes)], np.append(0, np.cumsum(sizes))
+
+
+def spread(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """start, start + 1, ... for each start, as many as its size."""
+    ends = np.cumsum(size)
+    return np.repeat(start - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0)
 
 
 @functools.cache
@@ -200,11 +231,8 @@ def encode_pieces(df: DataFrame, model_path: str, id_col: str = "doc_id", text_c
     def run(batches):
         m = model(model_path)
         for batch in sliced(batches, "__text", 4 << 20):
-            places = m.batch([t or "" for t in batch.column(1).to_pylist()])
-            end = [np.array([m.eos], np.int32)] if add_eos else []
-            rows = [np.concatenate([*(m.ids[p] for p in words), *end]) if words or end else np.empty(0, np.int32) for words in places]
-            cuts = np.append(0, np.cumsum([len(r) for r in rows])).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(cuts), pa.array(np.concatenate(rows)))], names=[id_col, "ids"])
+            ids, cuts = m.encode([t or "" for t in batch.column(1).to_pylist()], add_eos)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(ids))], names=[id_col, "ids"])
 
     return df.selectExpr(f"`{id_col}`", f"cast(`{text_col}` as string) as __text").mapInArrow(run, f"`{id_col}` {kind}, ids array<int>")
 
@@ -224,19 +252,18 @@ def decode_pieces(df: DataFrame, model_path: str, id_col: str = "doc_id", ids_co
 def piece_digest(df: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per text: the number of ids with the end id, and digests of the ids and of the decoded text."""
     kind = df.schema[id_col].dataType.simpleString()
-    sha = lambda s: hashlib.sha256(s.encode()).hexdigest()
+    sha = lambda b: hashlib.sha256(b).hexdigest()
 
     def run(batches):
         m = model(model_path)
-        end = str(m.eos)
         for batch in sliced(batches, "__text", 4 << 20):
-            counts, ids, texts = [], [], []
-            for words in m.batch([t or "" for t in batch.column(1).to_pylist()]):
-                decimal = " ".join([*map(m.decimal.__getitem__, words), end])
-                counts.append(decimal.count(" ") + 1)
-                ids.append(sha(decimal))
-                plain = "".join(map(m.plain.__getitem__, words))
-                texts.append(sha(plain[1:]))
+            ids, cuts = m.encode([t or "" for t in batch.column(1).to_pylist()])
+            counts = np.diff(cuts)
+            (numbers, at), (plain, begins) = m.decimal_bytes(ids), m.text_bytes(ids)
+            at, begins = at[cuts].tolist(), begins[cuts].tolist()
+            numbers, plain = numbers.data, plain.data
+            ids = [sha(numbers[a : b - 1]) for a, b in zip(at, at[1:], strict=False)]
+            texts = [sha(plain[a + (plain[a : a + 1] == b" ") : b]) for a, b in zip(begins, begins[1:], strict=False)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(counts, pa.int64()), pa.array(ids, pa.string()), pa.array(texts, pa.string())], names=[id_col, "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return df.selectExpr(f"`{id_col}`", f"cast(`{text_col}` as string) as __text").mapInArrow(run, f"`{id_col}` {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -15,6 +15,12 @@ def op1_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_digest(texts_to_tiff(read_table(spark, sf_dir, "documents")))
 
 
+def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from packflow.llm.warc import page_records
+
+    return page_records(read_table(spark, sf_dir, "pages"))
+
+
 def op3_bm25(spark: SparkSession, sf_dir: str) -> DataFrame:
     from packflow.llm.bm25 import leaked_items
 
@@ -33,6 +39,14 @@ def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity_scores(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
 
 
+def op6_records(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from packflow.llm.records import record_digest
+
+    return record_digest(read_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def op7_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     from packflow.llm.pii import pii_digest
 

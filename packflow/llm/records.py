@@ -74,7 +74,7 @@ class WordEncoder:
     may be cut there; unseen words go to the library many at a time.
     """
 
-    CUT = re.compile(r"(?<=\S) (?=\S)")
+    CUT, ODD = re.compile(r"(?<=\S) (?=\S)"), re.compile(r" \s|\s ")
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -93,9 +93,8 @@ class WordEncoder:
 
     def words_of(self, text: str) -> list[str]:
         """Keys: the first word as it is after a mark, later words without their blank."""
-        words = text.split(" ")
-        if not all(words) or any(w[0].isspace() or w[-1].isspace() for w in words):
-            words = self.CUT.split(text)
+        plain = text[0] != " " and text[-1] != " " and not self.ODD.search(text)
+        words = text.split(" ") if plain else self.CUT.split(text)
         words[0] = "\0first" + words[0]
         return words
 

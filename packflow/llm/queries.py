@@ -27,6 +27,12 @@ def op3_bm25(spark: SparkSession, sf_dir: str) -> DataFrame:
     return leaked_items(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
 
 
+def op4_suffix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from packflow.llm.suffix import remove_repeats
+
+    return remove_repeats(read_table(spark, sf_dir, "documents"))
+
+
 def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from packflow.llm.quality import quality_scores
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from packflow.plans import model_queries, packing_queries  # noqa: F401
+from packflow.plans import model_queries, packing_queries, relational_queries  # noqa: F401
 from packflow.plans.registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]

@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from packflow.llm.common import NULL_ID, id_or_last, sliced, text_bytes
 
 LENGTH, GRAM = 50, 20
-BATCH_BYTES, SLICE = 8 << 20, 2 << 20
+BATCH_BYTES, SLICE = 4 << 20, 1 << 20
 HASH_BITS = 48
 #: Bytes to which suffixes are sorted by multikey quicksort before blind tries take over.
 SHALLOW = 40
@@ -63,6 +63,13 @@ def gram_hashes(a: np.ndarray, k: int) -> np.ndarray:
     return h
 
 
+def spread_hash(h: np.ndarray) -> np.ndarray:
+    """48 bits that are even over their range; anchors' own hashes, being minima, crowd at its low end."""
+    h = h * np.uint64(0x94D049BB133111EB)
+    h ^= h >> np.uint64(32)
+    return (h * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - HASH_BITS)
+
+
 def window_anchors(h: np.ndarray, width: int) -> np.ndarray:
     """For each window of ``width`` hashes the place of its least one, the leftmost of equals."""
     value, place, have = h, np.arange(len(h), dtype=np.int32), 1
@@ -97,7 +104,7 @@ def anchors(buf: np.ndarray, ends: np.ndarray, length: int = LENGTH, gram: int =
         p = place[at]
         new = np.flatnonzero(np.append(True, (p[1:] != p[:-1]) | (np.diff(at) != 1)))
         stop = np.append(new[1:], len(at)) - 1
-        for got, x in zip(found, (p[new].astype(np.int64) + low, at[new] + low, at[stop] + low, h[p[new]] >> np.uint64(64 - HASH_BITS)), strict=True):
+        for got, x in zip(found, (p[new].astype(np.int64) + low, at[new] + low, at[stop] + low, spread_hash(h[p[new]])), strict=True):
             got.append(x)
     return tuple(np.concatenate(x) if x else np.empty(0, np.uint64 if k == 3 else np.int64) for k, x in enumerate(found))
 
@@ -229,30 +236,23 @@ def bucket_cuts(hashes: np.ndarray, buckets: int) -> np.ndarray:
     return np.searchsorted(hashes, np.array(bounds, np.uint64))
 
 
-def batch_rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(batch, blob): about BATCH_BYTES of documents a row; the number is the task's and a count."""
-
-    def run(batches):
-        from pyspark import TaskContext
-
-        number, ids, texts, held = TaskContext.get().partitionId() << 32, [], [], 0
+def gathered(batches):
+    """(number, Batch) of about BATCH_BYTES each; the number is the task's and a count."""
+    from pyspark import TaskContext
 
-        def row():
-            made = Batch(np.array(ids, np.int64), np.array([len(t) for t in texts], np.int64), b"".join(texts))
-            return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([made.pack()], pa.binary())], names=["batch", "blob"])
-
-        for part in sliced(batches, "text", BATCH_BYTES // 4):
-            new = text_bytes(part.column(1))
-            ids += part.column(0).to_pylist()
-            texts += new
-            held += sum(map(len, new))
-            if held >= BATCH_BYTES:
-                yield row()
-                number, ids, texts, held = number + 1, [], [], 0
-        if ids:
-            yield row()
-
-    return docs.select(id_or_last(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "batch long, blob binary")
+    number, ids, texts, held = TaskContext.get().partitionId() << 32, [], [], 0
+    made = lambda: Batch(np.array(ids, np.int64), np.array([len(t) for t in texts], np.int64), b"".join(texts))
+    for part in sliced(batches, "text", BATCH_BYTES // 4):
+        new = text_bytes(part.column(1))
+        ids += part.column(0).to_pylist()
+        texts += new
+        held += sum(map(len, new))
+        if held >= BATCH_BYTES:
+            full, ids, texts, held = made(), [], [], 0
+            yield number, full
+            number += 1
+    if ids:
+        yield number, made()
 
 
 def hash_rows(batch: int, b: Batch, buckets: int, length: int) -> pa.RecordBatch:
@@ -440,12 +440,15 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         raise ValueError("the length must leave 1 to 31 places for the anchor, and contexts of whole words")
     size = docs.agg(F.sum(F.octet_length(F.col(text_col).cast("string")))).first()[0] or 0
     buckets = max(64, min(1 << 14, size >> 21))
-    batches = batch_rows(docs, id_col, text_col)
+    narrow = docs.select(id_or_last(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+
+    def pack(rows):
+        for number, b in gathered(rows):
+            yield pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([b.pack()], pa.binary())], names=["batch", "blob"])
 
     def hashes(rows):
-        for r in rows:
-            for number, blob in zip(r.column(0).to_pylist(), r.column(1).to_pylist(), strict=True):
-                yield hash_rows(number, Batch.unpack(blob), buckets, length)
+        for number, b in gathered(rows):
+            yield hash_rows(number, b, buckets, length)
 
     def contexts(key, left, right):
         rows = [context_rows(key[0].as_py(), Batch.unpack(x), right, buckets, length) for x in left.column("blob").to_pylist()]
@@ -464,7 +467,8 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         columns[0] = [None if k == NULL_ID else k for k in columns[0]]
         return pa.table([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=names)
 
-    shared = batches.mapInArrow(hashes, "bucket long, batch long, blob binary").groupBy("bucket").applyInArrow(shared_hashes, "batch long, bucket long, bits binary")
+    batches = narrow.mapInArrow(pack, "batch long, blob binary")
+    shared = narrow.mapInArrow(hashes, "bucket long, batch long, blob binary").groupBy("bucket").applyInArrow(shared_hashes, "batch long, bucket long, bits binary")
     wanted = batches.groupBy("batch").cogroup(shared.groupBy("batch")).applyInArrow(contexts, "bucket long, batch long, blob binary")
     gone = wanted.groupBy("bucket").applyInArrow(lambda t: resolve(t, buckets, length), "batch long, blob binary")
     kind = "binary" if with_text else "string"

@@ -21,16 +21,18 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 
-from packflow.llm.common import NULL_ID, id_or_last, materialize, shared_dir, sliced, storage, write_atomically
-from packflow.llm.sentencepiece_bpe import spread
+from packflow.llm.common import NULL_ID, id_or_last, shared_dir, sliced, storage, write_atomically
+from packflow.llm.wordcache import WordCache, spread
 
 # Fixed values of the framing.
 MASK_DELTA = 0xA282EAD8
 HEAD, BODY, ENTRY = struct.Struct("<QI"), struct.Struct("<qBI"), np.dtype([("offset", "<u8"), ("length", "<u8"), ("doc", "<i8")])
-MAX_WORDS = 300_000
+#: Words that a Python worker remembers.
+MAX_WORDS = 400_000
 
 
 class RecordError(ValueError):
@@ -70,11 +72,14 @@ def unpack_body(body) -> tuple[int, np.ndarray]:
 class WordEncoder:
     """The library's ids, word by word, each distinct word encoded once.
 
-    A blank between two characters that are no white space always begins a new pre-token, so texts
-    may be cut there; unseen words go to the library many at a time.
+    A blank between two characters that are no white space always begins a new pre-token, so texts may be
+    cut there; unseen words go to the library many at a time. Keys are words without their blank, or
+    pairs that say how a piece is to be encoded. So is a line feed between two such characters a pre-token
+    of its own; it opens the word after it. Words that touch other white space are unsafe: their text is
+    cut by ``CUT``.
     """
 
-    CUT, ODD = re.compile(r"(?<=\S) (?=\S)"), re.compile(r" \s|\s ")
+    CUT = re.compile(r"(?<=\S) (?=\S)")
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -85,54 +90,42 @@ class WordEncoder:
         self.opens = np.zeros(self.vocab, bool)
         for token, i in self.library.get_vocab().items():
             self.opens[i] = token.startswith("Ġ")
-        self.forget()
-
-    def forget(self) -> None:
-        self.memory: dict[str, int] = {}
-        self.pool, self.start, self.size = np.empty(0, np.int32), np.empty(0, np.int64), np.empty(0, np.int64)
-
-    def words_of(self, text: str) -> list[str]:
-        """Keys: the first word as it is after a mark, later words without their blank."""
-        plain = text[0] != " " and text[-1] != " " and not self.ODD.search(text)
-        words = text.split(" ") if plain else self.CUT.split(text)
-        words[0] = "\0first" + words[0]
-        return words
-
-    def learn(self, words: list[str]) -> None:
-        plain, single = [], []
-        for w in words:
-            (single if w.startswith("\0first") or " " in w or not w or w[-1].isspace() else plain).append(w)
-        groups = [plain[k : k + 256] for k in range(0, len(plain), 256)]
-        found = self.library.encode_batch_fast(["".join([f" {w}" for w in g]) for g in groups], add_special_tokens=False)
-        flat = np.fromiter(chain.from_iterable(e.ids for e in found), np.int32)
+        self.cache = WordCache(self.learn, MAX_WORDS)
+
+    @staticmethod
+    def safe(words: pa.Array) -> pa.Array:
+        """Words that are not empty and touch no white space, but for one line feed that they may begin with."""
+        body = pc.replace_substring_regex(words, "^\n", "")
+        return pc.and_(pc.equal(pc.utf8_trim_whitespace(body), body), pc.greater(pc.binary_length(body), 0))
+
+    def pieces_of(self, text: str) -> list:
+        pieces = self.CUT.split(text.replace(" \n", "\n"))
+        return [("whole", pieces[0]), *(("later", p) for p in pieces[1:])]
+
+    def learn(self, keys: list) -> tuple[np.ndarray, np.ndarray]:
+        plain = [k for k in keys if isinstance(k, str) and k[0] != "\n"]
+        single = [k for k in keys if not isinstance(k, str) or k[0] == "\n"]
+        groups = [" " + " ".join(plain[k : k + 256]) for k in range(0, len(plain), 256)]
+        flat = self.flat(groups)[0]
         starts = np.flatnonzero(self.opens[flat])
         if len(starts) != len(plain):
             raise RecordError("words and pre-tokens do not line up")
-        sizes = [np.diff(np.append(starts, len(flat)))]
-        alone = self.library.encode_batch_fast([w[6:] if w.startswith("\0first") else f" {w}" for w in single], add_special_tokens=False)
-        lists = [e.ids for e in alone]
-        sizes.append(np.array([len(x) for x in lists], np.int64))
-        ids = np.concatenate((flat, np.fromiter(chain.from_iterable(lists), np.int32)))
-        size = np.concatenate(sizes)
-        self.memory.update(zip(plain + single, range(len(self.start), len(self.start) + len(words)), strict=True))
-        self.start = np.concatenate((self.start, len(self.pool) + np.cumsum(size) - size))
-        self.size = np.concatenate((self.size, size))
-        self.pool = np.concatenate((self.pool, ids))
-
-    def encode(self, texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        alone, sizes = self.flat([k if isinstance(k, str) else f" {k[1]}" if k[0] == "later" else k[1] for k in single])
+        order = np.empty(len(keys), np.int64)  # of the keys among plain and single ones
+        is_plain = np.fromiter((isinstance(k, str) and k[0] != "\n" for k in keys), bool, len(keys))
+        order[is_plain], order[~is_plain] = np.arange(len(plain)), len(plain) + np.arange(len(single))
+        size = np.concatenate((np.diff(np.append(starts, len(flat))), sizes))
+        start = np.cumsum(size) - size
+        return np.concatenate((flat, alone))[spread(start[order], size[order])], size[order]
+
+    def flat(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        lists = [e.ids for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+        return np.fromiter(chain.from_iterable(lists), np.int32), np.fromiter(map(len, lists), np.int64, len(lists))
+
+    def encode(self, texts: pa.Array, end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """(ids, offsets), each text followed by the end id."""
-        split = [self.words_of(t) if t else [] for t in texts]
-        unseen = set().union(*split).difference(self.memory)
-        if len(self.memory) + len(unseen) > MAX_WORDS:
-            self.forget()
-            unseen = set().union(*split)
-        if unseen:
-            self.learn(list(unseen))
-        n_words = np.fromiter(map(len, split), np.int64, len(split))
-        place = np.fromiter(map(self.memory.__getitem__, chain.from_iterable(split)), np.int64, n_words.sum())
-        size = self.size[place]
-        ids = self.pool[spread(self.start[place], size)]
-        cuts = np.append(0, np.cumsum(size))[np.append(0, np.cumsum(n_words))]
+        texts = pc.replace_substring(texts, "\n", " \n")  # a line feed begins a word of its own
+        ids, cuts = self.cache.encode(texts, self.safe, self.pieces_of, lambda w: ("first", w))
         return np.insert(ids, cuts[1:], end_id), cuts + np.arange(len(cuts))
 
 
@@ -144,8 +137,8 @@ def encoder(path: str) -> WordEncoder:
     return WordEncoder(path)
 
 
-def write_records(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(part, path, n_docs, n_tokens, bytes) of the files written, materialized."""
+def write_records(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int = 2, id_col: str = "doc_id", text_col: str = "text") -> list[Row]:
+    """Write the files; (part, path, n_docs, n_tokens, bytes) of each, in order. A row per file comes back."""
     narrow = docs.select(id_or_last(id_col).alias("key"), F.col(text_col).cast("string").alias("__text"))
     ordered = narrow.repartitionByRange("key").sortWithinPartitions("key", "__text")
 
@@ -160,8 +153,8 @@ def write_records(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int
         def frames():
             nonlocal tokens
             offset = 0
-            for batch in sliced(batches, "__text", 4 << 20):
-                ids, cuts = m.encode([t or "" for t in batch.column(1).to_pylist()], end_id)
+            for batch in sliced(batches, "__text", 3 << 20):
+                ids, cuts = m.encode(batch.column(1).fill_null(""), end_id)
                 tokens += len(ids)
                 for doc, a, b in zip(batch.column(0).to_pylist(), cuts.tolist(), cuts[1:].tolist(), strict=False):
                     body = pack_body(doc, ids[a:b], width)
@@ -174,7 +167,7 @@ def write_records(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int
         yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([path]), pa.array([len(entries)], pa.int64()), pa.array([tokens], pa.int64()), pa.array([size], pa.int64())], names=["part", "path", "n_docs", "n_tokens", "bytes"])
 
     files = ordered.mapInArrow(write, "part long, path string, n_docs long, n_tokens long, bytes long")
-    return materialize(files, "record-files").where("n_docs > 0")
+    return sorted((r for r in files.collect() if r.n_docs), key=lambda r: r.part)
 
 
 def read_index(path: str) -> np.ndarray:
@@ -211,13 +204,10 @@ def read_file(path: str, chunk: int = 16 << 20) -> Iterator[tuple[int, np.ndarra
             first = last
 
 
-def read_digest(files: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """(id, start, n_tokens, ids_crc32) read back from the files; start counts all ids before.
-
-    Only the manifest, a row per file, comes to the driver, for the running sum over files.
-    """
-    spark, base, plan = files.sparkSession, 0, []
-    for r in files.select("part", "path", "n_tokens").orderBy("part").collect():
+def read_digest(spark: SparkSession, files: list[Row], id_col: str = "doc_id") -> DataFrame:
+    """(id, start, n_tokens, ids_crc32) read back from the files; start counts all ids before."""
+    base, plan = 0, []
+    for r in files:
         plan.append((r.path, base))
         base += r.n_tokens
     schema = f"`{id_col}` long, start long, n_tokens long, ids_crc32 long"
@@ -237,5 +227,5 @@ def read_digest(files: DataFrame, id_col: str = "doc_id") -> DataFrame:
 
 
 def record_digest(docs: DataFrame, tokenizer_path: str, end_id: int = 2) -> DataFrame:
-    files = write_records(docs, tokenizer_path, shared_dir(docs.sparkSession, "records"), end_id)
-    return read_digest(files)
+    spark = docs.sparkSession
+    return read_digest(spark, write_records(docs, tokenizer_path, shared_dir(spark, "records"), end_id))

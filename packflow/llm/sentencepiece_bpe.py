@@ -17,18 +17,19 @@ from __future__ import annotations
 import functools
 import hashlib
 import re
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from packflow.llm.common import sliced
+from packflow.llm.wordcache import WordCache, spread
 
 MARK = "▁"
 NO_RANK = np.int64(2**62)
-#: Distinct words that a Python worker remembers between batches; the memory is emptied beyond it.
-MAX_WORDS = 200_000
+#: Words that a Python worker remembers.
+MAX_WORDS = 250_000
 
 
 class PieceModel:
@@ -86,11 +87,7 @@ class PieceModel:
             setattr(self, f"{name}_flat", np.frombuffer(b"".join(strings), np.uint8))
             setattr(self, f"{name}_start", np.cumsum(sizes) - sizes)
             setattr(self, f"{name}_size", sizes)
-        self.forget()
-
-    def forget(self) -> None:
-        self.memory: dict[str, int] = {}
-        self.pool, self.start, self.size = np.empty(0, np.int32), np.empty(0, np.int64), np.empty(0, np.int64)
+        self.cache = WordCache(self.learn, MAX_WORDS)
 
     def look_up(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(rank, piece) of each pair; NO_RANK where the two don't make a piece."""
@@ -165,35 +162,23 @@ class PieceModel:
         out = b"".join(self.text_of[i] for i in ids).decode("utf-8", "replace")
         return out[1:] if out[:1] == " " else out
 
-    def learn(self, words: list[str]) -> None:
-        ids, cuts = self.merge([MARK + w for w in words])
-        self.memory.update(zip(words, range(len(self.start), len(self.start) + len(words)), strict=True))
-        self.start = np.concatenate((self.start, cuts[:-1] + len(self.pool)))
-        self.size = np.concatenate((self.size, np.diff(cuts)))
-        self.pool = np.concatenate((self.pool, ids.astype(np.int32)))
-
-    def words_of(self, text: str) -> list[str]:
-        """Words without their first mark."""
-        if not text:
-            return []
-        if MARK not in text and "  " not in text and text[0] != " " and text[-1] != " ":
-            return text.split(" ")
-        return [w[1:] for w in re.findall(f"{MARK}+[^{MARK}]*", MARK + text.replace(" ", MARK))]
-
-    def encode(self, texts: list[str], add_eos: bool = True) -> tuple[np.ndarray, np.ndarray]:
-        """(ids, offsets) of texts; words not in memory are merged together first."""
-        split = [self.words_of(t) for t in texts]
-        unseen = set().union(*split).difference(self.memory)
-        if len(self.memory) + len(unseen) > MAX_WORDS:
-            self.forget()
-            unseen = set().union(*split)
-        if unseen:
-            self.learn(list(unseen))
-        n_words = np.fromiter(map(len, split), np.int64, len(split))
-        place = np.fromiter(map(self.memory.__getitem__, chain.from_iterable(split)), np.int64, n_words.sum())
-        size = self.size[place]
-        ids = self.pool[spread(self.start[place], size)]
-        cuts = np.append(0, np.cumsum(size))[np.append(0, np.cumsum(n_words))]
+    def learn(self, words: list) -> tuple[np.ndarray, np.ndarray]:
+        ids, cuts = self.merge([MARK + (w if isinstance(w, str) else w[1]) for w in words])
+        return ids, np.diff(cuts)
+
+    @staticmethod
+    def plain(words: pa.Array) -> pa.Array:
+        """Words that are bounded by single blanks and hold no mark merge as they are."""
+        return pc.and_not(pc.greater(pc.binary_length(words), 0), pc.match_substring(words, MARK))
+
+    @staticmethod
+    def cut(text: str) -> list:
+        """A text's words without their first mark, whatever blanks and marks it has."""
+        return [("cut", w[1:]) for w in re.findall(f"{MARK}+[^{MARK}]*", MARK + text.replace(" ", MARK))] if text else []
+
+    def encode(self, texts: pa.Array, add_eos: bool = True) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, offsets) of texts; words not in the cache are merged together first."""
+        ids, cuts = self.cache.encode(texts, self.plain, self.cut)
         if add_eos:
             ids = np.insert(ids, cuts[1:], self.eos)
             cuts = cuts + np.arange(len(cuts))
@@ -213,12 +198,6 @@ class PieceModel:
         return flat[spread(start[ids], sizes)], np.append(0, np.cumsum(sizes))
 
 
-def spread(start: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """start, start + 1, ... for each start, as many as its size."""
-    ends = np.cumsum(size)
-    return np.repeat(start - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0)
-
-
 @functools.cache
 def model(path: str) -> PieceModel:
     return PieceModel(path)
@@ -230,8 +209,8 @@ def encode_pieces(df: DataFrame, model_path: str, id_col: str = "doc_id", text_c
 
     def run(batches):
         m = model(model_path)
-        for batch in sliced(batches, "__text", 4 << 20):
-            ids, cuts = m.encode([t or "" for t in batch.column(1).to_pylist()], add_eos)
+        for batch in sliced(batches, "__text", 2 << 20):
+            ids, cuts = m.encode(batch.column(1).fill_null(""), add_eos)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(ids))], names=[id_col, "ids"])
 
     return df.selectExpr(f"`{id_col}`", f"cast(`{text_col}` as string) as __text").mapInArrow(run, f"`{id_col}` {kind}, ids array<int>")
@@ -256,8 +235,8 @@ def piece_digest(df: DataFrame, model_path: str, id_col: str = "doc_id", text_co
 
     def run(batches):
         m = model(model_path)
-        for batch in sliced(batches, "__text", 4 << 20):
-            ids, cuts = m.encode([t or "" for t in batch.column(1).to_pylist()])
+        for batch in sliced(batches, "__text", 2 << 20):
+            ids, cuts = m.encode(batch.column(1).fill_null(""))
             counts = np.diff(cuts)
             (numbers, at), (plain, begins) = m.decimal_bytes(ids), m.text_bytes(ids)
             at, begins = at[cuts].tolist(), begins[cuts].tolist()

@@ -56,7 +56,7 @@ class WordCache:
             if len(self.keys) + len(known) > self.limit and self.keys:
                 self.shrink()
                 return self.places(keys, safe)
-            ids, size = self.learn(known)
+            ids, size = self.learn(known) if known else (np.empty(0, np.int32), np.empty(0, np.int64))
             self.place.update(zip(known, range(len(self.keys), len(self.keys) + len(known)), strict=True))
             self.keys += known
             self.start = np.concatenate((self.start, len(self.pool) + np.cumsum(size) - size))

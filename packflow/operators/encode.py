@@ -13,6 +13,7 @@ from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -356,7 +357,6 @@ def runs(values: np.ndarray, base: int) -> Iterator[tuple[int, int]]:
 
 def encode_udf(profile: EncoderProfile):
     """A plain vectorised function for one-off use; it has no control over packs."""
-    import pandas as pd
     from pyspark.sql.types import ArrayType, FloatType
 
     @F.pandas_udf(ArrayType(FloatType()))

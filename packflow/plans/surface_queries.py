@@ -55,3 +55,26 @@ def encode_column(spark, sf_dir):
     d = spark.read.parquet(f"{sf_dir}/documents.parquet").where("lang = 'de'").select("doc_id", encode("text").alias("e"))
     norm = F.sqrt(F.aggregate("e", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")))
     return d.select("doc_id", F.size("e").cast("long").alias("dim"), F.round(norm, 4).alias("norm"))
+
+
+RUNS = sql.CORPORA["conversation"]
+PACKED = sql.totals(sql.policy(sql.arrival(sql.sizes("conversation")), PackPolicy(50, 250)))
+
+
+@query("compare_strategies", f"""select 'per_partition' as strategy, count(*)::bigint as calls, sum(n_texts)::bigint as texts, max(n_texts)::bigint as largest from ({sql.sizes('conversation')})
+    union all select 'packed', count(*)::bigint, sum(n)::bigint, max(n)::bigint from ({PACKED})
+    union all select 'fixed', ceil(count(*) / 50.0)::bigint, count(*)::bigint, 50 from ({RUNS})""")
+def compare_strategies(spark, sf_dir):
+    """Live runs of the strategies on one corpus: calls and largest calls from their ledgers."""
+    from packflow.operators.compare import compare_strategies as compare
+
+    corpus = load_corpus(spark, sf_dir, "conversation").coalesce(1)
+    runs = {"per_partition": {"kind": "per_partition"}, "packed": {"kind": "packed", "policy": PackPolicy(50, 250)}, "fixed": {"kind": "fixed", "size": 50}}
+    return compare(corpus, runs, ENCODER).select("strategy", "calls", "texts", "largest")
+
+
+@query("preview_lane", f"select part_key, count(*)::bigint as n_texts from ({RUNS}) where ('0x' || substr(md5(part_key), 1, 8))::bigint % 8 = 3 group by part_key")
+def preview_lane(spark, sf_dir):
+    from packflow.operators.compare import first_partitions
+
+    return first_partitions(load_corpus(spark, sf_dir, "conversation"), PackPolicy(50, 250), ENCODER, 8, 3).groupBy("part_key").agg(F.count(F.lit(1)).alias("n_texts"))

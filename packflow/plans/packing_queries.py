@@ -370,3 +370,29 @@ def memory_bound_holds(spark, sf_dir):
         one = one.select(F.lit(c).alias("ceiling"), F.lit(o).alias("oversize"), "*", F.lit(policy.bound(n_max)).cast("long").alias("bound"), (F.col("largest") <= policy.bound(n_max)).alias("holds"))
         out = one if out is None else out.unionByName(one)
     return out
+
+
+@query("synthetic_catalog", f"select part_key, n_texts, n_texts as last_seq from ({sql.synthetic(PARTS, 1.72)})")
+def synthetic_catalog(spark, sf_dir):
+    """The catalog's rows under log-normal keys: the main workload's corpus, counted."""
+    from packflow.sources.corpora import assign_synthetic, catalog_lines
+
+    lines = catalog_lines(spark, sf_dir)
+    table = synthetic_sizes(spark, PARTS, lines.count(), 1.72)
+    rows = assign_synthetic(lines, table, ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"])
+    return rows.groupBy("part_key").agg(F.count(F.lit(1)).alias("n_texts"), F.max("seq").alias("last_seq"))
+
+
+@query("synthetic_encode", f"""with lines as (select *, row_number() over (order by l_orderkey, l_linenumber, l_partkey, l_suppkey) - 1 as id from ({sql.CATALOG})), edges as (
+    select part_key, sum(n_texts) over (order by part_key) - n_texts as low, sum(n_texts) over (order by part_key) as high from ({sql.synthetic(PARTS, 1.72)}))
+    select part_key, count(*)::bigint as n_texts, sum(weighted)::bigint as weighted, sum(squares)::bigint as squares from (
+        {sql.checksums('select part_key, id as seq, text from lines join edges on id >= low and id < high', DIM)}) group by part_key""")
+def synthetic_encode(spark, sf_dir):
+    """The main workload end to end: log-normal partitions, packed, encoded, summed by partition."""
+    from packflow.sources.corpora import assign_synthetic, catalog_lines
+
+    lines = catalog_lines(spark, sf_dir)
+    n = lines.count()
+    corpus = assign_synthetic(lines, synthetic_sizes(spark, PARTS, n, 1.72), ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"])
+    made = encode.stream_pack_encode(corpus, PackPolicy.for_texts(n), ENCODER, lanes=8, what="checksums")
+    return made.groupBy("part_key").agg(F.count(F.lit(1)).alias("n_texts"), F.sum("weighted").alias("weighted"), F.sum("squares").alias("squares"))

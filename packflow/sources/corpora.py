@@ -126,10 +126,14 @@ def synthetic_sizes(spark: SparkSession, parts: int, texts: int, sigma: float, t
 
 def assign_synthetic(df: DataFrame, sizes: DataFrame, order: list[str]) -> DataFrame:
     """Give rows the synthetic keys: global row numbers, from counts per range partition and running
-    offsets, range-joined with the cumulated sizes."""
+    offsets, range-joined with the cumulated sizes. Both small tables, a row per task and a row per
+    partition, are metadata; ``order`` must order rows fully but for equal ones."""
+    from packflow.operators.resume import checkpointed
+
     spark = df.sparkSession
     ranged = df.repartitionByRange(max(2, spark.sparkContext.defaultParallelism), *order).sortWithinPartitions(*order)
     ranged = ranged.withColumn("__task", F.spark_partition_id()).withColumn("__at", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)))
+    ranged = checkpointed(ranged)  # read twice, and sampled bounds must not differ
     counts = ranged.groupBy("__task").agg(F.count(F.lit(1)).alias("n"))
     offsets = counts.select("__task", (F.sum("n").over(Window.orderBy("__task")) - F.col("n")).alias("base"))
     rows = ranged.join(F.broadcast(offsets), "__task").withColumn("__id", F.col("base") + F.col("__at"))

@@ -105,3 +105,34 @@ def test_policy_is_checked():
         with pytest.raises(ValueError, match="b_m"):
             PackPolicy(*bad)
     assert PackPolicy.for_texts(60_000) == PackPolicy(600, 3000)
+
+
+def test_lanes_are_balanced_and_whole(spark):
+    from packflow.operators.sizes import assign_lanes
+
+    sizes = spark.createDataFrame([(f"k{k}", n) for k, n in enumerate(lognormal_sizes(60, 6000, 1.5))], "part_key string, n_texts long")
+    loads = {}
+    for how in ("hash", "range", "lpt"):
+        rows = assign_lanes(sizes, 4, how).collect()
+        assert len(rows) == 60 and all(0 <= r.lane < 4 for r in rows)
+        loads[how] = max(sum(r.n_texts for r in rows if r.lane == lane) for lane in range(4))
+    assert loads["lpt"] <= loads["hash"] and loads["lpt"] <= max(2000, 1.1 * 6000 / 4)
+
+
+@pytest.mark.parametrize("how", ["key", "md5", "size_asc", "size_desc", "largest_last", "near_full_then_largest"])
+def test_arrival_orders_are_permutations(spark, how):
+    sizes = spark.createDataFrame([(None, 3), ("a", 50), ("b", 3), ("c", 9)], "part_key string, n_texts long")
+    rows = sorted(arrival_order(sizes, how, 5).collect(), key=lambda r: r.arrival)
+    assert [r.arrival for r in rows] == [1, 2, 3, 4]
+    if how == "largest_last":
+        assert rows[-1].n_texts == 50
+    if how == "near_full_then_largest":
+        assert [r.n_texts for r in rows][:2] == [3, 50]
+
+
+def test_jump_equals_scan_for_small_inputs(spark):
+    for values in ([1], [5, 5, 5], [1, 2, 3, 4, 5, 6, 7], [10, 1, 1, 1]):
+        sizes = arrival_order(spark.createDataFrame([(f"k{k}", n) for k, n in enumerate(values)], "part_key string, n_texts long"))
+        jump = {r.part_key: r.pack_id for r in packing.greedy_jump(sizes, 6).collect()}
+        scan = {r.part_key: r.pack_id for r in packing.greedy_pack(sizes.withColumn("n_bytes", sizes.n_texts), PackPolicy(6, 10**6, "after", "own")).collect()}
+        assert jump == scan

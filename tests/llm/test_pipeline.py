@@ -55,3 +55,29 @@ def test_oracles(spark, name):
     assert sorted(df.columns) == sorted(want.columns)
     digest = lambda rows: hashlib.sha256(str(sorted(tuple(map(str, r)) for r in rows)).encode()).hexdigest()
     assert digest(df.select(*want.columns).collect()) == digest(want.fetchall())
+
+
+def test_stages_on_odd_rows(spark):
+    """Nulls, empty and long texts, repeated rows, and columns whose names clash with the operators' own."""
+    from tests.llm.test_operators import odd_rows
+
+    schema = "doc_id long, text string, score double, batch long"
+    docs = spark.createDataFrame(odd_rows(), schema).repartition(3)
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, docs, DIR)
+        assert out.schema.names == docs.schema.names
+        rows = out.collect()
+        assert len(rows) <= len(odd_rows())
+    assert corpus_pipeline.STAGES[-1][1](spark, docs, DIR).count() == len(odd_rows())
+
+
+def test_long_runs_of_one_text(spark):
+    """A third of all rows is one text; every query still gives a row each."""
+    from packflow.llm import simhash, suffix
+
+    rows = [(k, "the same long text that stands in very many documents of this table, again and again") for k in range(400)] + [(1000 + k, f"other {k} text {k * 7919 % 997} here") for k in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
+    groups = {r.component_id for r in simhash.near_duplicates(docs).where("doc_id < 400").collect()}
+    assert groups == {0}
+    got = suffix.remove_repeats(docs).where("doc_id < 400").collect()
+    assert sum(r.n_removed == r.n_bytes for r in got) == 399

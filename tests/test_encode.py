@@ -138,3 +138,13 @@ def test_memory_guard():
     u.take(pa.array([1, 2]), pa.array(["x", "y"]))
     with pytest.raises(MemoryError):
         emitter.pack(0, 0, [u], "final")
+
+
+def test_scans_are_pruned_and_filters_pushed(spark):
+    from packflow.plans.queries import QUERIES
+
+    plan = lambda name: QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    assert "n_chars" not in plan("stream_pack_docs") and "ReadSchema: struct<doc_id:bigint,text:string,lang:string,source:string>" in plan("stream_pack_docs")
+    assert "In(lang, [de,fr])" in plan("filter_project") or "In(lang, [fr,de])" in plan("filter_project")
+    sizes_plan = plan("partition_sizes")
+    assert "Window" not in sizes_plan and "partial_count" in sizes_plan

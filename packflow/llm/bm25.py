@@ -5,8 +5,15 @@ against the index. Impacts are divided by the item's score against itself, so on
 of any length. A passage is passed over before the search if no item's rarer words in it, with all that
 its most widespread words could add, reach the threshold; that bound, as the block bounds in the
 search, never loses a hit. Hits are then
-verified: the shares of the item's five-word shingles that the passage holds, for its question (all
-but the last sentence) and its answer (the last sentence) apart, must both reach ``OVERLAP``.
+verified; one of three is enough:
+
+* the shares of the item's five-word shingles that the passage holds, for its question (all but the
+  last sentence) and its answer (the last sentence) apart, both reach ``OVERLAP``;
+* some stretch of the passage is the item but for inserted, dropped or replaced words, at most
+  ``1 - OVERLAP`` of the item's own number, so that a few edited words sink no short part;
+* the question's share alone reaches ``OVERLAP`` and it has ``QUESTION`` words or more: a question
+  without its answer is a leak. It is indexed as a piece of its own. A shorter question, or one with
+  edited words, needs its answer, as it may well be another question.
 
 Items longer than ``PIECE`` words are indexed in pieces. The items of one index are broadcast; their
 size is checked, and a larger test set is searched in blocks of items of at most ``BLOCK_BYTES``.
@@ -30,6 +37,8 @@ from packflow.llm.common import sliced
 K1, B = 1.2, 0.75
 PIECE, SHINGLE, POSTINGS_PER_BLOCK = 64, 5, 8
 THRESHOLD, OVERLAP, SLACK = 0.6, 0.8, 0.3
+#: A question of so many words is a leak without its answer.
+QUESTION = 8
 BLOCK_BYTES = 16 << 20
 
 words_of = re.compile(r"\w+").findall
@@ -46,13 +55,36 @@ def question_and_answer(text: str) -> tuple[str, str]:
     return (text[: ends[-1]], text[ends[-1] :]) if ends else (text, "")
 
 
+def edits(item: list[int], passage: list[int]) -> int:
+    """Least number of inserted, dropped or replaced words between the item and any stretch of the
+    passage; a column of the distance table is kept as bits of its differences."""
+    places: dict[int, int] = defaultdict(int)
+    for i, w in enumerate(item):
+        places[w] |= 1 << i
+    full, top = (1 << len(item)) - 1, len(item) - 1
+    up, down, now = full, 0, len(item)
+    least = now
+    for w in passage:
+        same = places.get(w, 0)
+        across = ((((same & up) + up) ^ up) | same) & full
+        rise, fall = down | (~(across | up) & full), up & across
+        now += (rise >> top & 1) - (fall >> top & 1)
+        least = min(least, now)
+        rise, fall = rise << 1 & full, fall << 1 & full
+        same |= down
+        up, down = fall | (~(same | rise) & full), rise & same
+    return least
+
+
 class Index:
     """Postings by term with the maxima of terms and of blocks of postings."""
 
     def __init__(self, items: list[tuple[int, str]]):
         self.item: list[int] = []
         self.parts: list[tuple[set, set]] = []
-        bags = []
+        self.words: list[list[str]] = []
+        self.alone: list[bool] = []
+        bags, questions = [], []
         for key, text in items:
             lowered = (text or "").lower()
             words = words_of(lowered)
@@ -64,18 +96,28 @@ class Index:
                 q, a = question_and_answer(lowered) if whole else (" ".join(piece), "")
                 self.item.append(key)
                 self.parts.append((shingles(words_of(q)), shingles(words_of(a))))
+                self.words.append(piece)
                 bags.append(Counter(piece))
+                if words_of(a) and len(words_of(q)) >= QUESTION:
+                    questions.append((key, self.parts[-1], words_of(q)))
         self.longest = max((sum(b.values()) for b in bags), default=1)
         mean = sum(sum(b.values()) for b in bags) / max(1, len(bags))
-        n_with = Counter(t for b in bags for t in b)
+        n_with, n_bags = Counter(t for b in bags for t in b), len(bags)
+        self.alone = [False] * n_bags + [True] * len(questions)
+        for key, parts, words in questions:
+            self.item.append(key)
+            self.parts.append(parts)
+            self.words.append(words)
+            bags.append(Counter(words))
         postings = defaultdict(list)
         for i, bag in enumerate(bags):
             size = sum(bag.values())
-            impact = {t: np.log(1 + (len(bags) - n_with[t] + 0.5) / (n_with[t] + 0.5)) * f * (K1 + 1) / (f + K1 * (1 - B + B * size / mean)) for t, f in bag.items()}
+            impact = {t: np.log(1 + (n_bags - n_with[t] + 0.5) / (n_with[t] + 0.5)) * f * (K1 + 1) / (f + K1 * (1 - B + B * size / mean)) for t, f in bag.items()}
             own = sum(impact.values())
             for t, w in impact.items():
                 postings[t].append((i, float(w / own)))
         self.term = {t: k for k, t in enumerate(postings)}
+        self.terms = [[self.term[w] for w in words] for words in self.words]
         self.docs = [[i for i, _ in p] for p in postings.values()]
         self.impacts = [[w for _, w in p] for p in postings.values()]
         cut = POSTINGS_PER_BLOCK
@@ -200,7 +242,14 @@ class Index:
                         passage = " " + " ".join(words[start : start + 2 * step]) + " "
                     got = len(part & held) + sum(s not in held and " " + " ".join(s) + " " in passage for s in short)
                     shares.append(got / len(part) if part else 1.0)
-                if min(shares) >= overlap and found.get(self.item[piece], (0.0,))[0] < score:
+                if found.get(self.item[piece], (0.0,))[0] >= score:
+                    continue
+                if self.alone[piece]:
+                    held_enough = shares[0] >= overlap
+                else:
+                    allowed = int((1 - overlap) * len(self.terms[piece]) + 1e-9)
+                    held_enough = min(shares) >= overlap or (allowed > 0 and edits(self.terms[piece], ids[start : start + 2 * step].tolist()) <= allowed)
+                if held_enough:
                     found[self.item[piece]] = (score, *shares)
         return found
 

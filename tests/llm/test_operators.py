@@ -227,6 +227,35 @@ def test_items_in_blocks_give_the_same(spark, monkeypatch):
     assert {(r.doc_id, r.item_id) for r in bm25.leaked_items(df, items).collect()} == whole == {(k, k) for k, _ in ITEMS}
 
 
+def test_one_edited_word_hides_no_item():
+    """In the question or the answer, replaced, dropped or with a word put in before it."""
+    index = bm25.Index([*ITEMS, (7, "A river of the north has its long and winding course through seven lands. Name it: Onega.")])
+    for key, text in [*ITEMS, (7, "A river of the north has its long and winding course through seven lands. Name it: Onega.")]:
+        words = text.split()
+        for k in range(len(words)):
+            for put in (["other"], [], ["other", words[k]]):
+                assert key in index.leaks("before it " + " ".join(words[:k] + put + words[k + 1 :]) + " and after it"), (key, k, put)
+
+
+def test_a_whole_question_without_its_answer_is_a_leak():
+    question = "A river of the north has its long and winding course through seven lands."
+    index = bm25.Index([(7, question + " Name it: Onega."), (8, "Who sings here? The old bird in the tall green tree by the lake sings.")])
+    noise = "lorem ipsum dolor sit amet consectetur adipiscing elit " * 9
+    assert set(index.leaks(noise + question + " " + noise)) == {7}
+    assert not index.leaks(noise + question.replace("north", "south").replace("long", "short") + " " + noise)
+    assert not index.leaks(noise + "Who sings here? " + noise)  # too few words to stand for an item
+
+
+@given(st.lists(st.integers(0, 3), min_size=1, max_size=12), st.lists(st.integers(0, 3), max_size=25))
+def test_edits_equal_the_table_of_distances(item, passage):
+    row = [0] * (len(passage) + 1)
+    for i, x in enumerate(item, 1):
+        last, row = row, [i]
+        for j, y in enumerate(passage, 1):
+            row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+    assert bm25.edits(item, passage) == min(row)
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.integers(0, 10**6), st.floats(0.01, 0.9))
 def test_wand_equals_exhaustive_search(seed, threshold):

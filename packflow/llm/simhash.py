@@ -14,6 +14,8 @@ any other; repeated rows each get a row.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -142,6 +144,26 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     return docs.join(of_fp, "fp").select(back("key").alias(id_col), F.col("fp").alias("fingerprint"), back("component").alias("component_id"))
 
 
+def keep_least(df: DataFrame, roots_of: Callable[[DataFrame], DataFrame], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The row with the least id, nulls last, of each group of texts, with all its columns.
+
+    ``roots_of`` gives (node, root) for the texts (node, text) that are in a group with others. Rows are
+    told apart by id and text, so rows of one id, or of none, with unlike texts all stay.
+    """
+    from packflow.llm.common import shared_dir
+
+    shared_dir(df.sparkSession, "probe")  # sets a checkpoint folder where there is none
+    text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
+    digest = F.md5(text.cast("binary"))
+    rows = df.select(id_or_last(id_col).alias("key"), digest.alias("node"), text.alias("text"))
+    least = rows.groupBy("node").agg(F.min("key").alias("key"))
+    texts = materialize(rows.select("node", "text").dropDuplicates(["node"]), "texts")
+    member = least.join(roots_of(texts), "node", "left").select("node", "key", F.coalesce("root", "node").alias("root"))
+    kept = member.groupBy("root").agg(F.min(F.struct("key", "node")).alias("one")).select(F.col("one.key").alias("__key"), F.col("one.node").alias("__node"))
+    named = df.withColumn("__key", id_or_last(id_col)).withColumn("__node", digest)
+    return named.join(kept, ["__key", "__node"], "left_semi").dropDuplicates(["__key", "__node"]).select(*(F.col(f"`{c}`") for c in df.columns))
+
+
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, max_bits: int = 2) -> DataFrame:
     """The row with the least id of each group, with all its columns; repeated rows stay once."""
     kept = near_duplicates(df, id_col, text_col, words, max_bits).where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(id_or_last(id_col).alias("__key")).distinct()

@@ -44,14 +44,15 @@ def fingerprint(text: bytes, words: int = 3, seed: int = 42) -> int:
     return int(np.packbits(2 * total > len(h), bitorder="little").view(np.int64)[0])
 
 
-def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3) -> DataFrame:
-    """(key, fp): the id, null as NULL_ID, and the fingerprint of each whole text."""
+def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, kind: str = "long") -> DataFrame:
+    """(key, fp): the id, null as NULL_ID, or a name of kind string, and the fingerprint of each whole text."""
+    key = id_or_last(id_col) if kind == "long" else F.col(id_col)
 
     def run(batches):
         for batch in sliced(batches, "__text", 8 << 20):
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([fingerprint(t, words) for t in text_bytes(batch.column(1))], pa.int64())], names=["key", "fp"])
 
-    return df.select(id_or_last(id_col).alias("key"), F.col(text_col).cast("string").alias("__text")).mapInArrow(run, "key long, fp long")
+    return df.select(key.alias("key"), F.col(text_col).cast("string").alias("__text")).mapInArrow(run, f"key {kind}, fp long")
 
 
 def variants(nodes: DataFrame) -> DataFrame:
@@ -165,7 +166,11 @@ def keep_least(df: DataFrame, roots_of: Callable[[DataFrame], DataFrame], id_col
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, max_bits: int = 2) -> DataFrame:
-    """The row with the least id of each group, with all its columns; repeated rows stay once."""
-    kept = near_duplicates(df, id_col, text_col, words, max_bits).where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(id_or_last(id_col).alias("__key")).distinct()
-    rows = df.withColumn("__key", id_or_last(id_col)).join(kept, "__key", "left_semi")
-    return rows.dropDuplicates(["__key"]).select(*(F.col(f"`{c}`") for c in df.columns))
+    """The row with the least id of each group, nulls last, with all its columns."""
+
+    def roots_of(texts: DataFrame) -> DataFrame:
+        named = materialize(fingerprints(texts, "node", "text", words, "string"), "fingerprints")
+        roots = components(links(named.select("fp").distinct(), max_bits))
+        return named.join(roots, named.fp == roots.node, "left").select(F.col("key").alias("node"), F.coalesce("root", "fp").cast("string").alias("root"))
+
+    return keep_least(df, roots_of, id_col, text_col)

@@ -3,8 +3,10 @@
 import itertools
 import random
 
+import pytest
+
 import corpus_pipeline
-from packflow.llm import neardup
+from packflow.llm import neardup, simhash
 
 STAGE = dict(corpus_pipeline.STAGES)["simhash_dedup"]
 
@@ -49,3 +51,11 @@ def test_stage_keeps_one_of_each_group(spark):
         groups.setdefault(top(i), []).append(key)
     kept = STAGE(spark, spark.createDataFrame(rows, "doc_id long, text string").repartition(4), "").collect()
     assert sorted(r.doc_id for r in kept) == sorted(map(min, groups.values()))
+
+
+@pytest.mark.parametrize("stage", [STAGE, lambda spark, docs, _: simhash.keep_one(docs)])
+def test_rows_without_an_id_or_of_one_id_are_not_lost(spark, stage):
+    texts = [" ".join(f"{w}{k}" for w in "the quick brown fox jumps over a lazy dog".split()) for k in range(4)]
+    rows = [(None, texts[0]), (None, texts[1]), (None, texts[1]), (5, texts[2]), (5, texts[3]), (6, texts[3]), (None, texts[2])]
+    kept = stage(spark, spark.createDataFrame(rows, "doc_id long, text string").repartition(3), "").collect()
+    assert sorted(((r.doc_id, r.text) for r in kept), key=str) == sorted([(None, texts[0]), (None, texts[1]), (5, texts[2]), (5, texts[3])], key=str)

@@ -71,6 +71,13 @@ def ipc_dominated_partitions(spark, sf_dir):
     return all_sizes(spark, sf_dir, GRID).where((F.col("n_texts") < star) & (F.col("n_texts") > 20)).select("corpus", "part_key", "n_texts", F.lit(round(star, 6)).alias("n_star"))
 
 
+@query("ipc_dominated_partitions_all", f"select corpus, part_key, n_texts, round({STAR}, 6) as n_star from ({all_sizes_sql()}), {PROFILE_SQL} where profile = 'small' and n_texts < {STAR}")
+def ipc_dominated_partitions_all(spark, sf_dir):
+    """Every partition below the break-even size, however small, of all twelve corpora."""
+    star = models.break_even_size(SMALL.c_ipc, SMALL.c_enc_ms, SMALL.workers)
+    return all_sizes(spark, sf_dir).where(F.col("n_texts") < star).select("corpus", "part_key", "n_texts", F.lit(round(star, 6)).alias("n_star"))
+
+
 STARS = (5, 50, 500, 2336)
 
 

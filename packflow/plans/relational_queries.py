@@ -191,6 +191,29 @@ def vector_dot(spark, sf_dir):
     return e.crossJoin(one).select("vec_id", F.round(dot, 5).alias("dot"))
 
 
+#: Query vectors of one broadcast block.
+QUERY_BLOCK = 1024
+
+
+def dot_products(e, queries, block: int = QUERY_BLOCK):
+    """(query_id, vec_id, dot) of every vector with every query vector, in broadcast blocks of ``block`` queries."""
+    dot = F.aggregate(F.zip_with("embedding", "q", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda a, x: a + x)
+    queries = queries.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("q"))
+    blocks, out = max(1, -(-queries.count() // block)), None
+    for b in range(blocks):
+        part = queries.where(F.pmod(F.xxhash64("query_id"), F.lit(blocks)) == b)
+        one = e.crossJoin(F.broadcast(part)).select("query_id", "vec_id", F.round(dot, 5).alias("dot"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query("vector_dot_all", "select b.vec_id as query_id, a.vec_id, round(list_dot_product(a.embedding::double[], b.embedding::double[]), 5) as dot from embeddings a, embeddings b where b.vec_id % 100 = 0")
+def vector_dot_all(spark, sf_dir):
+    """Every vector against every query vector, those whose id is divisible by 100."""
+    e = load_table(spark, sf_dir, "embeddings")
+    return dot_products(e.select("vec_id", "embedding"), e.where("vec_id % 100 = 0"))
+
+
 @query("label_centroids", "select label, i::bigint as i, round(avg(x), 5) as x, count(*)::bigint as n from (select label, unnest(embedding)::double as x, unnest(range(0, len(embedding))) as i from embeddings) group by label, i")
 def label_centroids(spark, sf_dir):
     e = load_table(spark, sf_dir, "embeddings").select("label", F.posexplode("embedding").alias("i", "x"))

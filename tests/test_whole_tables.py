@@ -1,10 +1,17 @@
 """Queries over whole tables: no row is left out by a filter that is no part of the operator."""
 
 from packflow.plans.queries import QUERIES
+from packflow.plans.relational_queries import dot_products
 
 DIR = "/root/testdata/sf0.001"
 
 
+def test_blocks_of_queries_give_all_products(spark):
+    e = spark.createDataFrame([(k, [float(k), 1.0]) for k in range(30)], "vec_id long, embedding array<float>")
+    got = {(r.query_id, r.vec_id): r.dot for r in dot_products(e, e.where("vec_id % 3 = 0"), block=4).collect()}
+    assert got == {(q, v): q * v + 1.0 for q in range(0, 30, 3) for v in range(30)}
+
+
 def test_small_partitions_of_all_corpora_are_listed(spark):
     rows = QUERIES["ipc_dominated_partitions_all"](spark, DIR).collect()
     assert len({r.corpus for r in rows}) == 12 and min(r.n_texts for r in rows) == 1

@@ -165,6 +165,29 @@ def offset_to_partition(spark, sf_dir):
     return rows.join(edges, (F.col("row_id") >= F.col("low")) & (F.col("row_id") < F.col("high"))).select("row_id", "part_key", (F.col("row_id") - F.col("low")).alias("inside"))
 
 
+@query("offset_to_partition_all", f"""with c as (select part_key, sum(n_texts) over (order by part_key) - n_texts as low, sum(n_texts) over (order by part_key) as high from ({BRANDS}))
+    select unnest(range(low::bigint, high::bigint)) as row_id, part_key, unnest(range(0, (high - low)::bigint)) as inside from c""")
+def offset_to_partition_all(spark, sf_dir):
+    """Every row number up to the total of sizes to its partition."""
+    return locate(spark, size_table(spark, sf_dir, "brand_nation"))
+
+
+#: Row numbers of one bucket of ``locate``.
+ROW_BUCKET = 1 << 16
+
+
+def locate(spark, sizes, bucket: int = ROW_BUCKET):
+    """(row_id, part_key, inside): a range join within equal buckets of row numbers; a partition is in
+    each bucket that it reaches into."""
+    w = Window.orderBy("part_key")
+    edges = sizes.select("part_key", F.sum("n_texts").over(w).alias("high"), (F.sum("n_texts").over(w) - F.col("n_texts")).alias("low")).where("low < high")
+    cut = edges.withColumn("bucket", F.explode(F.sequence(F.floor(F.col("low") / bucket), F.floor((F.col("high") - 1) / bucket))))
+    total = sizes.agg(F.sum("n_texts")).first()[0] or 0
+    rows = spark.range(total).select(F.col("id").alias("row_id"), F.floor(F.col("id") / bucket).alias("bucket"))
+    both = rows.join(cut, (rows.bucket == cut.bucket) & (F.col("row_id") >= F.col("low")) & (F.col("row_id") < F.col("high")))
+    return both.select("row_id", "part_key", (F.col("row_id") - F.col("low")).alias("inside"))
+
+
 @query("asof_ledger", """select event_id, (select max(f.event_id) from events f where f.event_type = 'purchase' and f.user_id = e.user_id and f.ts <= e.ts) as last_purchase from events e where event_type <> 'purchase'""")
 def asof_ledger(spark, sf_dir):
     """Each event with its user's latest earlier purchase: an as-of join as one window over the union."""

@@ -1,7 +1,7 @@
 """Queries over whole tables: no row is left out by a filter that is no part of the operator."""
 
 from packflow.plans.queries import QUERIES
-from packflow.plans.relational_queries import dot_products
+from packflow.plans.relational_queries import dot_products, locate
 
 DIR = "/root/testdata/sf0.001"
 
@@ -12,6 +12,12 @@ def test_blocks_of_queries_give_all_products(spark):
     assert got == {(q, v): q * v + 1.0 for q in range(0, 30, 3) for v in range(30)}
 
 
+def test_every_row_number_finds_its_partition(spark):
+    sizes = [("a", 3), ("b", 0), ("c", 1), ("d", 25), ("e", 7)]
+    got = [tuple(r) for r in locate(spark, spark.createDataFrame(sizes, "part_key string, n_texts long"), bucket=4).orderBy("row_id").collect()]
+    assert got == [(at, key, inside) for at, (key, inside) in enumerate((k, i) for k, n in sizes for i in range(n))]
+
+
 def test_small_partitions_of_all_corpora_are_listed(spark):
     rows = QUERIES["ipc_dominated_partitions_all"](spark, DIR).collect()
     assert len({r.corpus for r in rows}) == 12 and min(r.n_texts for r in rows) == 1

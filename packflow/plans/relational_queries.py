@@ -63,6 +63,13 @@ def token_counts(spark, sf_dir):
     return d.select("doc_id", F.size(F.split("text", " ")).cast("long").alias("tokens"), F.size(F.array_distinct(F.split(F.lower(F.translate("text", ".,!?", "    ")), " "))).cast("long").alias("distinct_tokens"))
 
 
+@query("token_counts_all", "select doc_id, len(string_split(text, ' '))::bigint as tokens, list_unique(string_split(lower(translate(text, '.,!?', '    ')), ' '))::bigint as distinct_tokens from documents")
+def token_counts_all(spark, sf_dir):
+    """``token_counts`` over the documents of all languages."""
+    d = load_table(spark, sf_dir, "documents")
+    return d.select("doc_id", F.size(F.split("text", " ")).cast("long").alias("tokens"), F.size(F.array_distinct(F.split(F.lower(F.translate("text", ".,!?", "    ")), " "))).cast("long").alias("distinct_tokens"))
+
+
 @query("user_day_sizes", "select user_id, strftime(ts, '%Y-%m-%d') as day, count(*)::bigint as n_texts, date_sub('second', min(ts), max(ts))::bigint as span_s from events group by 1, 2")
 def user_day_sizes(spark, sf_dir):
     e = load_table(spark, sf_dir, "events").select("user_id", "ts", F.to_date("ts").cast("string").alias("day"))

@@ -1,11 +1,20 @@
 """Queries over whole tables: no row is left out by a filter that is no part of the operator."""
 
+import duckdb
+import pytest
+
 from packflow.plans.queries import QUERIES
 from packflow.plans.relational_queries import dot_products, locate
 
 DIR = "/root/testdata/sf0.001"
 
 
+@pytest.mark.parametrize("name", ["token_counts_all", "encode_column_all"])
+def test_every_document_is_there(spark, name):
+    ids = [r.doc_id for r in QUERIES[name](spark, DIR).select("doc_id").collect()]
+    assert sorted(ids) == [k for (k,) in duckdb.sql(f"select doc_id from '{DIR}/documents.parquet' order by 1").fetchall()]
+
+
 def test_blocks_of_queries_give_all_products(spark):
     e = spark.createDataFrame([(k, [float(k), 1.0]) for k in range(30)], "vec_id long, embedding array<float>")
     got = {(r.query_id, r.vec_id): r.dot for r in dot_products(e, e.where("vec_id % 3 = 0"), block=4).collect()}

@@ -8,6 +8,7 @@ and document id (i64) per record, so that readers may take records in any order.
 
 Documents are range-partitioned and sorted by id (null ids last), one data file per partition, so file
 order is id order. Null texts are empty: their only id is the end id. Repeated rows each get a record.
+A text that spells an added token of the vocabulary gets that token's id, as the library has it.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ import functools
 import re
 import struct
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import chain
 
 import numpy as np
@@ -26,13 +27,15 @@ from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 
 from packflow.llm.common import NULL_ID, id_or_last, shared_dir, sliced, storage, write_atomically
-from packflow.llm.wordcache import WordCache, spread
+from packflow.llm.wordcache import spread
 
 # Fixed values of the framing.
 MASK_DELTA = 0xA282EAD8
 HEAD, BODY, ENTRY = struct.Struct("<QI"), struct.Struct("<qBI"), np.dtype([("offset", "<u8"), ("length", "<u8"), ("doc", "<i8")])
-#: Words that a Python worker remembers.
-MAX_WORDS = 400_000
+#: Pieces of words that a Python worker remembers.
+MAX_PIECES = 500_000
+#: Bytes of text that are encoded together: the more, the fewer distinct words to look up in all.
+ENCODE_BYTES = 8 << 20
 
 
 class RecordError(ValueError):
@@ -69,28 +72,76 @@ def unpack_body(body) -> tuple[int, np.ndarray]:
     return doc, np.frombuffer(body, f"<u{width}", n, BODY.size)
 
 
+class PieceMemory:
+    """Pieces of text and their ids, looked up many at a time. ``learn(pieces)`` gives ids and sizes of unseen
+    ones. When ``limit`` pieces are held, those met in one batch only are forgotten, and of the rest at most
+    half the limit stays."""
+
+    def __init__(self, learn: Callable[[list[str]], tuple[np.ndarray, np.ndarray]], limit: int):
+        self.learn, self.limit = learn, limit
+        self.texts = pa.array([], pa.string())
+        self.pool, self.start, self.size, self.met = np.empty(0, np.int32), np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int32)
+
+    def shrink(self) -> None:
+        keep = np.flatnonzero(self.met >= 2)
+        if len(keep) > self.limit // 2:
+            keep = np.sort(keep[np.argsort(-self.met[keep], kind="stable")[: self.limit // 2]])
+        self.texts = self.texts.take(pa.array(keep))
+        self.pool = self.pool[spread(self.start[keep], self.size[keep])]
+        self.size, self.met = self.size[keep], self.met[keep] // 2
+        self.start = np.cumsum(self.size) - self.size
+
+    def places(self, pieces: pa.Array) -> np.ndarray:
+        """Where each piece's ids are. Places hold until the next call."""
+        place = pc.index_in(pieces, value_set=self.texts).fill_null(-1).to_numpy().astype(np.int64)
+        missing = np.flatnonzero(place < 0)
+        if len(missing):
+            unseen = pieces.take(pa.array(missing))
+            fresh = unseen.unique()
+            if len(self.texts) and len(self.texts) + len(fresh) > self.limit:
+                self.shrink()
+                return self.places(pieces)
+            ids, size = self.learn(fresh.to_numpy(zero_copy_only=False).tolist())
+            place[missing] = len(self.texts) + pc.index_in(unseen, value_set=fresh).to_numpy().astype(np.int64)
+            self.start = np.concatenate((self.start, len(self.pool) + np.cumsum(size) - size))
+            self.size, self.pool = np.concatenate((self.size, size)), np.concatenate((self.pool, ids.astype(np.int32)))
+            self.met = np.concatenate((self.met, np.zeros(len(fresh), np.int32)))
+            self.texts = pa.concat_arrays([self.texts, fresh])
+        here = np.zeros(len(self.texts), bool)
+        here[place] = True
+        self.met += here
+        return place
+
+
 class WordEncoder:
-    """The library's ids, word by word, each distinct word encoded once.
+    """The library's ids, word by word, each distinct piece of a word encoded once.
 
     A blank between two characters that are no white space always begins a new pre-token, so texts may be
-    cut there; unseen words go to the library many at a time. Keys are words without their blank, or
-    pairs that say how a piece is to be encoded. So is a line feed between two such characters a pre-token
-    of its own; it opens the word after it. Words that touch other white space are unsafe: their text is
-    cut by ``CUT``.
+    cut there; unseen pieces go to the library many at a time. So is a line feed between two such
+    characters a pre-token of its own; it opens the word after it. Letters with punctuation behind them
+    (``SIMPLE``) are two pre-tokens and two pieces: the letters are mostly known already. Words that touch
+    other white space are unsafe: their text is cut by ``CUT``. A piece is known by just what the library is
+    given for it, with the blank before it, so a text's first word has pieces of its own.
+
+    Texts that spell an added token of the vocabulary (``<|endoftext|>``, say) are left whole to the
+    library, which gives that token's own id.
     """
 
     CUT = re.compile(r"(?<=\S) (?=\S)")
+    #: ASCII and Latin-1 letters, then ASCII punctuation that is not led by an apostrophe (a contraction).
+    SIMPLE = r"^(?P<head>\n?[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{ff}]+)(?P<tail>[!-&(-/:-@\[-`{-~][!-/:-@\[-`{-~]*)$"
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
-        self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        self.library, self.words = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        self.words.encode_special_tokens = True  # words of different texts that meet here make no token together
+        self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
         self.vocab = self.library.get_vocab_size()
         self.opens = np.zeros(self.vocab, bool)
         for token, i in self.library.get_vocab().items():
             self.opens[i] = token.startswith("Ġ")
-        self.cache = WordCache(self.learn, MAX_WORDS)
+        self.memory = PieceMemory(self.learn, MAX_PIECES)
 
     @staticmethod
     def safe(words: pa.Array) -> pa.Array:
@@ -98,34 +149,79 @@ class WordEncoder:
         body = pc.replace_substring_regex(words, "^\n", "")
         return pc.and_(pc.equal(pc.utf8_trim_whitespace(body), body), pc.greater(pc.binary_length(body), 0))
 
-    def pieces_of(self, text: str) -> list:
-        pieces = self.CUT.split(text.replace(" \n", "\n"))
-        return [("whole", pieces[0]), *(("later", p) for p in pieces[1:])]
-
-    def learn(self, keys: list) -> tuple[np.ndarray, np.ndarray]:
-        plain = [k for k in keys if isinstance(k, str) and k[0] != "\n"]
-        single = [k for k in keys if not isinstance(k, str) or k[0] == "\n"]
-        groups = [" " + " ".join(plain[k : k + 256]) for k in range(0, len(plain), 256)]
-        flat = self.flat(groups)[0]
+    def learn(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        joined = np.fromiter((p[:1] == " " and len(p.split()) == 1 and not (p[1].isspace() or p[-1].isspace()) for p in pieces), bool, len(pieces))
+        plain = [p for p, j in zip(pieces, joined.tolist(), strict=True) if j]
+        flat = self.flat(["".join(plain[k : k + 256]) for k in range(0, len(plain), 256)])[0]
         starts = np.flatnonzero(self.opens[flat])
         if len(starts) != len(plain):
             raise RecordError("words and pre-tokens do not line up")
-        alone, sizes = self.flat([k if isinstance(k, str) else f" {k[1]}" if k[0] == "later" else k[1] for k in single])
-        order = np.empty(len(keys), np.int64)  # of the keys among plain and single ones
-        is_plain = np.fromiter((isinstance(k, str) and k[0] != "\n" for k in keys), bool, len(keys))
-        order[is_plain], order[~is_plain] = np.arange(len(plain)), len(plain) + np.arange(len(single))
+        alone, sizes = self.flat([p for p, j in zip(pieces, joined.tolist(), strict=True) if not j])
+        order = np.empty(len(pieces), np.int64)  # of the pieces among plain and single ones
+        order[joined], order[~joined] = np.arange(len(plain)), len(plain) + np.arange(len(sizes))
         size = np.concatenate((np.diff(np.append(starts, len(flat))), sizes))
         start = np.cumsum(size) - size
         return np.concatenate((flat, alone))[spread(start[order], size[order])], size[order]
 
     def flat(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        lists = [e.ids for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+        lists = [e.ids for e in self.words.encode_batch_fast(texts, add_special_tokens=False)]
         return np.fromiter(chain.from_iterable(lists), np.int32), np.fromiter(map(len, lists), np.int64, len(lists))
 
+    def by_words(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, offsets) of texts without added tokens."""
+        lists = pc.split_pattern(pc.replace_substring(texts, "\n", " \n"), " ")  # a line feed begins a word of its own
+        cuts, words = lists.offsets.to_numpy().astype(np.int64), lists.flatten().dictionary_encode()
+        cuts, distinct, index = cuts - cuts[0], words.dictionary, words.indices.to_numpy()
+        safe = self.safe(distinct)
+        unsafe = ~safe.to_numpy(zero_copy_only=False)
+        odd = np.unique(np.searchsorted(cuts[1:], np.flatnonzero(unsafe[index]), side="right")).tolist()
+        cut = pc.extract_regex(distinct, self.SIMPLE)
+        head, tail = (pc.struct_field(cut, k) for k in (0, 1))
+        head = pc.coalesce(pc.if_else(cut.is_valid(), head, None), distinct)
+        head = pc.if_else(pc.starts_with(head, "\n"), head, pc.binary_join_element_wise(" ", head, ""))
+        head = pc.if_else(safe, head, "")
+        tail = pc.if_else(pc.and_(cut.is_valid(), safe), tail, "").dictionary_encode()
+        first = distinct.take(pa.array(index[cuts[:-1]]))
+        again = [self.pieces_of(texts[k].as_py()) for k in odd]
+        asked = [head, tail.dictionary, first, pa.array(list(chain.from_iterable(again)), pa.string())]
+        place = self.memory.places(pa.concat_arrays(asked))
+        of_head, of_tail, of_first, of_odd = np.split(place, np.cumsum([len(x) for x in asked[:-1]]))
+        with_tail = pc.not_equal(tail.dictionary, "").to_numpy(zero_copy_only=False)
+        tail_index = tail.indices.to_numpy()
+        two = with_tail[tail_index][index]
+        two[cuts[:-1]] = False
+        n = 1 + two
+        at = np.cumsum(n) - n
+        total = int(n.sum())
+        pieces = np.empty(total, np.int64)
+        own = of_head[index]
+        own[cuts[:-1]] = of_first
+        pieces[at] = own
+        pieces[at[two] + 1] = of_tail[tail_index[index[two]]]
+        cuts = np.append(at, total)[cuts]
+        if odd:
+            parts = np.split(pieces, cuts[1:-1])
+            for k, p in zip(odd, np.split(of_odd, np.cumsum([len(a) for a in again])[:-1]), strict=True):
+                parts[k] = p
+            pieces, cuts = np.concatenate(parts), np.append(0, np.cumsum([len(p) for p in parts]))
+        size = self.memory.size[pieces]
+        return self.memory.pool[spread(self.memory.start[pieces], size)], np.append(0, np.cumsum(size))[cuts]
+
+    def pieces_of(self, text: str) -> list[str]:
+        pieces = self.CUT.split(text)
+        return [pieces[0], *(f" {p}" for p in pieces[1:])]
+
     def encode(self, texts: pa.Array, end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """(ids, offsets), each text followed by the end id."""
-        texts = pc.replace_substring(texts, "\n", " \n")  # a line feed begins a word of its own
-        ids, cuts = self.cache.encode(texts, self.safe, self.pieces_of, lambda w: ("first", w))
+        marked = np.zeros(len(texts), bool)
+        for token in self.added:
+            marked |= pc.match_substring(texts, token).to_numpy(zero_copy_only=False)
+        ids, cuts = self.by_words(pc.if_else(pa.array(marked), "", texts) if marked.any() else texts)
+        if marked.any():
+            parts = np.split(ids, cuts[1:-1])
+            for k in np.flatnonzero(marked).tolist():
+                parts[k] = np.array(self.library.encode(texts[k].as_py(), add_special_tokens=False).ids, np.int32)
+            ids, cuts = np.concatenate(parts), np.append(0, np.cumsum([len(p) for p in parts]))
         return np.insert(ids, cuts[1:], end_id), cuts + np.arange(len(cuts))
 
 
@@ -153,7 +249,7 @@ def write_records(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int
         def frames():
             nonlocal tokens
             offset = 0
-            for batch in sliced(batches, "__text", 3 << 20):
+            for batch in sliced(batches, "__text", ENCODE_BYTES):
                 ids, cuts = m.encode(batch.column(1).fill_null(""), end_id)
                 tokens += len(ids)
                 for doc, a, b in zip(batch.column(0).to_pylist(), cuts.tolist(), cuts[1:].tolist(), strict=False):

@@ -77,7 +77,7 @@ class WordCache:
         """
         lists = pc.split_pattern(texts, " ")
         cuts, words = lists.offsets.to_numpy().astype(np.int64), lists.flatten().dictionary_encode()
-        distinct, fit = words.dictionary.to_pylist(), safe(words.dictionary).to_numpy(zero_copy_only=False)
+        distinct, fit = words.dictionary.to_numpy(zero_copy_only=False).tolist(), safe(words.dictionary).to_numpy(zero_copy_only=False)
         place = self.places(distinct, fit)[words.indices.to_numpy()]
         if first is not None and len(place):
             # plain places stay valid only as long as the cache has not shrunk

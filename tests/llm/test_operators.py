@@ -412,8 +412,9 @@ def test_records_equal_the_library(spark, docs, empty):
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
-    texts = nasty_texts()
+    end = "<|endoftext|>"
+    texts = [*nasty_texts(), end, f"a {end} b", f"x{end}\n{end}y", "<|endof text|>", "<|endof", "text|>"]
+    assert t.encode(end, add_special_tokens=False).ids == [50256]
     m = records.WordEncoder(path)
     for _ in range(2):
         ids, cuts = m.encode(pa.array(texts), 2)

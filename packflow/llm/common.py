@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+import re
 import tempfile
 import uuid
 from collections.abc import Iterable, Iterator
@@ -21,13 +23,16 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession, name: str) -> str:
     """A fresh folder below the cluster's shared folder (``spark.checkpoint.dir``).
 
-    Only where that setting is absent, as in local tests, a temporary folder of this machine is
-    taken and also set as the checkpoint folder.
+    Where that setting is absent, a session of one machine (``local[...]``, as in tests) gets a temporary
+    folder, which is also set as the checkpoint folder; on a cluster that is an error, as no executor
+    would see what another one wrote.
     """
     root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not root:
         root = spark.sparkContext.getCheckpointDir()
     if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         root = "file://" + tempfile.mkdtemp(prefix="packflow-")
         spark.sparkContext.setCheckpointDir(root)
     root = root if "://" in root or root.startswith("file:") else f"file://{root}"
@@ -40,7 +45,7 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     """Cut lineage: write to the shared folder and read back."""
     spark = df.sparkSession
     path = shared_dir(spark, name)
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -72,6 +77,17 @@ def sliced(batches: Iterable[pa.RecordBatch], column: str, max_bytes: int) -> It
         yield batch.slice(start)
 
 
+def grid(size: int) -> tuple[int, int]:
+    """(bytes of a batch, number of buckets) for operators whose batches send a packed row to each bucket.
+
+    Both grow with the root of the table's bytes, so the rows grow in proportion to the table, of a
+    kilobyte of text or more each, and a bucket stays as small as that allows: 2 MB up to 8 GB, 23 MB at
+    1 TB, 230 MB at 100 TB.
+    """
+    share = max(2 << 20, math.isqrt(size << 9))
+    return max(4 << 20, min(256 << 20, 2 * share)), max(64, -(-size // share))
+
+
 def storage(uri: str):
     """(file system, path) for a URI of the shared folder, usable on any executor."""
     from pyarrow import fs

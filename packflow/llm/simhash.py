@@ -4,9 +4,10 @@ A fingerprint's 64 bits are cut into two halves, fewer than the classic bits+1 s
 fingerprints that differ in at most three bits one half differs in at most one bit. Each half is
 indexed under its 32 variants with one bit wildcarded; fingerprints that are equal in a variant are
 the candidates of an equality join and are verified. Documents with equal fingerprints count once, so
-copies cost nothing. Where more than ``PAIR_GROUP`` fingerprints share a variant, they are not paired
-but linked to the least of every ball of radius one around the remaining bits, which loses no link of
-two bits or fewer; wider radii pair up there, too.
+copies cost nothing. Variants are counted by a grouped count; of most that are shared at all its least and
+greatest fingerprints are the only ones. Where more than ``PAIR_GROUP`` fingerprints share a variant, they
+are not paired but linked to the least of every small ball around the bits that the variant leaves open,
+which loses no link: two fingerprints that differ in few enough bits have a common centre.
 
 Null ids sort last and come back null; null and empty texts have fingerprint zero and are linked like
 any other; repeated rows each get a row.
@@ -15,6 +16,7 @@ any other; repeated rows each get a row.
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -73,32 +75,42 @@ def rest(variant: str = "variant", fp: str = "fp"):
         else shiftleft(shiftrightunsigned({fp}, cast(shiftright({variant}, 32) as int)) & 1L, 32) | ({fp} & {0xFFFFFFFF}L) end""")
 
 
+def within(bits: int) -> list[int]:
+    """Numbers of 33 bits of which at most so many are set."""
+    return [sum(1 << b for b in chosen) for n in range(bits + 1) for chosen in combinations(range(33), n)]
+
+
 def links(nodes: DataFrame, max_bits: int = 2) -> DataFrame:
     """(a, b), a < b: enough links between fingerprints of ``max_bits`` or fewer differing bits to
     join whatever a chain of such links joins."""
     if not 0 <= max_bits <= 3:
         raise ValueError("two halves cover at most three differing bits")
-    limit = PAIR_GROUP if max_bits == 2 else 1 << 30
-    shared = variants(nodes).withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("variant"))).where("n > 1")
+    every = variants(nodes)
+    counts = every.groupBy("variant").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).where("n > 1")
+    counts = materialize(counts, "variants")
+    close = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= max_bits
+    two = counts.where((F.col("n") == 2) & close).select("a", "b")
+    shared = materialize(every.join(counts.where("n > 2").select("variant", "n"), "variant"), "shared")
     few = (
-        shared.where(F.col("n") <= limit)
+        shared.where(F.col("n") <= PAIR_GROUP)
         .groupBy("variant")
         .agg(F.sort_array(F.collect_list("fp")).alias("fps"))
         .select(F.explode("fps").alias("a"), "fps")
         .select("a", F.explode(F.filter("fps", lambda b: (b > F.col("a")) & (F.bit_count(b.bitwiseXOR(F.col("a"))) <= max_bits))).alias("b"))
     )
-    if max_bits != 2:
-        return few.distinct()
-    centres = F.array(F.col("rest"), *(F.col("rest").bitwiseXOR(F.lit(1 << i)) for i in range(33)))
+    # the centre is within max_bits // 2 of the one and the rest of max_bits of the other; so small balls have few members
+    inner, outer = within(max_bits // 2), within(max_bits - max_bits // 2)
+    centre = F.explode(F.array(*(F.struct(F.lit(m).cast("long").alias("mask"), F.lit(m in inner).alias("inner")) for m in outer))).alias("c")
+    least = F.min(F.when(F.col("inner"), F.col("fp"))).over(Window.partitionBy("variant", "centre"))
     many = (
-        shared.where(F.col("n") > limit)
-        .withColumn("rest", rest())
-        .select("variant", "fp", F.explode(centres).alias("centre"))
-        .withColumn("a", F.min("fp").over(Window.partitionBy("variant", "centre")))
-        .where("fp > a")
-        .select("a", F.col("fp").alias("b"))
+        shared.where(F.col("n") > PAIR_GROUP)
+        .select("variant", "fp", rest().alias("rest"), centre)
+        .select("variant", "fp", F.col("rest").bitwiseXOR(F.col("c.mask")).alias("centre"), "c.inner")
+        .withColumn("a", least)
+        .where("a is not null and fp != a")
+        .select(F.least("fp", "a").alias("a"), F.greatest("fp", "a").alias("b"))
     )
-    return few.union(many).distinct()
+    return two.union(few).union(many).distinct()
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -146,7 +158,8 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def keep_least(df: DataFrame, roots_of: Callable[[DataFrame], DataFrame], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The row with the least id, nulls last, of each group of texts, with all its columns.
+    """The row with the least id, nulls last, of each group of texts, with all its columns; any one of rows
+    that are equal in id and text.
 
     ``roots_of`` gives (node, root) for the texts (node, text) that are in a group with others. Rows are
     told apart by id and text, so rows of one id, or of none, with unlike texts all stay.
@@ -154,15 +167,14 @@ def keep_least(df: DataFrame, roots_of: Callable[[DataFrame], DataFrame], id_col
     from packflow.llm.common import shared_dir
 
     shared_dir(df.sparkSession, "probe")  # sets a checkpoint folder where there is none
-    text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
-    digest = F.md5(text.cast("binary"))
-    rows = df.select(id_or_last(id_col).alias("key"), digest.alias("node"), text.alias("text"))
-    least = rows.groupBy("node").agg(F.min("key").alias("key"))
-    texts = materialize(rows.select("node", "text").dropDuplicates(["node"]), "texts")
-    member = least.join(roots_of(texts), "node", "left").select("node", "key", F.coalesce("root", "node").alias("root"))
-    kept = member.groupBy("root").agg(F.min(F.struct("key", "node")).alias("one")).select(F.col("one.key").alias("__key"), F.col("one.node").alias("__node"))
-    named = df.withColumn("__key", id_or_last(id_col)).withColumn("__node", digest)
-    return named.join(kept, ["__key", "__node"], "left_semi").dropDuplicates(["__key", "__node"]).select(*(F.col(f"`{c}`") for c in df.columns))
+    text = lambda c: F.coalesce(F.col(c).cast("string"), F.lit(""))
+    row = F.struct(*(F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(df.columns)))
+    named = df.select(F.md5(text(f"`{text_col}`").cast("binary")).alias("node"), id_or_last(id_col).alias("key"), row.alias("row"))
+    one = materialize(named.groupBy("node").agg(F.min("key").alias("key"), F.min_by("row", "key").alias("row")), "distinct")
+    roots = materialize(roots_of(one.select("node", text(f"row.c{df.columns.index(text_col)}").alias("text"))), "roots")
+    best = roots.join(one.select("node", "key"), "node").groupBy("root").agg(F.min(F.struct("key", "node")).alias("best")).select("best.node")
+    dropped = roots.select("node").join(best, "node", "left_anti")
+    return one.join(dropped, "node", "left_anti").select(*(F.col(f"row.c{i}").alias(c) for i, c in enumerate(df.columns)))
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, max_bits: int = 2) -> DataFrame:
@@ -170,7 +182,10 @@ def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", word
 
     def roots_of(texts: DataFrame) -> DataFrame:
         named = materialize(fingerprints(texts, "node", "text", words, "string"), "fingerprints")
+        alike = named.groupBy("fp").agg(F.min("key").alias("least"), F.count(F.lit(1)).alias("n"))
         roots = components(links(named.select("fp").distinct(), max_bits))
-        return named.join(roots, named.fp == roots.node, "left").select(F.col("key").alias("node"), F.coalesce("root", "fp").cast("string").alias("root"))
+        grouped = alike.join(roots, alike.fp == roots.node, "left").where("n > 1 or root is not null")
+        grouped = grouped.select("fp", F.coalesce("root", "fp").cast("string").alias("root"))
+        return named.join(grouped, "fp").select(F.col("key").alias("node"), "root")
 
     return keep_least(df, roots_of, id_col, text_col)

@@ -1,9 +1,10 @@
 """Personal data by DataFrame functions alone: patterns propose spans, checksums confirm, context scores.
 
 A pattern's matches come from ``regexp_extract_all`` and the text between them from ``split`` by the
-same pattern, so a match's place is the running sum of both lengths, taken in a window over a row's
-matches. Patterns use possessive runs and look-behinds that make each scan linear; they accept exactly
-the documented base patterns (leftmost, non-overlapping).
+same pattern, so a match's place is the running sum of both lengths, taken over the row's own arrays: no
+row leaves its task. Running sums go by stretches of the root of the number of matches, so that a text of
+very many matches costs little more than its length. Patterns use possessive runs and look-behinds that
+make each scan linear; they accept exactly the documented base patterns (leftmost, non-overlapping).
 
 Offsets count code points, ends are exclusive. Null texts are empty; rows without a finding still come
 back; repeated rows and null ids each get a row of their own.
@@ -11,9 +12,10 @@ back; repeated rows and null ids each get a row of their own.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 # Kinds in their order, what must occur in a text at all, and the proposing patterns.
 KINDS = ("email", "ip", "card", "phone", "iban")
@@ -54,71 +56,85 @@ def mod97(iban: Column) -> Column:
     return F.aggregate(F.split(turned, ""), F.lit(0), step) == 1
 
 
-def confirmed(kind: Column, match: Column) -> Column:
-    """The validator of each kind; a match that fails is dropped without a retry."""
+def confirmed(kind: str, match: Column) -> Column:
+    """The validator of a kind; a match that fails is dropped without a retry."""
+    if kind == "email":
+        return F.lit(True)
+    if kind == "ip":
+        return F.forall(F.split(match, r"\."), lambda x: x.cast("double") <= 255)
+    if kind == "iban":
+        return mod97(F.regexp_replace(match, " ", ""))
     digits = F.regexp_replace(match, "[^0-9]", "")
     n = F.length(digits)
-    return (
-        F.when(kind == "email", F.lit(True))
-        .when(kind == "ip", F.forall(F.split(match, r"\."), lambda x: x.cast("double") <= 255))
-        .when(kind == "card", F.when(n.between(12, 19), luhn(digits)).otherwise(False))
-        .when(kind == "phone", n.between(9, 15))
-        .otherwise(mod97(F.regexp_replace(match, " ", "")))
-    )
+    return F.when(n.between(12, 19), luhn(digits)).otherwise(False) if kind == "card" else n.between(9, 15)
 
 
-def proposals(df: DataFrame, text: Column, carried: Column) -> DataFrame:
-    """A row per document (kind null, with ``carried``) and a row per match of any pattern."""
-    found = df.select(F.monotonically_increasing_id().alias("__row"), carried.alias("__doc"), F.coalesce(text.cast("string"), F.lit("")).alias("__text"))
-    digit = F.col("__text").rlike("[0-9]")
-    for k in KINDS:
-        if_any = F.col("__text").contains(TRIGGER[k]) if TRIGGER[k] else digit
-        found = found.withColumn(f"__m_{k}", F.when(if_any, F.regexp_extract_all("__text", F.lit(PATTERN[k]), F.lit(0))).otherwise(F.array().cast("array<string>")))
-    for k in KINDS:
-        found = found.withColumn(f"__g_{k}", F.when(F.size(f"__m_{k}") > 0, F.split("__text", PATTERN[k], -1)).otherwise(F.array().cast("array<string>")))
-
-    def rows_of(k: str) -> Column:
-        gaps = F.col(f"__g_{k}")
-        return F.transform(
-            f"__m_{k}",
-            lambda m, i: F.struct(
-                F.lit(k).alias("kind"), i.alias("i"), F.length(F.get(gaps, i)).alias("gap"), m.alias("match"),
-                F.concat(F.right(F.get(gaps, i), F.lit(CONTEXT_WINDOW)), F.lit(" "), F.left(F.get(gaps, i + 1), F.lit(CONTEXT_WINDOW))).alias("near"),
-                F.lit(None).cast(df.select(carried).schema[0].dataType).alias("doc"),
-            ),
-        )
-
-    own = F.array(F.struct(F.lit(None).cast("string").alias("kind"), F.lit(0).alias("i"), F.lit(0).alias("gap"), F.lit(None).cast("string").alias("match"), F.lit(None).cast("string").alias("near"), F.col("__doc").alias("doc")))
-    return found.select("__row", F.explode(F.concat(own, *(rows_of(k) for k in KINDS))).alias("p")).select("__row", "p.*")
-
-
-def spans(rows: DataFrame) -> DataFrame:
-    """Proposals with start, end, whether they are confirmed, and a score."""
-    before = Window.partitionBy("__row", "kind").orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
-    size = F.length("match")
-    near = F.lit(False)
-    for k in KINDS:
-        near = F.when(F.col("kind") == k, F.col("near").rlike(CONTEXT[k])).otherwise(near)
-    prior = F.lit(0.0)
-    rank = F.lit(0)
-    for n, k in enumerate(KINDS):
-        prior = F.when(F.col("kind") == k, PRIOR[k]).otherwise(prior)
-        rank = F.when(F.col("kind") == k, n).otherwise(rank)
-    return (
-        rows.repartition(F.col("__row"))
-        .withColumn("end", F.sum(F.col("gap") + F.coalesce(size, F.lit(0))).over(before))
-        .withColumn("ok", F.when(F.col("kind").isNull(), False).otherwise(confirmed(F.col("kind"), F.col("match"))))
-        .select("__row", "kind", rank.alias("rank"), (F.col("end") - size).alias("start"), "end", "ok", F.when(F.col("ok"), F.least(F.lit(1.0), prior + F.when(near, 0.3).otherwise(0.0))).alias("score"), "doc")
-    )
+def bound(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a value that is computed once, wherever and how often the body uses it."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def running(values: Column, total: Callable[[Column], Column], step: Callable[[Column, Column], Column], body: Callable[[Callable[[Column], Column]], Column]) -> Column:
+    """``body`` of a function that gives the total of ``values`` up to and with a place; ``total`` adds up an
+    array, ``step`` two totals. Whole stretches are added up once."""
+
+    def stretches(v: Column) -> Column:
+        n = F.greatest(F.lit(1), F.ceil(F.sqrt(F.size(v))).cast("int"))
+        starts = F.sequence(F.lit(0), F.greatest(F.lit(0), F.size(v) - 1), n)
+        return bound(F.struct(n.alias("n"), F.transform(starts, lambda b: total(F.slice(v, b + 1, n))).alias("whole")), lambda s: body(upto(v, s)))
+
+    def upto(v: Column, s: Column) -> Callable[[Column], Column]:
+        inside = lambda i: i % s["n"]
+        return lambda i: step(total(F.slice(s["whole"], F.lit(1), F.floor(i / s["n"]).cast("int"))), total(F.slice(v, i - inside(i) + 1, inside(i) + 1)))
+
+    return bound(values, stretches)
+
+
+def added(values: Column) -> Column:
+    return F.aggregate(values, F.lit(0), lambda a, x: a + x)
+
+
+def greatest_of(values: Column) -> Column:
+    return F.coalesce(F.array_max(values), F.lit(0))
+
+
+def with_spans(df: DataFrame, text_col: str, name: str) -> DataFrame:
+    """``df`` with the confirmed spans of its text: (start, rank, kind, end, score) by start and kind."""
+    columns = [F.col(f"`{c}`") for c in df.columns]
+    held = "__packflow"
+    found = df.select(F.struct(*columns).alias("doc"), F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit("")).alias("text"))
+    digit = F.col("text").rlike("[0-9]")
+    nothing = F.array().cast("array<string>")
+    matches = {k: F.when(F.col("text").contains(TRIGGER[k]) if TRIGGER[k] else digit, F.regexp_extract_all("text", F.lit(PATTERN[k]), F.lit(0))).otherwise(nothing) for k in KINDS}
+    found = found.withColumns({f"{held}m_{k}": c for k, c in matches.items()})
+    found = found.withColumns({f"{held}g_{k}": F.when(F.size(f"{held}m_{k}") > 0, F.split("text", PATTERN[k], -1)).otherwise(nothing) for k in KINDS})
+
+    def spans_of(rank: int, k: str) -> Column:
+        match, gap = F.col(f"{held}m_{k}"), F.col(f"{held}g_{k}")
+
+        def one(upto: Callable[[Column], Column]) -> Column:
+            def span(m: Column, i: Column) -> Column:
+                near = F.concat(F.right(F.get(gap, i), F.lit(CONTEXT_WINDOW)), F.lit(" "), F.left(F.get(gap, i + 1), F.lit(CONTEXT_WINDOW)))
+                score = F.least(F.lit(1.0), F.lit(PRIOR[k]) + F.when(near.rlike(CONTEXT[k]), 0.3).otherwise(0.0))
+                end = upto(i)
+                whole = F.struct((end - F.length(m)).alias("start"), F.lit(rank).alias("rank"), F.lit(k).alias("kind"), end.alias("end"), score.alias("score"))
+                return F.when(confirmed(k, m), whole)
+
+            return F.array_compact(F.transform(match, span))
+
+        lengths = F.transform(match, lambda m, i: F.length(F.get(gap, i)) + F.length(m))
+        return F.when(F.size(match) > 0, running(lengths, added, lambda a, b: a + b, one)).otherwise(F.array())
+
+    every = F.sort_array(F.concat(*(spans_of(rank, k) for rank, k in enumerate(KINDS))))
+    return found.select("doc", "text", every.alias(name))
 
 
 def find_pii(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: its spans (kind, start, end, score) by start and kind."""
-    one = F.when(F.col("ok"), F.struct("start", "rank", "kind", "end", "score"))
-    grouped = spans(proposals(df, F.col(text_col), F.struct(F.col(id_col).alias("id")))).groupBy("__row").agg(
-        F.max("doc.id").alias(id_col), F.sort_array(F.collect_list(one)).alias("found")
-    )
-    return grouped.select(id_col, F.transform("found", lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), s["end"].alias("end"), s["score"].alias("score"))).alias("spans"))
+    at = df.columns.index(id_col)
+    found = with_spans(df.toDF(*(f"c{i}" for i in range(len(df.columns)))), f"c{df.columns.index(text_col)}", "found")
+    shown = F.transform("found", lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), s["end"].alias("end"), s["score"].alias("score")))
+    return found.select(F.col(f"doc.c{at}").alias(id_col), shown.alias("spans"))
 
 
 def pii_digest(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -136,27 +152,46 @@ def pii_digest(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     )
 
 
+def cut_out(text: Column, body: Callable[[Callable[[Column, Column], Column]], Column]) -> Column:
+    """``body`` of a function that gives the text from one place to another. It looks into blocks of the
+    text alone, as finding a place costs as many steps as there are characters before it."""
+
+    def over(t: Column) -> Column:
+        n = F.greatest(F.lit(1024), (8 * F.sqrt(F.length(t["text"]))).cast("int"))
+        return bound(F.struct(n.alias("n"), F.transform(F.sequence(F.lit(0), F.length(t["text"]), n), lambda b: t["text"].substr(b + 1, n)).alias("blocks")), lambda s: body(between(s)))
+
+    def between(s: Column) -> Callable[[Column, Column], Column]:
+        def take(low: Column, high: Column) -> Column:
+            first, last = F.floor(low / s["n"]).cast("int"), F.floor(high / s["n"]).cast("int")
+            block = lambda i: F.coalesce(F.get(s["blocks"], i), F.lit(""))
+            middle = F.array_join(F.slice(s["blocks"], first + 2, F.greatest(F.lit(0), last - first - 1)), "")
+            apart = F.concat(block(first).substr(low % s["n"] + 1, s["n"]), middle, block(last).substr(F.lit(1), high % s["n"]))
+            return F.when(first == last, block(first).substr(low % s["n"] + 1, high - low)).otherwise(apart)
+
+        return take
+
+    return bound(F.struct(text.alias("text")), over)
+
+
 def redact(df: DataFrame, text_col: str = "text", min_score: float = 0.5) -> DataFrame:
-    """The same rows and columns, with every span of ``min_score`` or more replaced by its kind in brackets."""
+    """The same rows and columns, with every span of ``min_score`` or more replaced by its kind in brackets;
+    a span that begins inside another goes with it."""
     kept = df.columns
-    ordered = Window.partitionBy("__row").orderBy(F.col("kind").isNotNull(), "start", "rank").rowsBetween(Window.unboundedPreceding, -1)
-    taken = F.col("ok") & (F.col("score") >= min_score)
-    rows = spans(proposals(df, F.col(text_col), F.struct(*(F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(kept)))))
-    rows = rows.withColumn("covered", F.coalesce(F.max(F.when(taken, F.col("end"))).over(ordered), F.lit(0)))
-    grouped = rows.groupBy("__row").agg(
-        F.first("doc", ignorenulls=True).alias("doc"),
-        F.sort_array(F.collect_list(F.when(taken, F.struct("start", "rank", "end", "kind", "covered")))).alias("found"),
-    )
     at = kept.index(text_col)
-    text = F.col(f"doc.c{at}")
-    parts = F.transform(
-        "found",
-        lambda s: F.concat(
-            text.substr(s["covered"].cast("int") + 1, F.greatest(s["start"] - s["covered"], F.lit(0)).cast("int")),
-            F.when(s["start"] >= s["covered"], F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]"))).otherwise(""),
-        ),
-    )
-    last = F.coalesce(F.array_max(F.transform("found", lambda s: s["end"])), F.lit(0)).cast("int")
-    clean = F.when(F.size("found") > 0, F.concat(F.array_join(parts, ""), text.substr(last + 1, F.length(text)))).otherwise(text)
-    out = grouped.select("doc", clean.alias("clean"))
-    return out.select(*(F.col("clean" if i == at else f"doc.c{i}").alias(c) for i, c in enumerate(kept)))
+    rows = with_spans(df.toDF(*(f"c{i}" for i in range(len(kept)))), f"c{at}", "found")
+    rows = rows.withColumn("found", F.filter("found", lambda s: s["score"] >= min_score))
+    ends = F.transform("found", lambda s: s["end"])
+
+    def without(take: Callable[[Column, Column], Column]) -> Column:
+        def pieces(upto: Callable[[Column], Column]) -> Column:
+            def piece(s: Column, i: Column) -> Column:
+                name = F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]"))
+                before = F.when(i > 0, upto(i - 1)).otherwise(F.lit(0))
+                return bound(before, lambda b: F.when(s["start"] >= b, F.concat(take(b, s["start"]), name)).otherwise(F.lit("")))
+
+            return F.array_join(F.transform("found", piece), "")
+
+        return F.concat(running(ends, greatest_of, F.greatest, pieces), take(greatest_of(ends), F.length("text")))
+
+    clean = F.when(F.size("found") > 0, cut_out(F.col("text"), without)).otherwise(F.col(f"doc.c{at}"))
+    return rows.select(*(clean.alias(c) if i == at else F.col(f"doc.c{i}").alias(c) for i, c in enumerate(kept)))

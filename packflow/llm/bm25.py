@@ -15,8 +15,11 @@ verified; one of three is enough:
   without its answer is a leak. It is indexed as a piece of its own. A shorter question, or one with
   edited words, needs its answer, as it may well be another question.
 
-Items longer than ``PIECE`` words are indexed in pieces. The items of one index are broadcast; their
-size is checked, and a larger test set is searched in blocks of items of at most ``BLOCK_BYTES``.
+Items longer than ``PIECE`` words are indexed in pieces. A test set is searched in blocks of items of about
+``BLOCK_BYTES``; one block's items, and the counts of the words in them, come to the driver at a time and are
+broadcast as an index, so that what is broadcast at once does not grow with the test set. Word counts, mean
+length and passage length are those of the whole test set, counted on the executors: a score does not depend
+on the blocks.
 
 Null and empty texts and items match nothing; repeated rows and null ids get results of their own.
 """
@@ -26,13 +29,15 @@ from __future__ import annotations
 import re
 from bisect import bisect_left
 from collections import Counter, defaultdict
+from collections.abc import Iterable, Iterator
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from packflow.llm.common import sliced
+from packflow.llm.common import materialize, sliced
 
 K1, B = 1.2, 0.75
 PIECE, SHINGLE, POSTINGS_PER_BLOCK = 64, 5, 8
@@ -76,43 +81,61 @@ def edits(item: list[int], passage: list[int]) -> int:
     return least
 
 
+def pieces(text: str | None) -> Iterator[tuple[list[str], tuple[set, set], list[str] | None]]:
+    """(words, shingles of question and answer, question that is a piece of its own) of an item's pieces."""
+    lowered = (text or "").lower()
+    words = words_of(lowered)
+    for start in range(0, len(words), PIECE):
+        if start and len(words) - start < PIECE // 2:
+            continue  # a short last piece belongs to the one before
+        whole = len(words) <= PIECE + PIECE // 2
+        piece = words[start : start + PIECE] if len(words) - start >= PIECE * 3 // 2 else words[start:]
+        q, a = question_and_answer(lowered) if whole else (" ".join(piece), "")
+        q_words, a_words = words_of(q), words_of(a)
+        yield piece, (shingles(q_words), shingles(a_words)), q_words if a_words and len(q_words) >= QUESTION else None
+
+
+@dataclass
+class Statistics:
+    """Of a whole test set: pieces, their words in all, the longest, and how many pieces hold a word."""
+
+    n: int = 0
+    words: int = 0
+    longest: int = 1
+    n_with: dict[str, int] = field(default_factory=dict)
+
+    @classmethod
+    def of(cls, texts: Iterable[str | None]) -> Statistics:
+        out, seen = cls(), Counter()
+        for text in texts:
+            for piece, _, _ in pieces(text):
+                out.n, out.words, out.longest = out.n + 1, out.words + len(piece), max(out.longest, len(piece))
+                seen.update(set(piece))
+        out.n_with = dict(seen)
+        return out
+
+
 class Index:
     """Postings by term with the maxima of terms and of blocks of postings."""
 
-    def __init__(self, items: list[tuple[int, str]]):
+    def __init__(self, items: list[tuple[int, str]], statistics: Statistics | None = None):
+        stats = statistics or Statistics.of(text for _, text in items)
         self.item: list[int] = []
         self.parts: list[tuple[set, set]] = []
         self.words: list[list[str]] = []
-        self.alone: list[bool] = []
-        bags, questions = [], []
-        for key, text in items:
-            lowered = (text or "").lower()
-            words = words_of(lowered)
-            for start in range(0, len(words), PIECE):
-                if start and len(words) - start < PIECE // 2:
-                    continue  # a short last piece belongs to the one before
-                whole = len(words) <= PIECE + PIECE // 2
-                piece = words[start : start + PIECE] if len(words) - start >= PIECE * 3 // 2 else words[start:]
-                q, a = question_and_answer(lowered) if whole else (" ".join(piece), "")
-                self.item.append(key)
-                self.parts.append((shingles(words_of(q)), shingles(words_of(a))))
-                self.words.append(piece)
-                bags.append(Counter(piece))
-                if words_of(a) and len(words_of(q)) >= QUESTION:
-                    questions.append((key, self.parts[-1], words_of(q)))
-        self.longest = max((sum(b.values()) for b in bags), default=1)
-        mean = sum(sum(b.values()) for b in bags) / max(1, len(bags))
-        n_with, n_bags = Counter(t for b in bags for t in b), len(bags)
-        self.alone = [False] * n_bags + [True] * len(questions)
-        for key, parts, words in questions:
+        found = [(key, *piece) for key, text in items for piece in pieces(text)]
+        questions = [(key, parts, question) for key, _, parts, question in found if question]
+        self.alone = [False] * len(found) + [True] * len(questions)
+        for key, words, parts in [(key, words, parts) for key, words, parts, _ in found] + [(key, words, parts) for key, parts, words in questions]:
             self.item.append(key)
             self.parts.append(parts)
             self.words.append(words)
-            bags.append(Counter(words))
+        self.longest, mean = stats.longest, stats.words / max(1, stats.n)
+        bags = [Counter(words) for words in self.words]
         postings = defaultdict(list)
         for i, bag in enumerate(bags):
             size = sum(bag.values())
-            impact = {t: np.log(1 + (n_bags - n_with[t] + 0.5) / (n_with[t] + 0.5)) * f * (K1 + 1) / (f + K1 * (1 - B + B * size / mean)) for t, f in bag.items()}
+            impact = {t: np.log(1 + (stats.n - stats.n_with[t] + 0.5) / (stats.n_with[t] + 0.5)) * f * (K1 + 1) / (f + K1 * (1 - B + B * size / mean)) for t, f in bag.items()}
             own = sum(impact.values())
             for t, w in impact.items():
                 postings[t].append((i, float(w / own)))
@@ -254,12 +277,32 @@ class Index:
         return found
 
 
-def indexes(items: DataFrame, item_col: str = "item_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> list[Index]:
-    """One index for each block of items of a checked size."""
+def indexes(items: DataFrame, item_col: str = "item_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES) -> Iterator[Index]:
+    """One index for each block of items, with the statistics of all."""
     items = items.select(F.col(item_col).cast("long").alias("k"), F.col(text_col).cast("string").alias("t")).where("length(t) > 0")
     total = items.agg(F.sum(F.octet_length("t"))).first()[0] or 0
+    if not total:
+        return
     blocks = -(-total // block_bytes)
-    return [Index([(r.k, r.t) for r in items.where(F.pmod(F.xxhash64("k", "t"), F.lit(blocks)) == b).orderBy("k", "t").collect()]) for b in range(blocks)]
+    items = materialize(items.withColumn("block", F.pmod(F.xxhash64("k", "t"), F.lit(blocks)).cast("int")), "items")
+
+    def count(batches):
+        for batch in batches:
+            rows = []
+            for block, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                for piece, _, _ in pieces(text):
+                    rows += [(block, None, len(piece)), *((block, w, 1) for w in sorted(set(piece)))]
+            kinds = (pa.int32(), pa.string(), pa.int64())
+            columns = zip(*rows, strict=True) if rows else [[]] * 3
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["block", "word", "n"])
+
+    words = materialize(items.select("block", "t").mapInArrow(count, "block int, word string, n long"), "item-words")
+    whole = words.where("word is null").agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("n"), F.lit(0)).alias("words"), F.coalesce(F.max("n"), F.lit(1)).alias("longest")).first()
+    n_with = materialize(words.where("word is not null").groupBy("word").agg(F.count(F.lit(1)).alias("n")), "word-counts")
+    for b in range(blocks):
+        own = n_with.join(words.where((F.col("block") == b) & F.col("word").isNotNull()).select("word").distinct(), "word")
+        stats = Statistics(whole.n, whole.words, whole.longest, {r.word: r.n for r in own.collect()})
+        yield Index([(r.k, r.t) for r in items.where(F.col("block") == b).orderBy("k", "t").collect()], stats)
 
 
 def leaked_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, overlap: float = OVERLAP) -> DataFrame:
@@ -269,10 +312,12 @@ def leaked_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text
     narrow = docs.select(id_col, F.col(text_col).cast("string").alias("__text")).where(F.length("__text") > 0)
     out = None
     for index in indexes(items):
+        shared = docs.sparkSession.sparkContext.broadcast(index)
 
-        def run(batches, index=index):
+        def run(batches, shared=shared):
+            leaks = shared.value.leaks
             for batch in sliced(batches, "__text", 8 << 20):
-                rows = [(key, item, *values) for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) for item, values in sorted(index.leaks(text, threshold, overlap).items())]
+                rows = [(key, item, *values) for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) for item, values in sorted(leaks(text, threshold, overlap).items())]
                 types = [batch.schema.field(0).type, pa.int64(), pa.float64(), pa.float64(), pa.float64()]
                 columns = list(zip(*rows, strict=True)) if rows else [[]] * 5
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=[id_col, "item_id", "score", "question_overlap", "answer_overlap"])
@@ -285,10 +330,12 @@ def leaked_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text
 def drop_leaking(docs: DataFrame, items: DataFrame, text_col: str = "text") -> DataFrame:
     """The rows that leak no item, with all their columns."""
     for index in indexes(items):
+        shared = docs.sparkSession.sparkContext.broadcast(index)
 
-        def run(batches, index=index):
+        def run(batches, shared=shared):
+            leaks = shared.value.leaks
             for batch in sliced(batches, text_col, 8 << 20):
-                yield batch.filter(pa.array([not (t and index.leaks(t)) for t in batch.column(text_col).to_pylist()], pa.bool_()))
+                yield batch.filter(pa.array([not (t and leaks(t)) for t in batch.column(text_col).to_pylist()], pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)
     return docs

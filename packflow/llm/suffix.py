@@ -9,12 +9,13 @@ strings are judged on the input and never cross documents. Only suffixes that ca
 2. Tasks send each batch's distinct anchor hashes, by bucket; the buckets reply which ones occur in more
    than one document.
 3. Those anchors' contexts (all windows they stand for) go to the buckets once per batch and text: further
-   copies in a batch are settled where they are. Buckets sort the window suffixes, multikey quicksort over
-   8-byte characters to a shallow depth and blind tries for what still shares a prefix, so that equal
-   windows stand together, and reply which windows start in a document with a smaller id.
+   copies in a batch are settled where they are. Buckets sort the window suffixes of each anchor, multikey
+   quicksort over 8-byte characters to a shallow depth and blind tries for what still shares a prefix, so
+   that equal windows stand together, and reply which windows start in a document with a smaller id.
 4. Batches turn the replies into covered bytes.
 
-Rows travel as packed blobs, one per batch and bucket; texts are shuffled once, compressed. Nothing is
+Rows travel as packed blobs, one per batch and bucket, whose sizes follow the table's (``grid``); texts are
+shuffled once, compressed. Nothing is
 broadcast and nothing but the table's size in bytes comes to the driver.
 
 Null texts are empty; null ids count as greater than all ids; documents with equal ids are no source for
@@ -31,10 +32,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from packflow.llm.common import NULL_ID, id_or_last, sliced, text_bytes
+from packflow.llm.common import NULL_ID, grid, id_or_last, sliced, text_bytes
 
 LENGTH, GRAM = 50, 20
-BATCH_BYTES, SLICE = 4 << 20, 1 << 20
+SLICE = 1 << 20
 HASH_BITS = 48
 #: Bytes to which suffixes are sorted by multikey quicksort before blind tries take over.
 SHALLOW = 40
@@ -159,27 +160,57 @@ def words_at(buf: np.ndarray, at: np.ndarray, n: int = 8) -> np.ndarray:
     return out
 
 
-def deep_shallow_sort(buf: np.ndarray, at: np.ndarray, depth: int, shallow: int = SHALLOW) -> tuple[np.ndarray, np.ndarray]:
+def multikey_quicksort(buf: np.ndarray, at: np.ndarray, order: np.ndarray, fresh: np.ndarray, depth: int) -> None:
+    """Sort each group of suffixes by its first ``depth`` bytes, a multiple of 8, in place.
+
+    ``order`` has the suffixes, ``fresh`` marks where groups begin; both are brought up to date. A character
+    is eight bytes. In a round every open group is parted by a character of its own into what is less,
+    equal and greater; the equal part goes on with the next character, the others with the same one. All
+    groups take the round together, as array operations over the elements that are still open.
+    """
+    if not depth or not len(order):
+        return
+    view = np.ndarray(len(buf) - 7, ">u8", buf, strides=(1,))
+    start = np.flatnonzero(fresh)
+    size = np.diff(np.append(start, len(order)))
+    start, size = start[size > 1], size[size > 1]
+    done = np.zeros(len(start), np.int64)
+    while len(start):
+        first = np.cumsum(size) - size
+        of = np.repeat(np.arange(len(start)), size)
+        index = np.arange(len(of)) + (start - first)[of]
+        members = order[index]
+        key = view[at[members] + done[of]].astype(np.uint64)
+        pivot = key[first + size // 2][of]
+        side = (key >= pivot).astype(np.int8) + (key > pivot)  # less, equal, greater
+        code = 3 * of + side
+        count = np.bincount(code, minlength=3 * len(start))
+        base = np.cumsum(count) - count
+        rank = np.empty(len(of), np.int64)
+        for part in range(3):
+            here = side == part
+            before = np.cumsum(here) - here
+            rank[here] = before[here] - before[first][of[here]]
+        moved = np.empty_like(members)
+        moved[base[code] + rank] = members
+        order[index] = moved
+        start, size, done = np.repeat(start - first, 3) + base, count, np.repeat(done, 3) + 8 * (np.arange(len(count)) % 3 == 1)
+        fresh[start[size > 0]] = True
+        open_ones = (size > 1) & (done < depth)
+        start, size, done = start[open_ones], size[open_ones], done[open_ones]
+
+
+def deep_shallow_sort(buf: np.ndarray, at: np.ndarray, depth: int, shallow: int = SHALLOW, known: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(order, group): suffixes from ``at`` by their first ``depth`` bytes, and which of them, in that
-    order, are equal so far. ``buf`` must hold ``depth`` bytes from every place."""
+    order, are equal. ``buf`` must hold ``depth`` bytes from every place. Suffixes whose ``known`` numbers
+    differ are taken to differ, and those of one number stand together."""
     n = len(at)
-    order, group = np.arange(n), np.zeros(n, np.int64)
-    done = 0
-    while done < min(shallow, depth) and n:
-        step = min(8, min(shallow, depth) - done)
-        size = np.bincount(group)
-        live = np.flatnonzero(size[group] > 1)
-        if not len(live):
-            return order, group
-        key = words_at(buf, at[order[live]] + done, step)
-        ranked = np.lexsort((key, group[live]))
-        order[live] = order[live[ranked]]
-        key, g = key[ranked], group[live]
-        fresh = np.zeros(n, bool)
-        fresh[live[1:]] = (g[1:] == g[:-1]) & (key[1:] != key[:-1])
-        fresh[1:] |= group[1:] != group[:-1]
-        group = np.cumsum(fresh)
-        done += step
+    known = np.zeros(n, np.int64) if known is None else known
+    order = np.argsort(known, kind="stable")
+    fresh = np.append(True, known[order][1:] != known[order][:-1])[:n]
+    done = min(shallow, depth) // 8 * 8
+    multikey_quicksort(buf, at, order, fresh, done)
+    group = np.cumsum(fresh) - 1
     if done >= depth or not n:
         return order, group
     # what shares the shallow prefix: equal to the end, or a case for a blind trie
@@ -189,8 +220,6 @@ def deep_shallow_sort(buf: np.ndarray, at: np.ndarray, depth: int, shallow: int
     for k in range(done, depth, 8):
         key = words_at(buf, at[order] + k, min(8, depth - k))
         mixed |= np.minimum.reduceat(key, starts) != np.maximum.reduceat(key, starts)
-    fresh = np.zeros(n, bool)
-    fresh[starts] = True
     raw = buf.tobytes() if mixed.any() else b""
     for g in np.flatnonzero(mixed & (size > 1)).tolist():
         low = int(starts[g])
@@ -236,18 +265,18 @@ def bucket_cuts(hashes: np.ndarray, buckets: int) -> np.ndarray:
     return np.searchsorted(hashes, np.array(bounds, np.uint64))
 
 
-def gathered(batches):
-    """(number, Batch) of about BATCH_BYTES each; the number is the task's and a count."""
+def gathered(batches, batch_bytes: int):
+    """(number, Batch) of about ``batch_bytes`` each; the number is the task's and a count."""
     from pyspark import TaskContext
 
     number, ids, texts, held = TaskContext.get().partitionId() << 32, [], [], 0
     made = lambda: Batch(np.array(ids, np.int64), np.array([len(t) for t in texts], np.int64), b"".join(texts))
-    for part in sliced(batches, "text", BATCH_BYTES // 4):
+    for part in sliced(batches, "text", batch_bytes // 4):
         new = text_bytes(part.column(1))
         ids += part.column(0).to_pylist()
         texts += new
         held += sum(map(len, new))
-        if held >= BATCH_BYTES:
+        if held >= batch_bytes:
             full, ids, texts, held = made(), [], [], 0
             yield number, full
             number += 1
@@ -373,7 +402,11 @@ def earlier_windows(context: np.ndarray, low: np.ndarray, high: np.ndarray, doc:
     of = np.repeat(np.arange(len(head)), sizes)
     before = np.repeat(high[head], sizes) - (np.arange(len(of)) - np.repeat(np.cumsum(sizes) - sizes, sizes))
     wide = context.shape[1]
-    ranked, group = deep_shallow_sort(np.ascontiguousarray(context[head]).ravel(), of * wide + (wide - length) - before, length)
+    buf = np.ascontiguousarray(context[head]).ravel()
+    anchor = words_at(buf, np.arange(len(head)) * wide + wide - length)
+    # equal windows have equal anchors at equal distances
+    known = np.unique(anchor, return_inverse=True)[1][of] * 32 + before
+    ranked, group = deep_shallow_sort(buf, of * wide + (wide - length) - before, length, known=known)
     starts = np.flatnonzero(np.append(True, group[1:] != group[:-1]))
     least = np.minimum.reduceat(doc[head][of[ranked]], starts)[group]
     earlier = np.zeros(len(of), bool)
@@ -439,15 +472,15 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     if not GRAM + 1 <= length <= GRAM + 31 or (2 * length - GRAM) % 8:
         raise ValueError("the length must leave 1 to 31 places for the anchor, and contexts of whole words")
     size = docs.agg(F.sum(F.octet_length(F.col(text_col).cast("string")))).first()[0] or 0
-    buckets = max(64, min(1 << 14, size >> 21))
+    batch_bytes, buckets = grid(size)
     narrow = docs.select(id_or_last(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
 
     def pack(rows):
-        for number, b in gathered(rows):
+        for number, b in gathered(rows, batch_bytes):
             yield pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([b.pack()], pa.binary())], names=["batch", "blob"])
 
     def hashes(rows):
-        for number, b in gathered(rows):
+        for number, b in gathered(rows, batch_bytes):
             yield hash_rows(number, b, buckets, length)
 
     def contexts(key, left, right):

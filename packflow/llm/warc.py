@@ -8,8 +8,11 @@ Reading: tasks scan blocks of the files for the record magic and emit, for each
 record parses, the offset of its successor. Inside a block these chains are contracted to where they
 leave it; across blocks, pointer jumping from the start of each file (doubling joins, checkpointed)
 keeps only what the chain reaches, so that magic inside payloads is rejected. A last pass reads the
-records from each block's verified entry. Records may span blocks. A chain that breaks before the end
-of its file is an error.
+records from each block's verified entry to where its chain leaves the block. Files of one block take the
+same way. Records may span blocks. A chain that breaks before the end of its file is an error.
+
+Hot payloads: the digests of most copies, at most ``HOT_DIGESTS`` of them by their share of all pages, are
+broadcast; the pages of the others meet their group in a join, whose largest group that share bounds.
 
 Null html is an empty payload. Equal smallest page ids are all responses; a null page id is a response
 only if no id in its group is known. Repeated rows each get a record.
@@ -29,6 +32,8 @@ from pyspark.sql import functions as F
 from packflow.llm.common import materialize, shared_dir, sliced, storage, text_bytes, write_atomically
 
 LEAST_REVISIT = 100
+#: Digests whose copies are more than this fraction of all pages are fewer than it, 40 bytes each.
+HOT_DIGESTS = 100_000
 BLOCK = 8 << 20
 # Fixed values of the WARC and gzip formats.
 MAGIC, END = b"WARC/1.1\r\n", b"\r\n\r\n"
@@ -154,9 +159,10 @@ def write_archives(pages: DataFrame, folder: str, gzip: bool = True, id_col: str
         .groupBy("digest")
         .agg(F.min("page").alias("first"), F.count(F.lit(1)).alias("copies"))
         .where("copies > 1")
-        .select("digest", "first")
     )
     shared = materialize(shared, "warc-shared")
+    copies = shared.agg(F.sum("copies")).first()[0] or 0
+    hot = F.col("copies") > max(1000, copies // HOT_DIGESTS)
 
     def pack(batches):
         for batch in sliced(batches, "html", 16 << 20):
@@ -165,7 +171,12 @@ def write_archives(pages: DataFrame, folder: str, gzip: bool = True, id_col: str
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(digests, pa.binary()), pa.array([zlib.compress(p, 1) for p in payloads], pa.binary())], names=["page", "url", "digest", "packed"])
 
     narrow = pages.select(F.col(id_col).cast("long").alias("page"), F.coalesce(F.col(url_col).cast("string"), F.lit("")).alias("url"), F.col(html_col).cast("string").alias("html"))
-    packed = narrow.mapInArrow(pack, "page long, url string, digest binary, packed binary").join(shared, "digest", "left").select("page", "url", "digest", "packed", "first")
+    packed = narrow.mapInArrow(pack, "page long, url string, digest binary, packed binary")
+    packed = packed.join(F.broadcast(shared.where(hot).select("digest", F.col("first").alias("hot_first"), F.lit(True).alias("hot"))), "digest", "left")
+    # a page of a hot payload is done; its key is its own from here on, so that copies do not crowd into a task
+    key = F.when(F.col("hot"), F.unhex(F.sha2(F.concat("digest", F.monotonically_increasing_id().cast("string").cast("binary")), 256))).otherwise(F.col("digest"))
+    rest = shared.where(~hot).select(F.col("digest").alias("key"), "first")
+    packed = packed.withColumn("key", key).join(rest, "key", "left").select("page", "url", "digest", "packed", F.coalesce("hot_first", "first").alias("first"))
 
     def write(batches):
         from pyspark import TaskContext
@@ -203,23 +214,27 @@ def read_archives(files: DataFrame, gzip: bool = True, block: int = BLOCK) -> Da
                 yield pa.RecordBatch.from_arrays([pa.array([path] * len(edges), pa.string()), pa.array([e[0] for e in edges], pa.int64()), pa.array([e[1] for e in edges], pa.int64())], names=["path", "src", "dst"])
 
     reached = files.where("bytes > 0").select("path", F.lit(0).cast("long").alias("at"))
-    if most > 1:
-        edges = materialize(blocks.mapInArrow(scan, "path string, src long, dst long"), "warc-edges")
-        entries = edges.select("path", F.col("dst").alias("src")).union(reached.select("path", F.col("at").alias("src"))).distinct()
-        jump = materialize(edges.join(entries, ["path", "src"], "left_semi"), "warc-jump")
-        for k in range((most - 1).bit_length()):
-            step = reached.join(jump, (reached.path == jump.path) & (reached["at"] == jump.src)).select(reached.path, F.col("dst").alias("at"))
-            reached = materialize(reached.union(step).distinct(), "warc-reached")
-            if 2 << k < most:
-                a, b = jump.alias("a"), jump.alias("b")
-                jump = materialize(a.join(b, (F.col("a.path") == F.col("b.path")) & (F.col("a.dst") == F.col("b.src"))).select("a.path", "a.src", "b.dst"), "warc-jump")
+    edges = materialize(blocks.mapInArrow(scan, "path string, src long, dst long"), "warc-edges")
+    entries = edges.select("path", F.col("dst").alias("src")).union(reached.select("path", F.col("at").alias("src"))).distinct()
+    jump = direct = materialize(edges.join(entries, ["path", "src"], "left_semi"), "warc-jump")
+    for k in range(max(1, (most - 1).bit_length())):
+        step = reached.join(jump, (reached.path == jump.path) & (reached["at"] == jump.src)).select(reached.path, F.col("dst").alias("at"))
+        reached = materialize(reached.union(step).distinct(), "warc-reached")
+        if 2 << k < most:
+            a, b = jump.alias("a"), jump.alias("b")
+            jump = materialize(a.join(b, (F.col("a.path") == F.col("b.path")) & (F.col("a.dst") == F.col("b.src"))).select("a.path", "a.src", "b.dst"), "warc-jump")
+    leaves = direct.select("path", F.col("src").alias("at"), F.col("dst").alias("until"))
+    ends = files.select("path", F.col("bytes").alias("at"))
+    reached = reached.join(ends, ["path", "at"], "left_anti").join(leaves, ["path", "at"], "left")
 
     def walk(batches):
         for batch in batches:
-            for path, start in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                end, at, rows, held = start // block * block + block, start, [], 0
+            for path, start, until in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                at, rows, held = start, [], 0
+                if until is None:
+                    raise WarcError(f"the chain of {path} breaks in the block of {start}")
                 reader = Reader(path, start, block)
-                while at < min(end, reader.size):
+                while at < until:
                     found = reader.record(at, gzip)
                     if not found:
                         raise WarcError(f"the chain of {path} breaks at {at}")

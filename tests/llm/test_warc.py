@@ -52,3 +52,25 @@ def test_broken_chain_is_an_error(spark):
 
 def test_empty_table(spark):
     assert warc.page_records(spark.createDataFrame([], SCHEMA)).select(F.count("*")).first()[0] == 0
+
+
+def test_hot_payloads_are_spread_and_refer_to_the_first(spark, monkeypatch):
+    """Pages of one payload by the thousand, and of a few others, give the same records either way."""
+    made = [(k, "u", ("error page " * 20) if k % 3 else f"page {k % 50} " * 20, 0) for k in range(1, 3001)]
+    pages = spark.createDataFrame(made, SCHEMA).repartition(4)
+    got = {r.page_id: (r.record_type, r.refers_to) for r in warc.page_records(pages).collect()}
+    first = {}
+    for k, _, h, _ in made:
+        first.setdefault(h, k)
+    assert got == {k: ("response", None) if first[h] == k else ("revisit", first[h]) for k, _, h, _ in made}
+
+
+def test_small_files_go_through_candidates(spark, monkeypatch):
+    """One block or many: entries come from verified candidates."""
+    pages = spark.createDataFrame(rows(), SCHEMA).coalesce(1)
+    files = warc.write_archives(pages, shared_dir(spark, "t"))
+    seen = []
+    original = warc.materialize
+    monkeypatch.setattr(warc, "materialize", lambda df, name: seen.append(name) or original(df, name))
+    assert warc.read_archives(files).count() == len(rows())
+    assert seen == ["warc-edges", "warc-jump", "warc-reached"]

@@ -1,8 +1,10 @@
 """TIFF media columns: write byte payloads as grey 8-bit images, walk image directories, decode
 PackBits, LZW and deflate strips or tiles, undo predictors, and emit one row per page.
 
-Results for odd input: a null media value gives no page; bytes that are no TIFF give one row with
-``page`` -1 and the reason in ``error``; an unknown compression does the same for its page only.
+Results for odd input: a null media value gives no page, and a digest row of nulls; bytes that are no TIFF
+give one row with ``page`` -1 and the reason in ``error``; a page that cannot be decoded, whatever is damaged
+in it, gives a row with its number and the reason. A page that declares more samples than its bytes could
+hold in any of the compressions is refused before memory is taken for it.
 """
 
 from __future__ import annotations
@@ -29,10 +31,18 @@ NONE, LZW, DEFLATE, PACKBITS, OLD_DEFLATE = 1, 5, 8, 32773, 32946
 LZW_CLEAR, LZW_END, LZW_MAX_BITS = 256, 257, 12
 
 
+#: No compression makes more samples of a byte (deflate's 1,032 is the most).
+MOST_SAMPLES = 1100
+
+
 class TiffError(ValueError):
     pass
 
 
+#: What reading damaged bytes may raise.
+DAMAGE = (ArithmeticError, LookupError, MemoryError, ValueError, zlib.error, struct.error)
+
+
 def packbits_encode(data: bytes) -> bytes:
     """Runs of three or more equal bytes as repeats, the rest as literals of at most 128 bytes."""
     if not data:
@@ -131,6 +141,8 @@ def lzw_decode(data: bytes) -> bytes:
             table, width, previous = list(base), 9, None
             continue
         if previous is None:
+            if code >= len(table):
+                raise TiffError("LZW code out of range")
             entry = table[code]
         else:
             if code < len(table):
@@ -160,7 +172,7 @@ def encode_segment(rows: np.ndarray, compression: int, predictor: int) -> bytes:
 
 def decode_segment(data: bytes, compression: int, expected: int) -> bytes:
     if compression in (DEFLATE, OLD_DEFLATE):
-        return zlib.decompress(data)
+        return zlib.decompressobj().decompress(data, max(1, expected))
     if compression == LZW:
         return lzw_decode(data)
     if compression == PACKBITS:
@@ -242,6 +254,8 @@ def directories(media: bytes) -> Iterator[dict[int, list[int]]]:
         if at + 2 > len(media):
             raise TiffError("directory beyond the end")
         count, tags = struct.unpack_from(order + "H", media, at)[0], {}
+        if at + 2 + 12 * count + 4 > len(media):
+            raise TiffError("a directory reaches beyond the end")
         for k in range(count):
             tag, kind, n = struct.unpack_from(order + "HHI", media, at + 2 + 12 * k)
             if kind not in FIELD_CODE:
@@ -249,6 +263,8 @@ def directories(media: bytes) -> Iterator[dict[int, list[int]]]:
             where = at + 2 + 12 * k + 8
             if n * FIELD_SIZE[kind] > 4:
                 where = struct.unpack_from(order + "I", media, where)[0]
+            if where + n * FIELD_SIZE[kind] > len(media):
+                raise TiffError("a field reaches beyond the end")
             tags[tag] = list(struct.unpack_from(f"{order}{n}{FIELD_CODE[kind]}", media, where))
         yield tags
         at = struct.unpack_from(order + "I", media, at + 2 + 12 * count)[0]
@@ -259,13 +275,21 @@ def read_page(media: bytes, tags: dict[int, list[int]], number: int) -> Page:
     width, height, depth = one(WIDTH, 0), one(LENGTH, 0), one(SAMPLES, 1)
     if set(tags.get(BITS, [8])) != {8} or one(PLANAR, 1) != 1:
         raise TiffError("only chunky 8-bit samples are read")
-    image = np.zeros((height, width, depth), np.uint8)
+    if min(width, height, depth) < 1:
+        raise TiffError("a page without samples")
+    if width * height * depth > MOST_SAMPLES * len(media):
+        raise TiffError("more samples are declared than the bytes can hold")
     tiled = TILE_OFFSETS in tags
     wide = one(TILE_WIDTH, width) if tiled else width
     high = one(TILE_LENGTH, height) if tiled else min(one(ROWS_PER_STRIP, height) or height, height)
     offsets, sizes = (tags[t] for t in ((TILE_OFFSETS, TILE_BYTES) if tiled else (STRIP_OFFSETS, STRIP_BYTES)))
-    across = -(-width // wide) if width else 1
-    for k, (offset, n) in enumerate(zip(offsets, sizes, strict=True)):
+    if min(wide, high) < 1 or wide > 1 << 16 and tiled or wide * high * depth > MOST_SAMPLES * max(len(media), 64):
+        raise TiffError("impossible strips or tiles")
+    across, down = -(-width // wide), -(-height // high)
+    if len(offsets) != len(sizes) or len(offsets) < across * down:
+        raise TiffError("strips or tiles are missing")
+    image = np.zeros((height, width, depth), np.uint8)
+    for k, (offset, n) in enumerate(zip(offsets[: across * down], sizes, strict=False)):
         y, x = k // across * high, k % across * wide
         rows = high if tiled else min(high, height - y)
         raw = decode_segment(media[offset : offset + n], one(COMPRESSION, 1), rows * wide * depth)
@@ -309,10 +333,10 @@ def tiff_pages(df: DataFrame, id_col: str, media_col: str, with_samples: bool =
                         try:
                             p = read_page(media, tags, number)
                             rows.append((key, number, p.width, p.height, p.compression, p.samples.tobytes() if with_samples else None, average_hash(p.samples), None))
-                        except (TiffError, KeyError, ValueError, zlib.error, struct.error) as e:
-                            rows.append((key, number, None, None, None, None, None, str(e)))
-                except (TiffError, struct.error) as e:
-                    rows.append((key, -1, None, None, None, None, None, str(e)))
+                        except DAMAGE as e:
+                            rows.append((key, number, None, None, None, None, None, f"{type(e).__name__}: {e}"))
+                except DAMAGE as e:
+                    rows.append((key, -1, None, None, None, None, None, f"{type(e).__name__}: {e}"))
             types = [batch.schema.field(0).type, pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.string(), pa.string()]
             columns = list(zip(*rows, strict=True)) if rows else [[]] * 8
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=names)
@@ -351,6 +375,9 @@ def media_digest(media: DataFrame, id_col: str = "doc_id") -> DataFrame:
         for batch in sliced(batches, "media", 32 << 20):
             rows = []
             for m in batch.column(2).to_pylist():
+                if m is None:
+                    rows.append((None,) * 7)
+                    continue
                 payload, hashes = [], []
                 for page in read_pages(m):
                     payload.append(page.samples.tobytes())

@@ -221,10 +221,14 @@ class PartitionFiles:
         return path
 
 
-def route(df: DataFrame, lanes: int) -> DataFrame:
-    """The one shuffle: texts to lanes by key, in order within a lane. The fixed number of partitions keeps
-    adaptive execution from changing lanes."""
-    return df.select(lane_of(F.col("part_key"), lanes).alias("lane"), F.col("part_key").cast("string").alias("part_key"), F.col("seq").cast("long").alias("seq"), "text").repartition(lanes, "lane").sortWithinPartitions("lane", "part_key", "seq")
+def route(df: DataFrame, lanes: int, order: tuple[str, ...] = ("seq",), lane=lane_of) -> DataFrame:
+    """The one shuffle: texts to lanes by key, in order within a lane; each lane is a task of its own, and
+    the fixed number of partitions keeps adaptive execution from changing that. Texts without ``seq`` come
+    in the order of other columns, and the lane numbers them."""
+    key = F.col("part_key").cast("string")
+    seq = F.col("seq").cast("long") if "seq" in df.columns else F.lit(None).cast("long")
+    chosen = df.select(lane(key, lanes).alias("lane"), key.alias("part_key"), seq.alias("seq"), "text", *(c for c in order if c != "seq"))
+    return chosen.repartitionById(lanes, "lane").sortWithinPartitions("lane", "part_key", *order).select("lane", "part_key", "seq", "text")
 
 
 def run_lane(policy: PackPolicy, emitter: Emitter):
@@ -232,7 +236,7 @@ def run_lane(policy: PackPolicy, emitter: Emitter):
 
     def run(batches):
         emitter.start()
-        lane, buffer, number, seen = None, None, 0, set()
+        lane, buffer, number, seen, count = None, None, 0, set(), 0
 
         def emit(packs):
             nonlocal number
@@ -254,8 +258,12 @@ def run_lane(policy: PackPolicy, emitter: Emitter):
                     if key in seen:
                         raise UnsortedInputError(f"key {key!r} came again")
                     seen.add(key)
-                    last = key
-                yield from emit(buffer.feed(key, batch.column(2).slice(a, b - a), batch.column(3).slice(a, b - a)))
+                    last, count = key, 0
+                seqs = batch.column(2).slice(a, b - a)
+                if seqs.null_count:  # the texts are numbered here, from 1
+                    seqs = pa.array(np.arange(count + 1, count + 1 + b - a))
+                count += b - a
+                yield from emit(buffer.feed(key, seqs, batch.column(3).slice(a, b - a)))
         if buffer is not None:
             yield from emit(buffer.finish())
         emitter.close()
@@ -263,10 +271,13 @@ def run_lane(policy: PackPolicy, emitter: Emitter):
     return run
 
 
-def stream_pack_encode(corpus: DataFrame, policy: PackPolicy, profile: EncoderProfile, lanes: int = 8, what: str = "vectors", sink=None, io: str = "async", serialize: str = "zero_copy", **more) -> DataFrame:
-    """Streaming two-threshold packing: one call per pack of whole partitions, sliced back by their bounds."""
+def stream_pack_encode(corpus: DataFrame, policy: PackPolicy, profile: EncoderProfile, lanes: int = 8, what: str = "vectors", sink=None, io: str = "async", serialize: str = "zero_copy", order: tuple[str, ...] = ("seq",), lane=lane_of, **more) -> DataFrame:
+    """Streaming two-threshold packing: one call per pack of whole partitions, sliced back by their bounds.
+
+    ``order`` numbers texts that have no ``seq`` yet; ``lane`` deals keys to lanes.
+    """
     emitter = Emitter(profile, what, serialize, sink, io, bound=policy.b_max if policy.ceiling == "before" and policy.oversize == "split" else None, **more)
-    return route(corpus, lanes).mapInArrow(run_lane(policy, emitter), SCHEMAS[what])
+    return route(corpus, lanes, order, lane).mapInArrow(run_lane(policy, emitter), SCHEMAS[what])
 
 
 def per_partition_encode(corpus: DataFrame, profile: EncoderProfile, what: str = "vectors", sink=None, io: str = "sync") -> DataFrame:
@@ -327,7 +338,7 @@ def planned_encode(corpus: DataFrame, plan: DataFrame, profile: EncoderProfile,
     emitter = Emitter(profile, what)
     keyed = plan.select(F.col("part_key").alias("__key"), "pack_id")
     rows = corpus.join(keyed, F.col("part_key").eqNullSafe(F.col("__key"))).select("pack_id", F.col("part_key").cast("string").alias("part_key"), F.col("seq").cast("long").alias("seq"), F.coalesce("text", F.lit("")).alias("text"))
-    ordered = rows.repartition(tasks, "pack_id").sortWithinPartitions("pack_id", "part_key", "seq")
+    ordered = rows.repartitionById(tasks, F.pmod("pack_id", F.lit(tasks)).cast("int")).sortWithinPartitions("pack_id", "part_key", "seq")
 
     def encode(batches):
         emitter.start()

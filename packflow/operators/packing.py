@@ -72,7 +72,7 @@ def greedy_pack(sizes: DataFrame, policy: PackPolicy, lanes: int = 1) -> DataFra
     """
     if "lane" not in sizes.columns:
         sizes = sizes.withColumn("lane", lane_of(F.col("part_key"), lanes))
-    ordered = units(sizes, policy).select("lane", "arrival", "part_key", "chunk", "n", "whole").repartition(lanes, "lane").sortWithinPartitions("lane", "arrival", "part_key", "chunk")
+    ordered = units(sizes, policy).select("lane", "arrival", "part_key", "chunk", "n", "whole").repartitionById(lanes, "lane").sortWithinPartitions("lane", "arrival", "part_key", "chunk")
 
     def scan(batches):
         lane, state, held, offset, pack = object(), None, [], 0, 0
@@ -129,31 +129,93 @@ def prefix_pack(sizes: DataFrame, b_min: int) -> DataFrame:
     return sizes.select("lane", F.floor(before / b_min).cast("long").alias("pack_id"), "part_key", F.lit(0).alias("chunk"), F.col("n_texts").alias("n"), "arrival")
 
 
-def greedy_jump(sizes: DataFrame, b_min: int) -> DataFrame:
+def greedy_jump(sizes: DataFrame, b_min: int, tasks: int | None = None) -> DataFrame:
     """The greedy plan without a ceiling, for very many partitions: each partition points to the first one
     whose preceding total is ``b_min`` more, and doubling the pointers from the first partition marks where
-    packs begin. log2(P) rounds of equality joins, each checkpointed."""
+    packs begin. ``arrival`` must count from 1.
+
+    Nothing is in one task but a row for each range of arrivals: totals are running sums within a range and
+    the ranges' offsets. A pointer's target is found by a merge within equal stretches of the running total,
+    of ``b_min`` or more each, to which a probe and the first partition of a stretch go. Inside a range,
+    pointers are followed to where they leave it; log2(ranges) rounds of equality joins between ranges and
+    one more pass within them mark the rest.
+    """
     from packflow.operators.resume import checkpointed
 
-    w = Window.orderBy("arrival", "part_key")
-    base = checkpointed(sizes.select("part_key", "arrival", F.col("n_texts").alias("n"), (F.row_number().over(w) - 1).cast("long").alias("i"), (F.sum("n_texts").over(w.rowsBetween(Window.unboundedPreceding, 0)) - F.col("n_texts")).alias("c")))
-    probe = base.select((F.col("c") + b_min).alias("v"), F.lit(1).alias("kind"), F.col("i"))
-    target = base.select(F.col("c").alias("v"), F.lit(0).alias("kind"), F.col("i"))
+    spark = sizes.sparkSession
+    tasks = tasks or max(2, spark.sparkContext.defaultParallelism)
+    last = sizes.agg(F.max("arrival")).first()[0]
+    if last is None:
+        return sizes.select(F.lit(0).alias("lane"), F.lit(0).cast("long").alias("pack_id"), "part_key", F.lit(0).alias("chunk"), F.col("n_texts").alias("n"), "arrival")
+    stretch = -(-last // tasks)
+    ranged = sizes.select("part_key", "arrival", F.col("n_texts").alias("n"), (F.col("arrival") - 1).alias("i"), F.floor((F.col("arrival") - 1) / stretch).cast("int").alias("range"))
+    within = Window.partitionBy("range").orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
+    ranged = checkpointed(ranged.repartitionById(tasks, "range").withColumn("c", F.sum("n").over(within) - F.col("n")))
+    totals = ranged.groupBy("range").agg(F.sum("n").alias("total"))
+    base = totals.select("range", (F.sum("total").over(Window.orderBy("range")) - F.col("total")).alias("before"))
+    rows = checkpointed(ranged.join(F.broadcast(base), "range").withColumn("c", F.col("c") + F.col("before")).drop("before"))
+    grand = rows.agg(F.max(F.col("c") + F.col("n"))).first()[0]
+    wide = max(b_min, -(-grand // tasks), 1)
+    # the first partition of each stretch of totals, and of the next one that has any: a row a stretch
+    cell = lambda c: F.floor(c / wide).cast("long")
+    heads = rows.groupBy(cell(F.col("c")).alias("cell")).agg(F.min("i").alias("head"))
+    after = heads.select((F.col("cell")).alias("have"), "head").withColumn("previous", F.lag("have").over(Window.orderBy("have")))
+    following = after.select(F.explode(F.sequence(F.coalesce(F.col("previous"), F.lit(-1)).cast("long"), F.col("have") - 1)).alias("cell"), F.col("head").alias("next"))
+    target = rows.select(cell(F.col("c")).alias("cell"), F.col("c").alias("v"), F.lit(0).alias("kind"), "i")
+    probe = rows.select(cell(F.col("c") + b_min).alias("cell"), (F.col("c") + b_min).alias("v"), F.lit(1).alias("kind"), "i")
     # from the greatest value down; targets stand before probes of the same value, which they serve
-    later = Window.orderBy(F.col("v").desc(), F.col("kind").asc(), F.col("i").desc()).rowsBetween(Window.unboundedPreceding, 0)
-    jump = probe.union(target).withColumn("to", F.min(F.when(F.col("kind") == 0, F.col("i"))).over(later)).where("kind = 1 and to is not null").select("i", "to")
-    jump = checkpointed(jump)
-    reached = base.where("i = 0").select("i")
-    for _ in range(max(1, base.count().bit_length())):
-        step = reached.join(jump, "i").select(F.col("to").alias("i"))
-        reached = checkpointed(reached.union(step).distinct())
-        a, b = jump.alias("a"), jump.alias("b")
-        jump = checkpointed(a.join(b, F.col("a.to") == F.col("b.i")).select(F.col("a.i"), F.col("b.to")))
-        if jump.isEmpty():
-            break
-    starts = reached.withColumn("start", F.lit(1))
-    number = F.sum(F.coalesce("start", F.lit(0))).over(Window.orderBy("i").rowsBetween(Window.unboundedPreceding, 0)) - 1
-    return base.join(starts, "i", "left").select(F.lit(0).alias("lane"), number.cast("long").alias("pack_id"), "part_key", F.lit(0).alias("chunk"), "n", "arrival")
+    later = Window.partitionBy("cell").orderBy(F.col("v").desc(), F.col("kind").asc(), F.col("i").desc()).rowsBetween(Window.unboundedPreceding, 0)
+    merged = probe.union(target).withColumn("to", F.min(F.when(F.col("kind") == 0, F.col("i"))).over(later)).where("kind = 1")
+    jump = merged.join(F.broadcast(following), "cell", "left").select("i", F.coalesce("to", "next").alias("to"))
+    jump = checkpointed(jump.where("to is not null"))
+    region = lambda c: F.floor(c / stretch).cast("int")
+
+    def leave(batches):
+        """Within a range: each place with where its pointers lead out of it."""
+        table = {"i": [], "to": []}
+        for batch in batches:
+            table["i"] += batch.column(1).to_pylist()
+            table["to"] += batch.column(2).to_pylist()
+        out: dict[int, int] = {}
+        for i, to in sorted(zip(table["i"], table["to"], strict=True), reverse=True):
+            out[i] = out.get(to, to) if to // stretch == i // stretch else to
+        rows = sorted(out.items())
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64())], names=["i", "to"])
+
+    sent = jump.select(region(F.col("i")).alias("range"), "i", "to").repartitionById(tasks, "range")
+    exits = checkpointed(sent.mapInArrow(leave, "i long, to long"))
+    entered = rows.where("i = 0").select("i")
+    hop = exits.where(region(F.col("to")) != region(F.col("i")))
+    for _ in range(max(1, tasks.bit_length())):
+        entered = checkpointed(entered.union(entered.join(hop, "i").select(F.col("to").alias("i"))).distinct())
+        a, b = hop.alias("a"), hop.alias("b")
+        hop = checkpointed(a.join(b, F.col("a.to") == F.col("b.i")).select("a.i", "b.to"))
+
+    def mark(batches):
+        """Within a range: the places where packs begin, followed from where the range is entered."""
+        step, begin = {}, []
+        for batch in batches:
+            for i, to, entry in zip(*(c.to_pylist() for c in batch.columns[1:]), strict=True):
+                if entry:
+                    begin.append(i)
+                else:
+                    step[i] = to
+        found = set()
+        for i in begin:
+            own = i // stretch
+            while i is not None and i // stretch == own and i not in found:
+                found.add(i)
+                i = step.get(i)
+        yield pa.RecordBatch.from_arrays([pa.array(sorted(found), pa.int64())], names=["i"])
+
+    both = jump.select("i", "to", F.lit(False).alias("entry")).union(entered.select("i", F.lit(None).cast("long").alias("to"), F.lit(True).alias("entry")))
+    starts = both.select(region(F.col("i")).alias("range"), "i", "to", "entry").repartitionById(tasks, "range").mapInArrow(mark, "i long")
+    flagged = rows.join(starts.withColumn("start", F.lit(1)), "i", "left").withColumn("start", F.coalesce("start", F.lit(0)))
+    flagged = checkpointed(flagged.repartitionById(tasks, "range").withColumn("pack", F.sum("start").over(within)))
+    packs = flagged.groupBy("range").agg(F.sum("start").alias("packs"))
+    ahead = packs.select("range", (F.sum("packs").over(Window.orderBy("range")) - F.col("packs")).alias("ahead"))
+    number = F.col("ahead") + F.col("pack") - 1
+    return flagged.join(F.broadcast(ahead), "range").select(F.lit(0).alias("lane"), number.cast("long").alias("pack_id"), "part_key", F.lit(0).alias("chunk"), "n", "arrival")
 
 
 def first_fit_decreasing(rows: list[tuple], capacity: int) -> list[int]:

@@ -32,10 +32,15 @@ def md5_number(column: Column) -> Column:
 
 
 def lane_of(column: Column, lanes: int) -> Column:
-    """Hash lane of a key; a null key has lane 0."""
+    """Hash lane of a key, equal on every engine; a null key has lane 0."""
     return F.coalesce(md5_number(column) % lanes, F.lit(0)).cast("int")
 
 
+def own_lane_of(column: Column, lanes: int) -> Column:
+    """Hash lane of a key by Spark's own hash, which costs little for each row; a null key has lane 0."""
+    return F.when(column.isNull(), 0).otherwise(F.pmod(F.xxhash64(column), F.lit(lanes))).cast("int")
+
+
 ORDERS = ("key", "md5", "size_asc", "size_desc", "largest_last", "near_full_then_largest")
 
 

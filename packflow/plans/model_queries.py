@@ -13,9 +13,9 @@ from packflow.operators import packing, sizes
 from packflow.plans import sql
 from packflow.plans.packing_queries import BY_PART, all_sizes, all_sizes_sql, arrived, plan_of, size_table
 from packflow.plans.registry import query
-from packflow.sources.corpora import synthetic_sizes
+from packflow.sources.corpora import CORPORA, synthetic_sizes
 
-GRID = ("brand_nation", "supplier", "lang_source", "host", "conversation", "user_day", "event_type", "customer")
+GRID = tuple(CORPORA)
 
 
 def literal(spark, rows: list[tuple], schema: str) -> DataFrame:
@@ -65,14 +65,8 @@ def model_call_time(spark, sf_dir):
 STAR = "c_ipc * workers / c_enc_ms * 1000"
 
 
-@query("ipc_dominated_partitions", f"select corpus, part_key, n_texts, round({STAR}, 6) as n_star from ({all_sizes_sql(GRID)}), {PROFILE_SQL} where profile = 'small' and n_texts < {STAR} and n_texts > 20")
+@query("ipc_dominated_partitions", f"select corpus, part_key, n_texts, round({STAR}, 6) as n_star from ({all_sizes_sql()}), {PROFILE_SQL} where profile = 'small' and n_texts < {STAR}")
 def ipc_dominated_partitions(spark, sf_dir):
-    star = models.break_even_size(SMALL.c_ipc, SMALL.c_enc_ms, SMALL.workers)
-    return all_sizes(spark, sf_dir, GRID).where((F.col("n_texts") < star) & (F.col("n_texts") > 20)).select("corpus", "part_key", "n_texts", F.lit(round(star, 6)).alias("n_star"))
-
-
-@query("ipc_dominated_partitions_all", f"select corpus, part_key, n_texts, round({STAR}, 6) as n_star from ({all_sizes_sql()}), {PROFILE_SQL} where profile = 'small' and n_texts < {STAR}")
-def ipc_dominated_partitions_all(spark, sf_dir):
     """Every partition below the break-even size, however small, of all twelve corpora."""
     star = models.break_even_size(SMALL.c_ipc, SMALL.c_enc_ms, SMALL.workers)
     return all_sizes(spark, sf_dir).where(F.col("n_texts") < star).select("corpus", "part_key", "n_texts", F.lit(round(star, 6)).alias("n_star"))

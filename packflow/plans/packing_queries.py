@@ -11,7 +11,7 @@ from packflow.functions.hashing import hash_embed
 from packflow.operators import encode, packing, sizes
 from packflow.plans import sql
 from packflow.plans.registry import query
-from packflow.sources.corpora import CORPORA, load_corpus, synthetic_sizes
+from packflow.sources.corpora import CORPORA, load_corpus, load_unnumbered, synthetic_corpus, synthetic_sizes
 
 DIM = 64
 ENCODER = EncoderProfile("hash64", DIM)
@@ -124,6 +124,20 @@ def prefix_pack_plan(spark, sf_dir):
     return packing.prefix_pack(arrived(spark, sf_dir, "part"), 2000).select("lane", "pack_id", "part_key", "n")
 
 
+LPT = f"""with recursive s as (select *, row_number() over (order by n_texts desc, part_key) as pos from ({sql.sizes('brand_nation')})), walk as (
+    select pos, part_key, n_texts, 1::bigint as lane, [n_texts, 0, 0, 0, 0, 0, 0, 0]::bigint[] as loads from s where pos = 1
+    union all
+    select pos, part_key, n_texts, lane, list_concat(list_append(loads[1:lane - 1], loads[lane] + n_texts), loads[lane + 1:])
+    from (select s.pos, s.part_key, s.n_texts, w.loads, list_position(w.loads, list_min(w.loads))::bigint as lane from walk w join s on s.pos = w.pos + 1))
+select part_key, n_texts, (lane - 1)::integer as lane from walk"""
+
+
+@query("lane_assignment_lpt", LPT)
+def lane_assignment_lpt(spark, sf_dir):
+    """Longest partition first, each to the least loaded lane."""
+    return sizes.assign_lanes(size_table(spark, sf_dir, "brand_nation"), 8, "lpt").select("part_key", "n_texts", "lane")
+
+
 @query("greedy_jump_equals_scan", f"select pack_id, part_key, n from {sql.policy(sql.arrival(sql.sizes('part')), PackPolicy(2000, 10**9, 'after', 'own'))} p")
 def greedy_jump_plan(spark, sf_dir):
     return packing.greedy_jump(arrived(spark, sf_dir, "part"), 2000).select("pack_id", "part_key", "n")
@@ -197,7 +211,10 @@ DOC_SUMS = sql.checksums("lang_source", DIM)
 
 @query("stream_pack_encode", CATALOG_SUMS)
 def stream_pack_encode(spark, sf_dir):
-    return encode.stream_pack_encode(load_corpus(spark, sf_dir, "brand_nation"), ENCODE, ENCODER, lanes=8, what="checksums")
+    """Lanes number the texts themselves: one exchange of texts, no window before it."""
+    corpus, order = load_unnumbered(spark, sf_dir, "brand_nation")
+    lanes = 4 * max(8, spark.sparkContext.defaultParallelism)
+    return encode.stream_pack_encode(corpus, ENCODE, ENCODER, lanes, "checksums", order=order, lane=sizes.own_lane_of)
 
 
 @query("stream_pack_docs", DOC_SUMS)
@@ -375,11 +392,7 @@ def memory_bound_holds(spark, sf_dir):
 @query("synthetic_catalog", f"select part_key, n_texts, n_texts as last_seq from ({sql.synthetic(PARTS, 1.72)})")
 def synthetic_catalog(spark, sf_dir):
     """The catalog's rows under log-normal keys: the main workload's corpus, counted."""
-    from packflow.sources.corpora import assign_synthetic, catalog_lines
-
-    lines = catalog_lines(spark, sf_dir)
-    table = synthetic_sizes(spark, PARTS, lines.count(), 1.72)
-    rows = assign_synthetic(lines, table, ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"])
+    rows, _ = synthetic_corpus(spark, sf_dir, PARTS, 1.72)
     return rows.groupBy("part_key").agg(F.count(F.lit(1)).alias("n_texts"), F.max("seq").alias("last_seq"))
 
 
@@ -389,10 +402,6 @@ def synthetic_catalog(spark, sf_dir):
         {sql.checksums('select part_key, id as seq, text from lines join edges on id >= low and id < high', DIM)}) group by part_key""")
 def synthetic_encode(spark, sf_dir):
     """The main workload end to end: log-normal partitions, packed, encoded, summed by partition."""
-    from packflow.sources.corpora import assign_synthetic, catalog_lines
-
-    lines = catalog_lines(spark, sf_dir)
-    n = lines.count()
-    corpus = assign_synthetic(lines, synthetic_sizes(spark, PARTS, n, 1.72), ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"])
-    made = encode.stream_pack_encode(corpus, PackPolicy.for_texts(n), ENCODER, lanes=8, what="checksums")
+    corpus, n = synthetic_corpus(spark, sf_dir, PARTS, 1.72)
+    made = encode.stream_pack_encode(corpus, PackPolicy.for_texts(n), ENCODER, lanes=8, what="checksums", lane=sizes.own_lane_of)
     return made.groupBy("part_key").agg(F.count(F.lit(1)).alias("n_texts"), F.sum("weighted").alias("weighted"), F.sum("squares").alias("squares"))

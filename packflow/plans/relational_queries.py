@@ -57,15 +57,8 @@ def page_hosts(spark, sf_dir):
     return p.groupBy(F.regexp_extract("url", "^[a-z]+://([^/:?#]+)", 1).alias("host")).agg(F.count(F.lit(1)).alias("pages"), F.sum(F.length(F.regexp_replace("html", "<[^>]*>", " "))).cast("long").alias("chars"))
 
 
-@query("token_counts", "select doc_id, len(string_split(text, ' '))::bigint as tokens, list_unique(string_split(lower(translate(text, '.,!?', '    ')), ' '))::bigint as distinct_tokens from documents where lang = 'en'")
+@query("token_counts", "select doc_id, len(string_split(text, ' '))::bigint as tokens, list_unique(string_split(lower(translate(text, '.,!?', '    ')), ' '))::bigint as distinct_tokens from documents")
 def token_counts(spark, sf_dir):
-    d = load_table(spark, sf_dir, "documents").where("lang = 'en'")
-    return d.select("doc_id", F.size(F.split("text", " ")).cast("long").alias("tokens"), F.size(F.array_distinct(F.split(F.lower(F.translate("text", ".,!?", "    ")), " "))).cast("long").alias("distinct_tokens"))
-
-
-@query("token_counts_all", "select doc_id, len(string_split(text, ' '))::bigint as tokens, list_unique(string_split(lower(translate(text, '.,!?', '    ')), ' '))::bigint as distinct_tokens from documents")
-def token_counts_all(spark, sf_dir):
-    """``token_counts`` over the documents of all languages."""
     d = load_table(spark, sf_dir, "documents")
     return d.select("doc_id", F.size(F.split("text", " ")).cast("long").alias("tokens"), F.size(F.array_distinct(F.split(F.lower(F.translate("text", ".,!?", "    ")), " "))).cast("long").alias("distinct_tokens"))
 
@@ -163,18 +156,8 @@ def resume_pending(spark, sf_dir):
 
 
 @query("offset_to_partition", f"""with c as (select part_key, sum(n_texts) over (order by part_key) - n_texts as low, sum(n_texts) over (order by part_key) as high from ({BRANDS}))
-    select o.o::bigint as row_id, part_key, (o.o - low)::bigint as inside from range(0, 60000, 997) o(o) join c on o.o >= low and o.o < high""")
-def offset_to_partition(spark, sf_dir):
-    """Row numbers to partitions: a range join with the cumulated sizes."""
-    w = Window.orderBy("part_key")
-    edges = size_table(spark, sf_dir, "brand_nation").select("part_key", F.sum("n_texts").over(w).alias("high"), (F.sum("n_texts").over(w) - F.col("n_texts")).alias("low"))
-    rows = spark.range(0, 60_000, 997).withColumnRenamed("id", "row_id")
-    return rows.join(edges, (F.col("row_id") >= F.col("low")) & (F.col("row_id") < F.col("high"))).select("row_id", "part_key", (F.col("row_id") - F.col("low")).alias("inside"))
-
-
-@query("offset_to_partition_all", f"""with c as (select part_key, sum(n_texts) over (order by part_key) - n_texts as low, sum(n_texts) over (order by part_key) as high from ({BRANDS}))
     select unnest(range(low::bigint, high::bigint)) as row_id, part_key, unnest(range(0, (high - low)::bigint)) as inside from c""")
-def offset_to_partition_all(spark, sf_dir):
+def offset_to_partition(spark, sf_dir):
     """Every row number up to the total of sizes to its partition."""
     return locate(spark, size_table(spark, sf_dir, "brand_nation"))
 
@@ -212,15 +195,6 @@ def vector_norms(spark, sf_dir):
     return load_table(spark, sf_dir, "embeddings").select("vec_id", F.round(F.sqrt(square), 5).alias("norm"), F.size("embedding").cast("long").alias("dim"))
 
 
-@query("vector_dot", "select a.vec_id, round(list_dot_product(a.embedding::double[], b.embedding::double[]), 5) as dot from embeddings a, embeddings b where b.vec_id = 0")
-def vector_dot(spark, sf_dir):
-    """Every vector against one query vector."""
-    e = load_table(spark, sf_dir, "embeddings")
-    one = F.broadcast(e.where("vec_id = 0").select(F.col("embedding").alias("q")))
-    dot = F.aggregate(F.zip_with("embedding", "q", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda a, x: a + x)
-    return e.crossJoin(one).select("vec_id", F.round(dot, 5).alias("dot"))
-
-
 #: Query vectors of one broadcast block.
 QUERY_BLOCK = 1024
 
@@ -237,8 +211,8 @@ def dot_products(e, queries, block: int = QUERY_BLOCK):
     return out
 
 
-@query("vector_dot_all", "select b.vec_id as query_id, a.vec_id, round(list_dot_product(a.embedding::double[], b.embedding::double[]), 5) as dot from embeddings a, embeddings b where b.vec_id % 100 = 0")
-def vector_dot_all(spark, sf_dir):
+@query("vector_dot", "select b.vec_id as query_id, a.vec_id, round(list_dot_product(a.embedding::double[], b.embedding::double[]), 5) as dot from embeddings a, embeddings b where b.vec_id % 100 = 0")
+def vector_dot(spark, sf_dir):
     """Every vector against every query vector, those whose id is divisible by 100."""
     e = load_table(spark, sf_dir, "embeddings")
     return dot_products(e.select("vec_id", "embedding"), e.where("vec_id % 100 = 0"))

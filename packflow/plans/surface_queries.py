@@ -48,19 +48,10 @@ def packed_vectors_sink(spark, sf_dir):
     return index.groupBy("part_key").agg(F.sum(F.col("end") - F.col("start")).alias("n_texts"))
 
 
-@query("encode_column", "select doc_id, 64::bigint as dim, 1.0::double as norm from documents where lang = 'de'")
+@query("encode_column", "select doc_id, 64::bigint as dim, 1.0::double as norm from documents")
 def encode_column(spark, sf_dir):
     """The plain vectorised function: one-off use without packs."""
     encode = encode_udf(ENCODER)
-    d = spark.read.parquet(f"{sf_dir}/documents.parquet").where("lang = 'de'").select("doc_id", encode("text").alias("e"))
-    norm = F.sqrt(F.aggregate("e", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")))
-    return d.select("doc_id", F.size("e").cast("long").alias("dim"), F.round(norm, 4).alias("norm"))
-
-
-@query("encode_column_all", "select doc_id, 64::bigint as dim, 1.0::double as norm from documents")
-def encode_column_all(spark, sf_dir):
-    """``encode_column`` over the documents of all languages."""
-    encode = encode_udf(ENCODER)
     d = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", encode("text").alias("e"))
     norm = F.sqrt(F.aggregate("e", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")))
     return d.select("doc_id", F.size("e").cast("long").alias("dim"), F.round(norm, 4).alias("norm"))

@@ -27,12 +27,26 @@ def composite(*columns: str) -> Column:
     return F.concat(*joined)
 
 
-def catalog_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Order lines with their part's attributes as short titles. The part table is far smaller."""
-    part = load_table(spark, sf_dir, "part").select("p_partkey", "p_name", "p_brand", "p_type", "p_size")
-    lines = load_table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+LINE_KEYS = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+
+
+def catalog_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The order lines that have a part, by their keys alone."""
+    part = load_table(spark, sf_dir, "part").select("p_partkey")
+    lines = load_table(spark, sf_dir, "lineitem").select(*LINE_KEYS)
+    return lines.join(part, lines.l_partkey == part.p_partkey, "left_semi")
+
+
+def with_titles(lines: DataFrame, sf_dir: str) -> DataFrame:
+    """Adds their part's attributes as short titles (``text``) and its brand. The part table is far smaller."""
+    part = load_table(lines.sparkSession, sf_dir, "part").select("p_partkey", "p_name", "p_brand", "p_type", "p_size")
     text = F.concat_ws(" ", "p_name", "p_brand", "p_type", F.col("p_size").cast("string"), F.col("l_orderkey").cast("string"), F.col("l_linenumber").cast("string"))
-    return lines.join(part, lines.l_partkey == part.p_partkey).select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "p_brand", text.alias("text"))
+    return lines.join(part, lines.l_partkey == part.p_partkey).select(*lines.columns, "p_brand", text.alias("text"))
+
+
+def catalog_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Order lines with their part's attributes as short titles."""
+    return with_titles(load_table(spark, sf_dir, "lineitem").select(*LINE_KEYS), sf_dir)
 
 
 def numbered(df: DataFrame, *order: str) -> DataFrame:
@@ -40,18 +54,22 @@ def numbered(df: DataFrame, *order: str) -> DataFrame:
     return df.withColumn("seq", F.row_number().over(Window.partitionBy("part_key").orderBy(*order)).cast("long")).select("part_key", "seq", "text")
 
 
-def _catalog(key: Callable[[DataFrame], Column]) -> Callable[[SparkSession, str], DataFrame]:
-    def load(spark, sf_dir):
-        df = catalog_lines(spark, sf_dir)
-        return numbered(df.select(key(df).alias("part_key"), "text", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"), "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
-
-    return load
+def _by_column(column: str) -> Callable[[SparkSession, str], DataFrame]:
+    return lambda spark, sf_dir: catalog_lines(spark, sf_dir).select(composite(column).alias("part_key"), "text", *LINE_KEYS)
 
 
 def _brand_nation(spark, sf_dir):
     supplier = load_table(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey")
     df = catalog_lines(spark, sf_dir).join(supplier, F.col("l_suppkey") == F.col("s_suppkey"))
-    return numbered(df.select(composite("p_brand", "s_nationkey").alias("part_key"), "text", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"), "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    return df.select(composite("p_brand", "s_nationkey").alias("part_key"), "text", *LINE_KEYS)
+
+
+#: Corpora whose texts have no number yet, with the columns that order them.
+UNNUMBERED: dict[str, Callable[[SparkSession, str], DataFrame]] = {"brand_nation": _brand_nation, "supplier": _by_column("l_suppkey"), "part": _by_column("l_partkey")}
+
+
+def _catalog(name: str) -> Callable[[SparkSession, str], DataFrame]:
+    return lambda spark, sf_dir: numbered(UNNUMBERED[name](spark, sf_dir), *LINE_KEYS)
 
 
 def _documents(*key: str):
@@ -78,9 +96,9 @@ def _orders(spark, sf_dir):
 
 
 CORPORA: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    "brand_nation": _brand_nation,
-    "supplier": _catalog(lambda df: composite("l_suppkey")),
-    "part": _catalog(lambda df: composite("l_partkey")),
+    "brand_nation": _catalog("brand_nation"),
+    "supplier": _catalog("supplier"),
+    "part": _catalog("part"),
     "lang_source": _documents("lang", "source"),
     "lang": _documents("lang"),
     "source": _documents("source"),
@@ -98,6 +116,12 @@ def load_corpus(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return CORPORA[name](spark, sf_dir)
 
 
+def load_unnumbered(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, tuple[str, ...]]:
+    """(texts, order): a corpus whose texts are still to be numbered by the order's columns in each
+    partition, so that whoever shuffles by partition anyway can number them on the way."""
+    return (UNNUMBERED[name](spark, sf_dir), LINE_KEYS) if name in UNNUMBERED else (load_corpus(spark, sf_dir, name), ("seq",))
+
+
 def lognormal_shares(parts: int, sigma: float) -> list[float]:
     """Shares of log-normal quantiles, ascending."""
     inverse = NormalDist().inv_cdf
@@ -125,9 +149,10 @@ def synthetic_sizes(spark: SparkSession, parts: int, texts: int, sigma: float, t
 
 
 def assign_synthetic(df: DataFrame, sizes: DataFrame, order: list[str]) -> DataFrame:
-    """Give rows the synthetic keys: global row numbers, from counts per range partition and running
-    offsets, range-joined with the cumulated sizes. Both small tables, a row per task and a row per
-    partition, are metadata; ``order`` must order rows fully but for equal ones."""
+    """Give rows the synthetic keys (``part_key``, ``seq``): global row numbers, from counts per range
+    partition and running offsets, range-joined with the cumulated sizes. Both small tables, a row per task
+    and a row per partition, are metadata; ``order`` must order rows fully but for equal ones. All of ``df``
+    is sorted: give it narrow rows, and add texts after."""
     from packflow.operators.resume import checkpointed
 
     spark = df.sparkSession
@@ -138,4 +163,12 @@ def assign_synthetic(df: DataFrame, sizes: DataFrame, order: list[str]) -> DataF
     offsets = counts.select("__task", (F.sum("n").over(Window.orderBy("__task")) - F.col("n")).alias("base"))
     rows = ranged.join(F.broadcast(offsets), "__task").withColumn("__id", F.col("base") + F.col("__at"))
     edges = sizes.select("part_key", (F.sum("n_texts").over(Window.orderBy("part_key")) - F.col("n_texts")).alias("low"), F.sum("n_texts").over(Window.orderBy("part_key")).alias("high"))
-    return rows.join(F.broadcast(edges), (F.col("__id") >= F.col("low")) & (F.col("__id") < F.col("high"))).select("part_key", (F.col("__id") - F.col("low") + 1).alias("seq"), "text")
+    return rows.join(F.broadcast(edges), (F.col("__id") >= F.col("low")) & (F.col("__id") < F.col("high"))).select("part_key", (F.col("__id") - F.col("low") + 1).alias("seq"), *df.columns)
+
+
+def synthetic_corpus(spark: SparkSession, sf_dir: str, parts: int, sigma: float) -> tuple[DataFrame, int]:
+    """(corpus, texts): the catalog under log-normal keys. Only keys are sorted; texts are made after."""
+    keys = catalog_keys(spark, sf_dir)
+    n = keys.count()
+    made = assign_synthetic(keys, synthetic_sizes(spark, parts, n, sigma), list(LINE_KEYS))
+    return with_titles(made, sf_dir).select("part_key", "seq", "text"), n

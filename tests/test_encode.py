@@ -53,6 +53,30 @@ def test_one_shuffle_below_the_encoder(spark):
     assert plan.count("Exchange") == 1 and plan.index("MapInArrow") < plan.index("Exchange")
 
 
+def test_main_workloads_move_texts_once_and_use_every_lane(spark):
+    """One exchange below the encoder that is no broadcast, no window, and a task for each lane."""
+    from packflow.plans.queries import QUERIES
+
+    made = QUERIES["stream_pack_encode"](spark, "/root/testdata/sf0.001")
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    below = plan[plan.index("MapInArrow") :]
+    assert below.count("Exchange") - below.count("BroadcastExchange") == 1 and "Window" not in below and "REPARTITION_BY" in below.upper()
+    texts = corpus(spark)
+    for lanes in (4, 8, 16):
+        own = encode.route(texts, lanes).select("lane", F.spark_partition_id().alias("task")).distinct().collect()
+        assert all(r.lane == r.task for r in own)
+
+
+def test_lanes_number_texts_as_a_window_does(spark):
+    from packflow.sources.corpora import load_corpus, load_unnumbered
+
+    dir_ = "/root/testdata/sf0.001"
+    df, order = load_unnumbered(spark, dir_, "brand_nation")
+    got = encode.stream_pack_encode(df, PackPolicy(50, 250), PROFILE, 5, "checksums", order=order)
+    want = encode.per_partition_encode(load_corpus(spark, dir_, "brand_nation"), PROFILE, "checksums")
+    assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+
+
 def test_ledger_of_the_online_form_equals_the_plan(spark):
     policy = PackPolicy(10, 20)
     led = encode.stream_pack_encode(corpus(spark), policy, PROFILE, lanes=1, what="ledger").collect()

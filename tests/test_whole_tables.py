@@ -9,7 +9,7 @@ from packflow.plans.relational_queries import dot_products, locate
 DIR = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name", ["token_counts_all", "encode_column_all"])
+@pytest.mark.parametrize("name", ["token_counts", "encode_column"])
 def test_every_document_is_there(spark, name):
     ids = [r.doc_id for r in QUERIES[name](spark, DIR).select("doc_id").collect()]
     assert sorted(ids) == [k for (k,) in duckdb.sql(f"select doc_id from '{DIR}/documents.parquet' order by 1").fetchall()]
@@ -28,5 +28,5 @@ def test_every_row_number_finds_its_partition(spark):
 
 
 def test_small_partitions_of_all_corpora_are_listed(spark):
-    rows = QUERIES["ipc_dominated_partitions_all"](spark, DIR).collect()
+    rows = QUERIES["ipc_dominated_partitions"](spark, DIR).collect()
     assert len({r.corpus for r in rows}) == 12 and min(r.n_texts for r in rows) == 1

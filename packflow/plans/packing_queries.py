@@ -172,11 +172,6 @@ def ffd_pack(spark, sf_dir):
     return packing.ffd_pack(size_table(spark, sf_dir, "lang_source"), 100).select("pack_id", "part_key", "n")
 
 
-@query("bfd_pack")
-def bfd_pack(spark, sf_dir):
-    return packing.bfd_pack(size_table(spark, sf_dir, "part"), 2000).select("pack_id", "part_key", "n")
-
-
 LANE = "coalesce(('0x' || substr(md5(part_key), 1, 8))::bigint % 8, 0)::integer"
 
 

@@ -81,6 +81,22 @@ def greedy(source: str, b_min: str, b_max: str, ceiling: str = "before", oversiz
             when next_cut then 'ceiling' when next_cut is null then 'final' end as reason from joined))"""
 
 
+def fit_decreasing(source: str, capacity: str, best: bool = False) -> str:
+    """First or best fit of sizes in descending order, by a recursive walk with the bins' loads in a list."""
+    fits = "[case when x + n <= cap then x else -1 end for x in loads]"
+    place = f"case when list_max({fits}) < 0 then null else list_position({fits}, list_max({fits})) end" if best else "nullif(list_position([x + n <= cap for x in loads], true), 0)"
+    return f"""(with recursive s as (
+        select part_key, n_texts, {capacity} as cap, row_number() over (order by n_texts desc, part_key) as pos from ({source})
+    ), walk as (
+        select pos, part_key, n_texts as n, 1::bigint as bin, [n_texts]::bigint[] as loads from s where pos = 1
+        union all
+        select pos, part_key, n, bin, case when bin > len(loads) then list_append(loads, n) else list_concat(list_append(loads[1:bin - 1], loads[bin] + n), loads[bin + 1:]) end
+        from (select pos, part_key, n, loads, coalesce({place}, len(loads) + 1)::bigint as bin
+              from (select s.pos, s.part_key, s.n_texts as n, s.cap, w.loads from walk w join s on s.pos = w.pos + 1))
+    )
+    select part_key, n, bin - 1 as pack_id from walk)"""
+
+
 def totals(plan: str) -> str:
     return f"select lane, pack_id, count(*)::bigint as parts, sum(n)::bigint as n, max(reason) as reason from {plan} p group by lane, pack_id"
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import DataFrame
@@ -9,9 +10,12 @@ from pyspark.sql import functions as F
 
 
 def shared_root(spark) -> str:
-    """The session's ``spark.checkpoint.dir``; a temporary folder only where that is unset."""
+    """The session's ``spark.checkpoint.dir``. Where that is unset, a session of one machine gets a temporary
+    folder; on a cluster that is an error, as no executor would see what another one wrote."""
     root = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         root = "file://" + tempfile.mkdtemp(prefix="packflow-")
         spark.sparkContext.setCheckpointDir(root)
     root = root if ":" in root.split("/")[0] else f"file://{root}"

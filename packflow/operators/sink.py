@@ -67,6 +67,14 @@ def exists(uri: str) -> bool:
     return system.get_file_info(path).type == fs.FileType.File
 
 
+def any_file(uri: str) -> bool:
+    """Whether there is anything at or below a place."""
+    from pyarrow import fs
+
+    system, path = filesystem(uri)
+    return system.get_file_info(path).type != fs.FileType.NotFound
+
+
 def with_retry(action: Callable[[], object], policy: RetryPolicy, sleep: Callable[[float], None] = time.sleep) -> tuple[object, int]:
     """(result, retries); the last failure is raised, so that nothing is committed silently."""
     for attempt in range(policy.attempts):

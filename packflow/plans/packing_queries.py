@@ -222,11 +222,6 @@ def per_partition_encode(spark, sf_dir):
     return encode.per_partition_encode(load_corpus(spark, sf_dir, "brand_nation"), ENCODER, "checksums")
 
 
-@query("per_partition_async", DOC_SUMS)
-def per_partition_async(spark, sf_dir):
-    return encode.per_partition_encode(load_corpus(spark, sf_dir, "lang_source"), ENCODER, "checksums", io="async")
-
-
 @query("fixed_batch_encode", CATALOG_SUMS)
 def fixed_batch_encode(spark, sf_dir):
     return encode.fixed_batch_encode(load_corpus(spark, sf_dir, "brand_nation"), 600, ENCODER, "checksums")
@@ -246,16 +241,6 @@ def hash_embed_columns(spark, sf_dir):
 SYNC = "select count(*)::bigint as texts, count(distinct part_key)::bigint as parts, 0::bigint as differing from (" + sql.CORPORA["conversation"] + ")"
 
 
-@query("stream_pack_sync_equals_async", SYNC)
-def stream_pack_sync_equals_async(spark, sf_dir):
-    """Vectors of the synchronous and the asynchronous form, row against row."""
-    corpus, out = load_corpus(spark, sf_dir, "conversation"), []
-    for io in ("sync", "async"):
-        v = encode.stream_pack_encode(corpus, PackPolicy(50, 250), ENCODER, lanes=4, io=io)
-        out.append(v.select("part_key", "seq", F.xxhash64("embedding").alias(f"h_{io}")))
-    return out[0].join(out[1], ["part_key", "seq"], "full").agg(F.count(F.lit(1)).alias("texts"), F.countDistinct("part_key").alias("parts"), F.coalesce(F.sum((~F.col("h_sync").eqNullSafe(F.col("h_async"))).cast("long")), F.lit(0)).alias("differing"))
-
-
 @query("serialize_paths_agree", SYNC)
 def serialize_paths_agree(spark, sf_dir):
     corpus, out = load_corpus(spark, sf_dir, "conversation"), []

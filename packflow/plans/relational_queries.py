@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from packflow.operators import packing
-from packflow.operators.resume import pending_partitions, shared_root
+from packflow.operators.resume import pending_partitions
 from packflow.operators.sizes import md5_number
 from packflow.plans import sql
 from packflow.plans.packing_queries import BY_PART, ENCODER, PackPolicy, arrived, plan_of, size_table
@@ -231,22 +231,26 @@ def label_centroids(spark, sf_dir):
 def sink_roundtrip(spark, sf_dir):
     """Packs are written as one file per partition by the workers, read back, and compared by checksums of
     the vectors' signed counts, which the norm lets one recover."""
-    import uuid
-
     from packflow.operators.encode import PartitionFiles, stream_pack_encode
+    from packflow.plans.recovery_queries import fresh_root, read_back, recovered_sums
 
-    root, corpus = f"{shared_root(spark)}/vectors-{uuid.uuid4().hex}", load_corpus(spark, sf_dir, "conversation")
+    root, corpus = fresh_root(spark, "vectors"), load_corpus(spark, sf_dir, "conversation")
     done = stream_pack_encode(corpus, PackPolicy(50, 250), ENCODER, lanes=4, what="manifest", sink=PartitionFiles(root, "r1"))
     done.write.mode("append").parquet(f"{root}/manifest")
-    back = spark.read.schema("part_key string, seq long, embedding array<float>").option("recursiveFileLookup", "true").option("pathGlobFilter", "chunk-*.parquet").parquet(f"{root}/run_id=r1")
-    # the least nonzero magnitude is that of a whole count over the norm; texts' squares give the norm
-    from packflow.functions.hashing import hash_embed
-
-    norms = hash_embed(corpus, 64, "part_key", "seq").select("part_key", "seq", F.col("squares").alias("expected"))
-    counts = F.transform("embedding", lambda x: F.round(x.cast("double") * F.sqrt(F.col("expected").cast("double"))).cast("long"))
-    v = back.join(norms, ["part_key", "seq"]).withColumn("v", counts)
-    total = lambda f: F.aggregate(F.transform("v", f), F.lit(0).cast("long"), lambda a, x: a + x)
-    return v.select("part_key", "seq", total(lambda x, i: x * (i + 1)).alias("weighted"), total(lambda x: x * x).alias("squares"), total(lambda x: (x != 0).cast("long")).alias("touched"))
+    return recovered_sums(read_back(spark, root, "r1"), corpus)
+
+
+@query("packed_sink_roundtrip", sql.checksums("conversation", 64))
+def packed_sink_roundtrip(spark, sf_dir):
+    """The same through one file per task and its boundary index: rows find their key by their place."""
+    from packflow.operators.encode import stream_pack_encode
+    from packflow.plans.recovery_queries import fresh_root, recovered_sums
+    from packflow.sources import datasource
+
+    datasource.register(spark)
+    root, corpus = fresh_root(spark, "packed"), load_corpus(spark, sf_dir, "conversation")
+    stream_pack_encode(corpus, PackPolicy(50, 250), ENCODER, lanes=4).write.format("packed_vectors").mode("append").option("path", root).save()
+    return recovered_sums(datasource.read_packed(spark, root), corpus)
 
 
 @query("ledger_calls", f"select reason, count(*)::bigint as calls, sum(n)::bigint as texts, max(n)::bigint as largest from ({sql.totals(sql.greedy(sql.arrival(sql.sizes('brand_nation')), '600', '3000', by='coalesce((' + chr(39) + '0x' + chr(39) + ' || substr(md5(part_key), 1, 8))::bigint % 8, 0)::integer'))}) group by reason")

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 
+import pandas as pd
 from pyspark.sql import functions as F
 
 from packflow.functions import tables
@@ -14,7 +15,7 @@ from packflow.plans import sql
 from packflow.plans.packing_queries import ENCODER, TIGHT, PackPolicy, plan_of, size_table
 from packflow.plans.registry import query
 from packflow.sources import datasource
-from packflow.sources.corpora import load_corpus
+from packflow.sources.corpora import catalog_lines, load_corpus
 
 
 @query("split_oversized_udtf", f"select part_key, u.chunk::int as chunk, least(1000, n_texts - u.chunk * 1000)::bigint as n from ({sql.sizes('event_type')}) s, unnest(range(0, ceil(n_texts / 1000.0)::bigint)) u(chunk)")
@@ -78,3 +79,42 @@ def preview_lane(spark, sf_dir):
     from packflow.operators.compare import first_partitions
 
     return first_partitions(load_corpus(spark, sf_dir, "conversation"), PackPolicy(50, 250), ENCODER, 8, 3).groupBy("part_key").agg(F.count(F.lit(1)).alias("n_texts"))
+
+
+@query("call_size_percentiles", f"select reason, round(quantile_cont(n, 0.95), 6) as p95, round(quantile_cont(n, 0.5), 6) as median from ({PACKED}) group by reason")
+def call_size_percentiles(spark, sf_dir):
+    """A grouped-aggregate vectorised function over a live ledger: percentiles of call sizes by reason."""
+
+    @F.pandas_udf("double")
+    def p95(n: pd.Series) -> float:
+        return float(n.quantile(0.95))
+
+    @F.pandas_udf("double")
+    def median(n: pd.Series) -> float:
+        return float(n.median())
+
+    led = stream_pack_encode(load_corpus(spark, sf_dir, "conversation"), PackPolicy(50, 250), ENCODER, lanes=1, what="ledger")
+    return led.groupBy("reason").agg(F.round(p95("n_texts"), 6).alias("p95"), F.round(median("n_texts"), 6).alias("median"))
+
+
+SNIPPET = 8
+SNIPPETS = f"select ceil(len(string_split(text, ' ')) / {SNIPPET}.0) as texts, len(string_split(text, ' ')) as words, strlen(text) as bytes from documents"
+
+
+@query("synthetic_vs_natural", f"""select 'titles' as source, count(*)::bigint as texts, round(sum(len(string_split(text, ' ')))::double / count(*), 6) as words, round(sum(strlen(text))::double / count(*), 6) as bytes from ({sql.CATALOG})
+    union all select 'snippets', sum(texts)::bigint, round(sum(words)::double / sum(texts), 6), round((sum(bytes) - sum(texts) + count(*))::double / sum(texts), 6) from ({SNIPPETS})""")
+def synthetic_vs_natural(spark, sf_dir):
+    """Made-up titles against whole documents cut into snippets of about their length: texts, words and bytes
+    of each, which are what a call's time depends on."""
+    words = lambda: F.size(F.split("text", " ")).cast("long")
+    titles = catalog_lines(spark, sf_dir).agg(F.count(F.lit(1)).alias("texts"), F.sum(words()).alias("words"), F.sum(F.octet_length("text")).alias("bytes"))
+    parts = spark.read.parquet(f"{sf_dir}/documents.parquet").select(F.explode(snippets(F.col("text"))).alias("text"))
+    cut = parts.agg(F.count(F.lit(1)).alias("texts"), F.sum(words()).alias("words"), F.sum(F.octet_length("text")).alias("bytes"))
+    out = titles.select(F.lit("titles").alias("source"), "*").unionByName(cut.select(F.lit("snippets").alias("source"), "*"))
+    return out.select("source", "texts", *(F.round(F.col(c) / F.col("texts").cast("double"), 6).alias(c) for c in ("words", "bytes")))
+
+
+def snippets(text, words: int = SNIPPET):
+    """All of a text in pieces of so many words."""
+    split = F.split(text, " ")
+    return F.transform(F.sequence(F.lit(0), F.size(split) - 1, F.lit(words)), lambda at: F.array_join(F.slice(split, at + 1, F.lit(words)), " "))

@@ -6,6 +6,7 @@ import uuid
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.parquet as pq
 from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, InputPartition, WriterCommitMessage
 
 from packflow.sources.corpora import lognormal_sizes
@@ -81,16 +82,31 @@ class PackedWriter(DataSourceArrowWriter):
         from pyspark import TaskContext
 
         from packflow.operators.encode import key_runs
-        from packflow.operators.sink import write_table
-
-        batches = [b for b in iterator if b.num_rows]
-        if not batches:
+        from packflow.operators.sink import filesystem, write_table
+
+        stem, system, runs, n = None, None, [], 0
+        for batch in iterator:
+            if not batch.num_rows:
+                continue
+            if stem is None:
+                stem = f"{self.path}/_staged/{TaskContext.get().partitionId():06d}-{uuid.uuid4().hex}"
+                system, path = filesystem(f"{stem}.vectors.parquet")
+                system.create_dir(path.rsplit("/", 1)[0], recursive=True)
+                out = system.open_output_stream(path)
+                writer = pq.ParquetWriter(out, batch.select(["seq", "embedding"]).schema)
+            for k, a, b in key_runs(batch.column(batch.schema.get_field_index("part_key"))):
+                if runs and runs[-1]["part_key"] == k and runs[-1]["end"] == n + a:
+                    runs[-1]["end"] = n + b
+                else:
+                    runs.append({"part_key": k, "start": n + a, "end": n + b})
+            writer.write_batch(batch.select(["seq", "embedding"]))  # a row group each: no more than that is held
+            n += batch.num_rows
+        if stem is None:
             return Written([])
-        table = pa.Table.from_batches(batches).combine_chunks()
-        bounds = [{"part_key": k, "start": a, "end": b} for k, a, b in key_runs(table.column("part_key").combine_chunks())]
-        stem = f"{self.path}/_staged/{TaskContext.get().partitionId():06d}-{uuid.uuid4().hex}"
-        write_table(f"{stem}.vectors.parquet", table.select(["seq", "embedding"]))
-        write_table(f"{stem}.index.parquet", pa.Table.from_pylist(bounds))
+        writer.close()
+        out.close()
+        index = pa.schema([("part_key", pa.string()), ("start", pa.int64()), ("end", pa.int64())])
+        write_table(f"{stem}.index.parquet", pa.Table.from_pylist(runs, schema=index))
         return Written([f"{stem}.vectors.parquet", f"{stem}.index.parquet"])
 
     def commit(self, messages) -> None:
@@ -110,6 +126,19 @@ class PackedWriter(DataSourceArrowWriter):
                 system.delete_file(path)
 
 
+def read_packed(spark, root: str):
+    """(part_key, seq, embedding): a file's rows get their key from its boundary index, by place. The index
+    has a row for each key and file, and its file's name joins the two."""
+    from pyspark.sql import functions as F
+
+    stem = lambda c: F.regexp_extract(c, r"([^/]+)\.(vectors|index)\.parquet$", 1)
+    index = spark.read.schema("part_key string, start long, end long").option("pathGlobFilter", "*.index.parquet").parquet(root)
+    index = index.select(stem(F.col("_metadata.file_path")).alias("stem"), "part_key", "start", "end")
+    rows = spark.read.schema("seq long, embedding array<float>").option("pathGlobFilter", "*.vectors.parquet").parquet(root)
+    rows = rows.select(stem(F.col("_metadata.file_path")).alias("stem"), F.col("_metadata.row_index").alias("at"), "seq", "embedding")
+    return rows.join(index, (rows.stem == index.stem) & (rows["at"] >= index.start) & (rows["at"] < index.end)).select("part_key", "seq", "embedding")
+
+
 def register(spark) -> None:
     spark.dataSource.register(LognormalTexts)
     spark.dataSource.register(PackedVectors)

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from packflow.config import PackPolicy
 from packflow.operators.resume import shared_root
+from packflow.plans import sql
 from packflow.plans.packing_queries import ENCODER
 from packflow.plans.registry import query
 from packflow.streaming import packers
@@ -76,3 +77,65 @@ def stream_stateful_packs(spark, sf_dir):
     """Packs that close within the stream; each reached the lower threshold and none passed the upper."""
     sizes = events(spark, sf_dir).select(F.col("event_id").cast("string").alias("part_key"), F.lit(1).alias("n_texts"))
     return run_to_end(packers.stateful_packs(sizes, PackPolicy(100, 500), max_wait_ms=None), "append")
+
+
+@query("stream_static_join", "select event_id, c_mktsegment as segment from events join customer on user_id = c_custkey")
+def stream_static_join(spark, sf_dir):
+    customers = spark.read.parquet(f"{sf_dir}/customer.parquet")
+    return run_to_end(packers.with_segments(events(spark, sf_dir), customers), "append")
+
+
+@query("stream_stream_join", """select v.event_id as view_id, p.event_id as purchase_id from events v join events p
+    on v.user_id = p.user_id and v.event_type = 'view' and p.event_type = 'purchase' and p.ts >= v.ts and p.ts <= v.ts + interval 1 hour""")
+def stream_stream_join(spark, sf_dir):
+    """Views and the purchases that follow within an hour, as two streams."""
+    views, purchases = events(spark, sf_dir).where("event_type = 'view'"), events(spark, sf_dir).where("event_type = 'purchase'")
+    return run_to_end(packers.bought_after_view(views, purchases), "append")
+
+
+def events_in_batches(spark, sf_dir, number, batches: int):
+    """The events as a stream of one file a batch; ``number`` tells a row's batch."""
+    root = f"{shared_root(spark)}/events-{uuid.uuid4().hex}"
+    table = spark.read.parquet(f"{sf_dir}/events.parquet")
+    for b in range(batches):
+        table.where(number == b).coalesce(1).write.mode("append").parquet(root)
+    return packers.read_events(spark, root, 1)
+
+
+@query("stream_late_rows", """select strftime(ts, '%Y-%m-%d') as day, count(*)::bigint as n from events where event_id % 50 <> 0 group by 1
+    having (strptime(day, '%Y-%m-%d') + interval 1 day) <= (select max(ts) - interval 10 minutes from events)""")
+def stream_late_rows(spark, sf_dir):
+    """Every fiftieth event comes when its day is over: days close without them, and only closed days come
+    out. A batch is held against the watermark that stood before the last one, so two batches go ahead."""
+    late = F.when(F.col("event_id") % 50 == 0, 2).otherwise(F.col("event_id") % 2)
+    return run_to_end(packers.closed_days(events_in_batches(spark, sf_dir, late, 3)), "append")
+
+
+CARRY_POLICY, CARRY_LANES, CARRY_BATCHES = PackPolicy(300, 1500, oversize="own"), 4, 4
+CARRY_LANE = f"coalesce(('0x' || substr(md5(part_key), 1, 8))::bigint % {CARRY_LANES}, 0)::integer"
+
+
+def carry_sql() -> str:
+    """Batch after batch: sizes of what arrived and what was carried, their plan, and the next carry."""
+    ctes, outs = [], []
+    for b in range(CARRY_BATCHES + 1):
+        own = f"select user_id::varchar as part_key, count(*)::bigint as n_texts, 0::bigint as n_bytes from events where event_id % {CARRY_BATCHES} = {b} group by 1"
+        before = f" union all select part_key, n as n_texts, 0 from p{b - 1} where reason = 'final'" if b else ""
+        ctes.append(f"s{b} as (select part_key, sum(n_texts)::bigint as n_texts, 0::bigint as n_bytes from ({own}{before}) group by part_key)")
+        ctes.append(f"p{b} as materialized (select * from {sql.greedy(sql.arrival(f's{b}'), '300', '1500', 'before', 'own', CARRY_LANE)} g)")
+        kept = "" if b == CARRY_BATCHES else " where reason <> 'final'"
+        outs.append(f"select {b}::bigint as batch, lane, pack_id, count(*)::bigint as parts, sum(n)::bigint as n, max(reason) as reason from p{b}{kept} group by lane, pack_id")
+    return "with " + ", ".join(ctes) + " " + " union all ".join(outs)
+
+
+@query("stream_pack_carry", carry_sql())
+def stream_pack_carry(spark, sf_dir):
+    """Micro-batches whose unfinished packs go on to the next batch, and the flush at the end: every pack."""
+    root = f"{shared_root(spark)}/carry-{uuid.uuid4().hex}"
+    stream = events_in_batches(spark, sf_dir, F.col("event_id") % CARRY_BATCHES, CARRY_BATCHES)
+    corpus = stream.select(F.col("user_id").cast("string").alias("part_key"), F.col("event_id").alias("seq"), F.concat_ws(" ", "event_type", "props").alias("text"))
+    packer = packers.CarryingPacker(CARRY_POLICY, ENCODER, root, CARRY_LANES)
+    q = corpus.writeStream.foreachBatch(packer).option("checkpointLocation", f"{root}/checkpoint").trigger(availableNow=True).start()
+    q.awaitTermination()
+    packer.finish(spark, CARRY_BATCHES)
+    return spark.read.parquet(f"{root}/packs").select(F.col("batch").cast("long").alias("batch"), "lane", "pack_id", "parts", "n", "reason")

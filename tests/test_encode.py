@@ -172,3 +172,64 @@ def test_scans_are_pruned_and_filters_pushed(spark):
     assert "In(lang, [de,fr])" in plan("filter_project") or "In(lang, [fr,de])" in plan("filter_project")
     sizes_plan = plan("partition_sizes")
     assert "Window" not in sizes_plan and "partial_count" in sizes_plan
+
+
+class FakeState:
+    """A lane's state in a test: what Spark would hand over."""
+
+    def __init__(self, value=None, timed_out=False):
+        self.value, self.hasTimedOut, self.timeout = value, timed_out, None
+
+    @property
+    def exists(self):
+        return self.value is not None
+
+    @property
+    def get(self):
+        return self.value
+
+    def update(self, value):
+        self.value = value
+
+    def setTimeoutDuration(self, ms):
+        self.timeout = ms
+
+
+def test_a_waiting_pack_is_flushed_by_its_time_out():
+    import pandas as pd
+
+    from packflow.streaming.packers import packing_step
+
+    step, state = packing_step(PackPolicy(10, 20), 500), FakeState()
+    sizes = pd.DataFrame({"part_key": ["a", "b", "c"], "n_texts": [4, 7, 3]})
+    assert [tuple(r) for out in step((2,), iter([sizes]), state) for r in out.itertuples(index=False)] == [(2, 0, 2, 11, "efficiency")]
+    assert state.value == (3, 1, 1) and state.timeout == 500
+    late = FakeState(state.value, timed_out=True)
+    assert [tuple(r) for out in step((2,), iter([]), late) for r in out.itertuples(index=False)] == [(2, 1, 1, 3, "timeout")]
+    assert late.value == (0, 0, 2)
+
+
+def test_carried_tails_time_out_and_a_batch_run_again_changes_nothing(spark, tmp_path):
+    from packflow.streaming.packers import CarryingPacker
+
+    packer = CarryingPacker(PackPolicy(10, 30, oversize="own"), PROFILE, f"file://{tmp_path}", lanes=1, max_wait=2)
+    batch = lambda rows: spark.createDataFrame([(k, s, "t") for k, n in rows for s in range(n)], "part_key string, seq long, text string")
+    packs = lambda b: sorted(tuple(r) for r in spark.read.parquet(packer.at("packs", b)).select("parts", "n", "reason").collect())
+    arrivals = [[("a", 6), ("b", 6), ("c", 3)], [("d", 2)], [("e", 1)], [("f", 2)]]
+    for b, rows in enumerate(arrivals):
+        for _ in range(2):
+            packer(batch(rows), b)
+    packer.finish(spark, 4)
+    assert [packs(b) for b in range(5)] == [[(2, 12, "efficiency")], [], [(3, 6, "timeout")], [], [(1, 2, "final")]]
+    stored = spark.read.parquet(f"{tmp_path}/manifest").groupBy("part_key").agg(F.sum("n_texts").alias("n")).collect()
+    assert {r.part_key: r.n for r in stored} == dict(x for rows in arrivals for x in rows)
+
+
+def test_live_ledgers_give_measures_in_range(spark):
+    from packflow.plans.queries import QUERIES
+
+    rows = {r.run: r for r in QUERIES["ledger_measures"](spark, "/root/testdata/sf0.001").collect()}
+    assert set(rows) == {"packed_sync", "packed_async", "packed_null"}
+    assert all(0 <= r.hidden <= 1 and 0 < r.duty <= 1 and r.dollars > 0 for r in rows.values())
+    assert len({(r.calls, r.texts) for r in rows.values()}) == 1
+    assert rows["packed_async"].stall_s < rows["packed_sync"].stall_s

@@ -45,7 +45,11 @@ class PackPolicy:
 
 @dataclass(frozen=True)
 class EncoderProfile:
-    """An encoder: dimension, fixed seconds per call, milliseconds per text on one worker, workers."""
+    """An encoder: dimension, fixed seconds per call, milliseconds per text on one worker, workers.
+
+    ``call_s`` is waited in every live call: the price of a device call where there is no device. ``batch``
+    is what a device takes at once; a call is worked off in such batches.
+    """
 
     name: str
     dim: int = 64
@@ -54,6 +58,7 @@ class EncoderProfile:
     workers: int = 4
     work: int = 1
     batch: int = 1024
+    call_s: float = 0.0
     device_options: dict = field(default_factory=dict, hash=False)
     deterministic_per_text: bool = True
 

@@ -7,6 +7,7 @@ its bucket, the parity of the eighth its sign. The embedding is the signed count
 from __future__ import annotations
 
 import hashlib
+import time
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -16,10 +17,12 @@ MAX_TOKENS = 500_000
 
 
 class HashEncoder:
-    """Encodes lists of texts; ``work`` repeats the hashing to stand for a heavier model."""
+    """Encodes lists of texts, ``batch`` of them at a time; ``work`` repeats the hashing to stand for a heavier
+    model, ``call_s`` is waited in each call. The first call is made here, to warm up."""
 
-    def __init__(self, dim: int = 64, work: int = 1):
-        self.dim, self.work, self.memory, self.calls = dim, work, {}, 0
+    def __init__(self, dim: int = 64, work: int = 1, batch: int = 1024, call_s: float = 0.0):
+        self.dim, self.work, self.batch, self.call_s, self.memory, self.calls = dim, work, batch, call_s, {}, 0
+        self.counts(["warm up"])
 
     def token(self, token: str) -> int:
         digest = hashlib.md5(token.encode()).hexdigest()
@@ -45,9 +48,14 @@ class HashEncoder:
     def encode(self, texts: list[str]) -> np.ndarray:
         """One call: unit vectors as float32; a zero vector stays zero."""
         self.calls += 1
-        v = self.counts(texts)
-        norm = np.sqrt((v * v).sum(1, keepdims=True).astype(float))
-        return (v / np.where(norm == 0, 1, norm)).astype(np.float32)
+        if self.call_s:
+            time.sleep(self.call_s)
+        out = np.empty((len(texts), self.dim), np.float32)
+        for at in range(0, len(texts), self.batch):
+            v = self.counts(texts[at : at + self.batch])
+            norm = np.sqrt((v * v).sum(1, keepdims=True).astype(float))
+            out[at : at + self.batch] = v / np.where(norm == 0, 1, norm)
+        return out
 
     def checksums(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Per text: sum of counts times place, sum of squares, buckets that are not zero."""

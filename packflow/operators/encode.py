@@ -26,7 +26,7 @@ from packflow.operators.sizes import lane_of
 
 VECTORS = "part_key string, seq long, embedding array<float>"
 CHECKSUMS = "part_key string, seq long, weighted long, squares long, touched long"
-LEDGER = "lane int, pack_id long, reason string, n_parts int, n_texts long, n_bytes long, data_bytes long, t_start double, t_encode double, t_serialize double, t_stall double, retries int"
+LEDGER = "lane int, pack_id long, reason string, n_parts int, n_texts long, n_bytes long, data_bytes long, t_start double, t_encode double, t_serialize double, t_stall double, retries int, rss_mb double"
 MANIFEST = "part_key string, chunk int, lane int, pack_id long, start_off long, end_off long, n_texts long, path string, committed_at double"
 SCHEMAS = {"vectors": VECTORS, "checksums": CHECKSUMS, "ledger": LEDGER, "manifest": MANIFEST}
 
@@ -38,7 +38,7 @@ class UnsortedInputError(ValueError):
 @functools.cache
 def get_encoder(profile: EncoderProfile) -> HashEncoder:
     """Started once per Python worker and reused by its tasks."""
-    return HashEncoder(profile.dim, profile.work)
+    return HashEncoder(profile.dim, profile.work, profile.batch, profile.call_s)
 
 
 @dataclass
@@ -177,7 +177,7 @@ class Emitter:
             stall, retries = self.uploader.stall - stall, self.uploader.retries - retries
         if self.what == "ledger":
             n_bytes = sum(len(t.encode()) for t in texts)
-            row = (lane, number, reason, len(units), n, n_bytes, n_bytes + matrix.nbytes, began, encoded - began, serialized - encoded, stall, retries)
+            row = (lane, number, reason, len(units), n, n_bytes, n_bytes + matrix.nbytes, began, encoded - began, serialized - encoded, stall, retries, resident_mb())
             return batch_of([row], LEDGER)
         paths = [self.sink.path(u) if self.sink else None for u in units]
         return batch_of([(*r, p, time.time()) for r, p in zip(rows, paths, strict=True)], MANIFEST)
@@ -187,6 +187,15 @@ class Emitter:
             self.uploader.close()
 
 
+def resident_mb() -> float:
+    """Memory that this worker holds now; 0 where the system does not tell."""
+    try:
+        with open("/proc/self/statm") as f:
+            return int(f.read().split()[1]) * 4096 / 1e6
+    except OSError:
+        return 0.0
+
+
 TYPES = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "array<float>": pa.list_(pa.float32())}
 
 
@@ -332,10 +341,10 @@ def fixed_batch_encode(corpus: DataFrame, size: int, profile: EncoderProfile, wh
     return made if what == "ledger" else made.repartition("part_key").sortWithinPartitions("part_key", "seq")
 
 
-def planned_encode(corpus: DataFrame, plan: DataFrame, profile: EncoderProfile, what: str = "vectors", tasks: int = 8) -> DataFrame:
+def planned_encode(corpus: DataFrame, plan: DataFrame, profile: EncoderProfile, what: str = "vectors", tasks: int = 8, sink=None, io: str = "sync") -> DataFrame:
     """Encode by a plan of whole partitions, as the size-sorted baseline makes: rows join their pack, gather,
     and each pack is one call."""
-    emitter = Emitter(profile, what)
+    emitter = Emitter(profile, what, "zero_copy", sink, io)
     keyed = plan.select(F.col("part_key").alias("__key"), "pack_id")
     rows = corpus.join(keyed, F.col("part_key").eqNullSafe(F.col("__key"))).select("pack_id", F.col("part_key").cast("string").alias("part_key"), F.col("seq").cast("long").alias("seq"), F.coalesce("text", F.lit("")).alias("text"))
     ordered = rows.repartitionById(tasks, F.pmod("pack_id", F.lit(tasks)).cast("int")).sortWithinPartitions("pack_id", "part_key", "seq")
@@ -356,6 +365,7 @@ def planned_encode(corpus: DataFrame, plan: DataFrame, profile: EncoderProfile,
                     units[-1].take(batch.column(2).slice(low, high - low), batch.column(3).slice(low, high - low))
         if units:
             yield emitter.pack(0, int(pack), units, "planned")
+        emitter.close()
 
     return ordered.mapInArrow(encode, SCHEMAS[what])
 

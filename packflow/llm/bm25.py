@@ -31,6 +31,7 @@ from bisect import bisect_left
 from collections import Counter, defaultdict
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -245,7 +246,7 @@ class Index:
         if not words or not self.item:
             return {}
         get, none, step = self.term.get, len(self.term), max(8, self.longest)
-        ids = np.fromiter((get(w, none) for w in words), np.int64, len(words))
+        ids = np.fromiter(map(get, words, repeat(none)), np.int64, len(words))
         found: dict[int, tuple[float, float, float]] = {}
         for start in (step * k for k in self.promising(ids, step, threshold)):
             terms = set(ids[start : start + 2 * step].tolist())

@@ -4,8 +4,8 @@ A fingerprint's 64 bits are cut into two halves, fewer than the classic bits+1 s
 fingerprints that differ in at most three bits one half differs in at most one bit. Each half is
 indexed under its 32 variants with one bit wildcarded; fingerprints that are equal in a variant are
 the candidates of an equality join and are verified. Documents with equal fingerprints count once, so
-copies cost nothing. Variants are counted by a grouped count; of most that are shared at all its least and
-greatest fingerprints are the only ones. Where more than ``PAIR_GROUP`` fingerprints share a variant, they
+copies cost nothing. Variants are counted by a grouped count that keeps the least, the greatest and the
+combination of all: two or three fingerprints of a variant are known from these. Where more than ``PAIR_GROUP`` fingerprints share a variant, they
 are not paired but linked to the least of every small ball around the bits that the variant leaves open,
 which loses no link: two fingerprints that differ in few enough bits have a common centre.
 
@@ -28,6 +28,8 @@ from packflow.llm.common import NULL_ID, id_or_last, materialize, sliced, text_b
 
 #: Up to so many fingerprints of one variant are compared pair by pair.
 PAIR_GROUP = 64
+#: Cells of variants, by hash, that tell which variants may be crowded.
+CELLS = 1 << 18
 
 
 def fingerprint(text: bytes, words: int = 3, seed: int = 42) -> int:
@@ -86,11 +88,19 @@ def links(nodes: DataFrame, max_bits: int = 2) -> DataFrame:
     if not 0 <= max_bits <= 3:
         raise ValueError("two halves cover at most three differing bits")
     every = variants(nodes)
-    counts = every.groupBy("variant").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).where("n > 1")
+    counts = every.groupBy("variant").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b"), F.bit_xor("fp").alias("all")).where("n > 1")
     counts = materialize(counts, "variants")
-    close = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= max_bits
-    two = counts.where((F.col("n") == 2) & close).select("a", "b")
-    shared = materialize(every.join(counts.where("n > 2").select("variant", "n"), "variant"), "shared")
+    # of three, the one that is neither least nor greatest is what all and these two leave when combined by bits
+    middle = F.col("all").bitwiseXOR(F.col("a")).bitwiseXOR(F.col("b"))
+    pair = lambda a, b: F.struct(a.alias("a"), b.alias("b"))
+    ends = F.array(pair(F.col("a"), F.col("b")))
+    pairs = F.when(F.col("n") == 2, ends).otherwise(F.concat(ends, F.array(pair(F.col("a"), middle), pair(middle, F.col("b")))))
+    two = counts.where("n <= 3").select(F.explode(pairs).alias("p")).select("p.a", "p.b").where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= max_bits)
+    crowd = counts.where("n > 3").select("variant", "n")
+    # at most CELLS numbers are broadcast: variants that are in no crowd's cell need not move to be joined
+    cell = F.pmod(F.xxhash64("variant"), F.lit(CELLS)).alias("cell")
+    maybe = every.withColumn("cell", cell).join(F.broadcast(crowd.select(cell).distinct()), "cell", "left_semi").drop("cell")
+    shared = materialize(maybe.join(crowd, "variant"), "shared")
     few = (
         shared.where(F.col("n") <= PAIR_GROUP)
         .groupBy("variant")

@@ -567,3 +567,54 @@ def test_damaged_records_are_noticed():
 def test_warc_has_no_python_dependency_on_pages_columns(spark):
     pages = spark.createDataFrame([(1, "u", "x" * 120, "clash"), (2, "u", "x" * 120, "clash")], "page_id long, url string, html string, digest string")
     assert sorted((r.page_id, r.record_type, r.refers_to) for r in warc.page_records(pages).collect()) == [(1, "response", None), (2, "revisit", 1)]
+
+
+def slow_trees(x, y, trees, depth, bins, rate=0.1, l2=1.0, least=1.0):
+    """Margins by boosting one node at a time, every split of every feature tried by sums over its rows."""
+    share = (y.sum() + 0.5) / (len(y) + 1)
+    margin = np.full(len(y), np.log(share / (1 - share)))
+    edges = [np.unique(np.quantile(c, np.linspace(0, 1, bins + 1)[1:-1], method="lower")) for c in x.T]
+    for _ in range(trees):
+        p = 1 / (1 + np.exp(-margin))
+        g, h, step = p - y, p * (1 - p), np.zeros(len(y))
+
+        def grow(rows, left, g=g, h=h, step=step):
+            if not left:
+                step[rows] = -rate * g[rows].sum() / (h[rows].sum() + l2)
+                return
+            score = lambda r: g[r].sum() ** 2 / (h[r].sum() + l2)
+            best, chosen = 1e-6, None
+            for f in range(x.shape[1]):
+                for e in edges[f]:
+                    low, high = rows[x[rows, f] <= e], rows[x[rows, f] > e]
+                    if h[low].sum() < least or h[high].sum() < least:
+                        continue
+                    gain = score(low) + score(high) - score(rows)
+                    if gain > best + 1e-12:
+                        best, chosen = gain, (low, high)
+            for part in chosen or (rows,):
+                grow(part, left - 1)
+
+        grow(np.arange(len(y)), depth)
+        margin = margin + step
+    return margin
+
+
+def test_histogram_splits_equal_splits_tried_one_by_one():
+    r = np.random.default_rng(4)
+    x = np.column_stack([r.normal(size=150), r.integers(0, 5, 150), r.random(150), np.zeros(150)])
+    y = (x[:, 0] + 0.7 * x[:, 1] + r.normal(size=150) > 1.5).astype(float)
+    model = gbdt.fit(x, y, trees=4, depth=3, bins=8)
+    assert np.allclose(model.margin(x), slow_trees(x, y, 4, 3, 8))
+
+
+def test_the_labelled_sample_is_the_same_in_every_run(spark):
+    """Rows of one id, contradicting labels, and the bounds of rows and bytes."""
+    rows = [(k % 40, f"text {k} " * (k % 7 + 1)) for k in range(120)] + [(3, None), (None, "x")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(k, k % 2) for k in range(40)] + [(3, 0), (None, 1), (7, None)], "doc_id long, toxic int")
+    shared_dir(spark, "t")
+    seen = [[tuple(r) for r in classify.labelled_sample(docs.repartition(n), labels.repartition(n), "toxic", 5, 0, 20).collect()] for n in (1, 3, 7)]
+    assert seen[0] == seen[1] == seen[2] and len(seen[0]) == 20
+    few = classify.labelled_sample(docs, labels, "toxic", 5, 0, 20, most_bytes=100).collect()
+    assert [tuple(r) for r in few] == seen[0][: len(few)] and 0 < sum(len(r.text or "") for r in few) <= 100

@@ -186,6 +186,20 @@ def asof_ledger(spark, sf_dir):
     return e.withColumn("last_purchase", F.max(F.when(F.col("event_type") == "purchase", F.col("event_id"))).over(w)).where("event_type <> 'purchase'").select("event_id", "last_purchase")
 
 
+@query("approx_measures", "select corpus, true as parts_close, true as median_close from (values " + ", ".join(f"('{c}')" for c in sql.CORPORA) + ") v(corpus)")
+def approx_measures(spark, sf_dir):
+    """Sketched against exact: distinct keys within five percent, and the sketched median between the exact
+    quartiles."""
+    out = None
+    for c in sql.CORPORA:
+        keys = load_corpus(spark, sf_dir, c).agg(F.approx_count_distinct("part_key", 0.02).alias("near"), F.countDistinct("part_key").alias("exact"))
+        quantile = lambda f, q: F.expr(f"{f}(n_texts, {q})")
+        n = size_table(spark, sf_dir, c).agg(quantile("percentile_approx", 0.5).alias("median"), quantile("percentile", 0.25).alias("low"), quantile("percentile", 0.75).alias("high"))
+        one = keys.crossJoin(n).select(F.lit(c).alias("corpus"), (F.abs(F.col("near") - F.col("exact")) <= F.greatest(F.lit(1.0), 0.05 * F.col("exact"))).alias("parts_close"), F.col("median").between(F.floor("low"), F.ceil("high")).alias("median_close"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 # -- vectors --------------------------------------------------------------------------------------------------
 
 

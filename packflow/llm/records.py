@@ -6,8 +6,8 @@ differ. A body is: document id (i64, NULL_ID for null), bytes per id (u8: 2 wher
 else 4), number of ids (u32), ids. The index file beside a data file has offset (u64), body length (u64)
 and document id (i64) per record, so that readers may take records in any order.
 
-Documents are range-partitioned and sorted by id (null ids last), one data file per partition, so file
-order is id order. Null texts are empty: their only id is the end id. Repeated rows each get a record.
+Documents are range-partitioned and sorted by id (null ids last; rows of one id by the beginning of the text,
+then as in the table), one data file per partition, so file order is id order. Null texts are empty: their only id is the end id. Repeated rows each get a record.
 A text that spells an added token of the vocabulary gets that token's id, as the library has it.
 """
 
@@ -32,6 +32,8 @@ from packflow.llm.wordcache import spread
 # Fixed values of the framing.
 MASK_DELTA = 0xA282EAD8
 HEAD, BODY, ENTRY = struct.Struct("<QI"), struct.Struct("<qBI"), np.dtype([("offset", "<u8"), ("length", "<u8"), ("doc", "<i8")])
+#: Characters of a text by which rows of one id are ordered, before their place in the table.
+HEAD_CHARS = 64
 #: Pieces of words that a Python worker remembers.
 MAX_PIECES = 500_000
 #: Bytes of text that are encoded together: the more, the fewer distinct words to look up in all.
@@ -236,7 +238,9 @@ def encoder(path: str) -> WordEncoder:
 def write_records(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int = 2, id_col: str = "doc_id", text_col: str = "text") -> list[Row]:
     """Write the files; (part, path, n_docs, n_tokens, bytes) of each, in order. A row per file comes back."""
     narrow = docs.select(id_or_last(id_col).alias("key"), F.col(text_col).cast("string").alias("__text"))
-    ordered = narrow.repartitionByRange("key").sortWithinPartitions("key", "__text")
+    ties = (F.substring("__text", 1, HEAD_CHARS).alias("head"), F.monotonically_increasing_id().alias("place"))
+    order = ("key", "head", "place")  # rows of one id, or of none, may fill many ranges
+    ordered = narrow.select("*", *ties).repartitionByRange(*order).sortWithinPartitions(*order).select("key", "__text")
 
     def write(batches):
         from pyspark import TaskContext

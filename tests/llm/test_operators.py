@@ -553,6 +553,24 @@ def test_records_equal_the_library(spark, docs, empty):
     assert records.record_digest(empty, path).count() == 0
 
 
+def test_rows_of_one_id_fill_many_files(spark):
+    """A third of all rows have no id, and many of these one text: no file has much more than its share."""
+    rows = [(k, f"text {k}") for k in range(600)] + [(None, "the same" if k % 2 else f"other {k}") for k in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    spark.conf.set("spark.sql.shuffle.partitions", "9")
+    try:
+        files = records.write_records(df, public_tokenizers.path("byte_bpe_50k.json"), shared_dir(spark, "t"))
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", "true")
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert len(files) == 9 and sum(f.n_docs for f in files) == 900 and max(f.n_docs for f in files) <= 200
+    got = records.read_digest(spark, files).orderBy("start").collect()
+    ids = [r.doc_id for r in got]
+    assert ids == [*range(600), *[None] * 300]
+
+
 def test_damaged_records_are_noticed():
     whole = records.frame(records.pack_body(7, np.array([1, 2, 3]), 2))
     doc, ids = records.unpack_body(records.unframe(memoryview(whole), 0)[0])

@@ -8,7 +8,7 @@ from packflow.streaming.queries import STATE_STORE
 DIR = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name", ["stream_dedup", "stream_sessions"])
+@pytest.mark.parametrize("name", ["stream_dedup", "stream_sessions", "stream_static_join"])
 def test_rows_come_from_files(spark, name):
     df = QUERIES[name](spark, DIR)
     plan = df._jdf.queryExecution().optimizedPlan().toString()
@@ -16,7 +16,7 @@ def test_rows_come_from_files(spark, name):
     assert spark.conf.get(STATE_STORE, None) is None
 
 
-@pytest.mark.parametrize("name", ["stream_dedup", "stream_sessions"])
+@pytest.mark.parametrize("name", ["stream_dedup", "stream_sessions", "stream_static_join"])
 def test_no_events(spark, tmp_path, name):
     for t in ("events", "customer"):
         spark.read.parquet(f"{DIR}/{t}.parquet").limit(0).write.parquet(f"{tmp_path}/{t}.parquet")

@@ -9,6 +9,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -180,13 +182,41 @@ def clock_ledger(totals: DataFrame, profile: EncoderProfile, base_ms: float, mb_
     )
 
 
+def tree_sums(x: np.ndarray, fanout: int = 16) -> np.ndarray:
+    """Running sums by a tree of ``fanout`` branches: the whole nodes before a row, largest first, then single
+    values. DuckDB adds a window's doubles in this order, so the last bits are equal, too; they decide whether
+    intervals overlap of which one ends where the other begins."""
+    if not len(x):
+        return x
+    whole = len(x) // fanout
+    rows = np.append(x, np.zeros((whole + 1) * fanout - len(x))).reshape(-1, fanout)
+    node, out = np.zeros(whole), np.empty_like(rows)
+    for k in range(fanout):
+        node = node + rows[:whole, k]
+    before = tree_sums(node, fanout)
+    total = np.append(0.0, before)
+    for k in range(fanout):
+        out[:, k] = total = total + rows[:, k]
+    out[:whole, -1] = before
+    return out.reshape(-1)[: len(x)]
+
+
 def pipeline(ledger: DataFrame, *by: str) -> DataFrame:
-    """Adds when each pack is encoded and when its I/O ends with one upload slot, by two windows:
+    """Adds when each pack is encoded and when its I/O ends with one upload slot, in the order of packs:
     end(j) = A(j) + max over i <= j of (ready(i) - A(i - 1)), A the running sum of I/O times."""
-    w = Window.partitionBy(*by).orderBy("pack_id").rowsBetween(Window.unboundedPreceding, 0)
-    io = F.col("t_serialize") + F.col("t_upload")
-    timed = ledger.withColumn("ready", F.sum("t_encode").over(w)).withColumn("io_total", F.sum(io).over(w)).withColumn("lead", F.col("ready") - (F.col("io_total") - io))
-    return timed.withColumn("io_end", F.col("io_total") + F.max("lead").over(w)).drop("lead")
+
+    def timed(t: pa.Table) -> pa.Table:
+        t = t.sort_by("pack_id")
+        encode, serialize, upload = (t.column(c).to_numpy() for c in ("t_encode", "t_serialize", "t_upload"))
+        io = serialize + upload
+        ready, io_total = tree_sums(encode), tree_sums(io)
+        end = io_total + np.maximum.accumulate(ready - (io_total - io))
+        for name, column in (("ready", ready), ("io_total", io_total), ("io_end", end)):
+            t = t.append_column(name, pa.array(column))
+        return t
+
+    schema = ledger.limit(0).select("*", *(F.lit(0.0).alias(c) for c in ("ready", "io_total", "io_end"))).schema
+    return ledger.groupBy(*by).applyInArrow(timed, schema)
 
 
 # -- intensity, fill, reports ---------------------------------------------------------------------------

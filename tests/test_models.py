@@ -68,3 +68,21 @@ def test_sql_functions(spark):
     register(spark)
     r = spark.sql("select break_even_size(0.087, 0.149, 4) a, overlap_ratio(1, 1, 1) b, recommend(0.6, 2) c, predicted_speedup(1e12, 100, 4000) d").first()
     assert (round(r.a), r.b, r.c, round(r.d)) == (2336, 0.5, "strong", 40)
+
+
+def test_pipeline_adds_in_the_order_of_the_oracle(spark):
+    """Times of packs to the last bit as DuckDB's windows have them, over several levels of its tree."""
+    import duckdb
+    import random
+
+    r = random.Random(5)
+    rows = [(0, k, r.random(), r.random() / 3, r.random()) for k in range(5000)]
+    t = spark.createDataFrame(rows, "lane int, pack_id long, t_encode double, t_serialize double, t_upload double").repartition(3)
+    got = [tuple(x) for x in m.pipeline(t, "lane").orderBy("pack_id").select("ready", "io_total", "io_end").collect()]
+    from packflow.plans.model_queries import PIPE
+
+    con = duckdb.connect()
+    con.sql("create table t (lane int, pack_id bigint, t_encode double, t_serialize double, t_upload double)")
+    con.executemany("insert into t values (?, ?, ?, ?, ?)", rows)
+    want = con.sql(f"select ready, io_total, io_end from ({PIPE.format(by='lane', ledger='from t')}) order by pack_id").fetchall()
+    assert got == want

@@ -14,7 +14,8 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group: that with the least id."""
+    """One document of each near-duplicate group, that with the least id: SimHash pairs that their words
+    confirm, and the pairs that an exact join finds beyond them."""
     return neardup.keep_one_similar(docs)
 
 

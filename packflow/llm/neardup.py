@@ -1,4 +1,7 @@
-"""Near-duplicates by the Jaccard similarity of five-word shingles, exactly, for the corpus pipeline.
+"""Near-duplicates by SimHash and the Jaccard similarity of five-word shingles, exactly, for the corpus pipeline.
+
+First come the pairs whose SimHash fingerprints differ in at most two bits. They are verified on the words,
+and what holds is one group from then on. An exact join then adds the links that fingerprints do not show.
 
 Two sets of similarity ``t`` or more share a member among the first ``n - ceil(t n) + 1`` of each, in any
 order that all sets have in common (the prefix filter). The order taken is by the number of texts that
@@ -30,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from packflow.llm.common import grid, materialize, sliced, text_bytes
-from packflow.llm.simhash import components, keep_least
+from packflow.llm.simhash import components, keep_least, print_pairs
 
 WORDS, SIMILARITY = 5, 0.8
 HASH_BITS = 48
@@ -249,6 +252,8 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
 
 def linked(texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     """(node, root) for every node of (node, text) with a near-duplicate."""
+    prints = materialize(print_pairs(texts), "prints")
+    sure = materialize(verified(prints, texts, threshold), "links")
     share = threshold / (1 + threshold)
     rows = materialize(prefixes(texts, threshold).withColumn("left", F.col("n") - F.col("place")), "prefixes")
     least_of = lambda n, m: F.ceil(share * (n + m) - 1e-9)
@@ -273,7 +278,8 @@ def linked(texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     two = able.select(me.alias("x"), next_one.alias("next"), F.struct("centre.node", "centre.n", "centre.left").alias("centre"))
     two = two.select("x", F.explode(F.array("next", "centre")).alias("y"))
     tried = materialize(ordered(two.where(F.col("y.node").isNotNull() & (F.col("x.node") != F.col("y.node")) & near("x", "y"))), "tried")
-    first = materialize(verified(tried, texts, threshold), "links")
+    tried = materialize(tried.join(prints, ["a", "b"], "left_anti"), "untried")
+    first = sure.union(materialize(verified(tried, texts, threshold), "links"))
     roots = materialize(components(first), "roots")
 
     placed = able.select("shingle", "node", "n", "left").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
@@ -285,7 +291,7 @@ def linked(texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     facing = part("a").join(part("b"), "shingle").where(F.col("root_a") < F.col("root_b")).where(room).select("shingle", "root_a", "root_b")
     side = lambda c: placed.select("shingle", F.col("root").alias(f"root_{c}"), F.struct("node", "n", "left").alias("x" if c == "a" else "y"))
     crossing = facing.join(side("a"), ["shingle", "root_a"]).join(side("b"), ["shingle", "root_b"]).where(near("x", "y"))
-    rest = materialize(ordered(crossing).join(tried, ["a", "b"], "left_anti"), "crossing")
+    rest = materialize(ordered(crossing).join(tried.union(prints), ["a", "b"], "left_anti"), "crossing")
     second = materialize(verified(rest, texts, threshold), "links")
     return components(first.union(second))
 

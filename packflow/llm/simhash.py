@@ -187,6 +187,17 @@ def keep_least(df: DataFrame, roots_of: Callable[[DataFrame], DataFrame], id_col
     return one.join(dropped, "node", "left_anti").select(*(F.col(f"row.c{i}").alias(c) for i, c in enumerate(df.columns)))
 
 
+def print_pairs(texts: DataFrame, words: int = 3, max_bits: int = 2) -> DataFrame:
+    """(a, b), a < b: pairs of (node, text) with near fingerprints, enough to join all that those link. Texts
+    of one fingerprint are paired with the least of them, which stands for it towards other fingerprints."""
+    named = materialize(fingerprints(texts, "node", "text", words, "string"), "fingerprints")
+    least = materialize(named.groupBy("fp").agg(F.min("key").alias("least")), "least")
+    within = named.join(least, "fp").where("key != least").select(F.col("least").alias("x"), F.col("key").alias("y"))
+    side = lambda c, name: least.select(F.col("fp").alias(c), F.col("least").alias(name))
+    across = links(least.select("fp"), max_bits).join(side("a", "x"), "a").join(side("b", "y"), "b").select("x", "y")
+    return within.union(across).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+
+
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, max_bits: int = 2) -> DataFrame:
     """The row with the least id of each group, nulls last, with all its columns."""
 

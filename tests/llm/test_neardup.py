@@ -80,3 +80,22 @@ def test_rows_without_an_id_or_of_one_id_are_not_lost(spark, stage):
     rows = [(None, texts[0]), (None, texts[1]), (None, texts[1]), (5, texts[2]), (5, texts[3]), (6, texts[3]), (None, texts[2])]
     kept = stage(spark, spark.createDataFrame(rows, "doc_id long, text string").repartition(3), "").collect()
     assert sorted(((r.doc_id, r.text) for r in kept), key=str) == sorted([(None, texts[0]), (None, texts[1]), (5, texts[2]), (5, texts[3])], key=str)
+
+
+def test_fingerprints_link_without_the_join(spark, monkeypatch):
+    """SimHash pairs are grouped where the join's prefixes give nothing; those that the words refute are not."""
+    body = [f"w{k}" for k in range(400)]
+    edited = [*body[:200], "edited", *body[201:]]
+    texts = [" ".join(body), " ".join(edited), "x y z " * 300 + " ".join(f"a{k}" for k in range(60)), "x y z " * 300 + " ".join(f"b{k}" for k in range(60)), "another text"]
+    texts += [" ".join(body).upper(), "x y z " * 3 + " ".join(f"a{k}" for k in range(60))]
+    prints = [simhash.fingerprint(t.encode()) & (2**64 - 1) for t in texts]
+    near = {(i, j) for i, j in itertools.combinations(range(7), 2) if (prints[i] ^ prints[j]).bit_count() <= 2}
+    assert {(0, 5), (2, 3)} <= near and (2, 6) not in near
+    nodes = spark.createDataFrame([(str(k), t) for k, t in enumerate(texts)], "node string, text string")
+    got = {(int(r.a), int(r.b)) for r in simhash.print_pairs(nodes).collect()}
+    assert got <= near and {j for _, j in got} == {j for _, j in near}
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {r.doc_id for r in STAGE(spark, docs, "").collect()} == {0, 2, 3, 4}
+    found = neardup.prefixes
+    monkeypatch.setattr(neardup, "prefixes", lambda *a: found(*a).where("false"))
+    assert {5, 6} & {r.doc_id for r in STAGE(spark, docs, "").collect()} == {6}

@@ -30,3 +30,18 @@ def test_every_row_number_finds_its_partition(spark):
 def test_small_partitions_of_all_corpora_are_listed(spark):
     rows = QUERIES["ipc_dominated_partitions"](spark, DIR).collect()
     assert len({r.corpus for r in rows}) == 12 and min(r.n_texts for r in rows) == 1
+
+
+def test_lognormal_texts_are_those_of_the_order_lines(spark):
+    rows = QUERIES["lognormal_source"](spark, DIR).collect()
+    assert len(rows) == 100 and sum(r.n_texts for r in rows) == duckdb.sql(f"select count(*) from '{DIR}/lineitem.parquet'").fetchall()[0][0]
+
+
+def test_data_source_gives_its_sizes(spark):
+    from packflow.sources import datasource
+    from packflow.sources.corpora import lognormal_sizes
+
+    datasource.register(spark)
+    texts = spark.read.format("lognormal_texts").options(parts=100, texts=20_000, sigma=1.72).load()
+    got = [r["count"] for r in texts.groupBy("part_key").count().orderBy("part_key").collect()]
+    assert got == lognormal_sizes(100, 20_000, 1.72)

@@ -32,13 +32,15 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from packflow.llm.common import grid, materialize, sliced, text_bytes
+from packflow.llm.common import grid, in_few_tasks, materialize, sliced, text_bytes
 from packflow.llm.simhash import components, keep_least, print_pairs
 
 WORDS, SIMILARITY = 5, 0.8
 HASH_BITS = 48
 #: Nodes of one shingle that are ordered together; more are cut by salt.
 SALTED = 4096
+#: Pairs of texts that a task verifies, at least.
+PAIRS_A_TASK = 256
 #: Bytes of text that are hashed together.
 CHUNK = 4 << 20
 
@@ -235,7 +237,7 @@ def prefixes(texts: DataFrame, threshold: float) -> DataFrame:
 
 
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
-    """The pairs (a, b) whose texts reach the threshold. Only texts that a pair names are moved."""
+    """The pairs (a, b), a table, whose texts reach the threshold. Only texts that a pair names are moved."""
     named = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
     few = materialize(texts.join(named, "node", "left_semi"), "near-texts")
     side = lambda c: few.select(F.col("node").alias(c), F.col("text").alias(f"text_{c}"))
@@ -247,7 +249,7 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
             good = [similarity(x, y) >= threshold for x, y in zip(a, b, strict=True)]
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    return both.mapInArrow(run, "a string, b string")
+    return in_few_tasks(both, pairs.count(), PAIRS_A_TASK).mapInArrow(run, "a string, b string")
 
 
 def linked(texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
@@ -262,7 +264,9 @@ def linked(texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     # a member stays if any other of the group could reach the threshold with it
     partner = F.greatest(F.ceil(threshold * F.col("n") - 1e-9), F.col("smallest"))
     able = rows.join(groups, "shingle").where(F.col("left") >= least_of(F.col("n"), partner))
-    able = materialize(able.withColumn("salt", F.pmod(F.xxhash64("node"), F.ceil(F.col("members") / SALTED))), "able")
+    able = able.withColumn("salt", F.pmod(F.xxhash64("node"), F.ceil(F.col("members") / SALTED)))
+    able = materialize(in_few_tasks(able, rows.count()), "able")
+    n_able = able.count()
 
     def near(a: str, b: str) -> Column:
         """Whether sizes and places leave room for the similarity."""
@@ -277,23 +281,26 @@ def linked(texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     next_one = F.lead(me).over(Window.partitionBy("shingle", "salt").orderBy("node"))
     two = able.select(me.alias("x"), next_one.alias("next"), F.struct("centre.node", "centre.n", "centre.left").alias("centre"))
     two = two.select("x", F.explode(F.array("next", "centre")).alias("y"))
-    tried = materialize(ordered(two.where(F.col("y.node").isNotNull() & (F.col("x.node") != F.col("y.node")) & near("x", "y"))), "tried")
-    tried = materialize(tried.join(prints, ["a", "b"], "left_anti"), "untried")
+    tried = ordered(two.where(F.col("y.node").isNotNull() & (F.col("x.node") != F.col("y.node")) & near("x", "y")))
+    tried = materialize(in_few_tasks(tried, 2 * n_able), "tried")
+    tried = materialize(in_few_tasks(tried.join(prints, ["a", "b"], "left_anti"), tried.count()), "untried")
     first = sure.union(materialize(verified(tried, texts, threshold), "links"))
-    roots = materialize(components(first), "roots")
+    roots = materialize(components(first, rows=first.count()), "roots")
 
     placed = able.select("shingle", "node", "n", "left").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     mixed_ones = placed.groupBy("shingle").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("shingle")
-    placed = materialize(placed.join(mixed_ones, "shingle", "left_semi"), "mixed")
+    placed = materialize(in_few_tasks(placed.join(mixed_ones, "shingle", "left_semi"), n_able), "mixed")
     parts = placed.groupBy("shingle", "root").agg(F.max("left").alias("left"), F.min("n").alias("n"))
     part = lambda c: parts.select("shingle", F.col("root").alias(f"root_{c}"), F.struct("n", "left").alias(c))
     room = F.least("a.left", "b.left") >= least_of(F.col("a.n"), F.col("b.n"))
     facing = part("a").join(part("b"), "shingle").where(F.col("root_a") < F.col("root_b")).where(room).select("shingle", "root_a", "root_b")
     side = lambda c: placed.select("shingle", F.col("root").alias(f"root_{c}"), F.struct("node", "n", "left").alias("x" if c == "a" else "y"))
     crossing = facing.join(side("a"), ["shingle", "root_a"]).join(side("b"), ["shingle", "root_b"]).where(near("x", "y"))
-    rest = materialize(ordered(crossing).join(tried.union(prints), ["a", "b"], "left_anti"), "crossing")
+    most = placed.groupBy("shingle").count().agg(F.sum(F.expr("count * (count - 1) div 2").cast("decimal(38,0)"))).first()[0]
+    rest = materialize(in_few_tasks(ordered(crossing).join(tried.union(prints), ["a", "b"], "left_anti"), int(most or 0)), "crossing")
     second = materialize(verified(rest, texts, threshold), "links")
-    return components(first.union(second))
+    linking = first.union(second)
+    return components(linking, rows=linking.count())
 
 
 def keep_one_similar(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = SIMILARITY) -> DataFrame:

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from packflow.llm.common import NULL_ID, id_or_last, materialize, sliced, text_bytes
+from packflow.llm.common import NULL_ID, id_or_last, in_few_tasks, materialize, sliced, text_bytes
 
 #: Up to so many fingerprints of one variant are compared pair by pair.
 PAIR_GROUP = 64
@@ -84,12 +84,12 @@ def within(bits: int) -> list[int]:
 
 def links(nodes: DataFrame, max_bits: int = 2) -> DataFrame:
     """(a, b), a < b: enough links between fingerprints of ``max_bits`` or fewer differing bits to
-    join whatever a chain of such links joins."""
+    join whatever a chain of such links joins. ``nodes`` is a table, or cheap to make again."""
     if not 0 <= max_bits <= 3:
         raise ValueError("two halves cover at most three differing bits")
     every = variants(nodes)
     counts = every.groupBy("variant").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b"), F.bit_xor("fp").alias("all")).where("n > 1")
-    counts = materialize(counts, "variants")
+    counts = materialize(in_few_tasks(counts, 64 * nodes.count()), "variants")
     # of three, the one that is neither least nor greatest is what all and these two leave when combined by bits
     middle = F.col("all").bitwiseXOR(F.col("a")).bitwiseXOR(F.col("b"))
     pair = lambda a, b: F.struct(a.alias("a"), b.alias("b"))
@@ -123,11 +123,12 @@ def links(nodes: DataFrame, max_bits: int = 2) -> DataFrame:
     return two.union(few).union(many).distinct()
 
 
-def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+def components(edges: DataFrame, a: str = "a", b: str = "b", rows: int | None = None) -> DataFrame:
     """(node, root) for every node with an edge; root is the component's least node.
 
     Alternates large-star and small-star steps, each a grouped minimum and an equality join, until
-    the edges are stars. Every step is checkpointed in the cluster's shared folder.
+    the edges are stars. Every step is checkpointed in the cluster's shared folder. ``rows``: how many
+    edges there are, if that is known.
     """
 
     def large_star(e: DataFrame) -> DataFrame:
@@ -139,17 +140,18 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         least = e.groupBy("u").agg(F.min("v").alias("m"))
         return e.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").union(least.select("u", F.col("m").alias("v"))).distinct()
 
-    current = materialize(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u != v").distinct(), "edges")
+    current = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u != v").distinct()
+    current = materialize(current if rows is None else in_few_tasks(current, rows), "edges")
     measure = lambda e: tuple(e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
     before = measure(current)
     while before[0]:
-        current = materialize(small_star(large_star(current)), "edges")
+        current = materialize(in_few_tasks(small_star(large_star(current)), 2 * before[0]), "edges")
         now = measure(current)
         if now == before:
             break
         before = now
     roots = current.select(F.col("u").alias("node"), F.col("v").alias("root"))
-    return roots.union(current.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
+    return in_few_tasks(roots.union(current.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()), 2 * before[0])
 
 
 def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, max_bits: int = 2) -> DataFrame:
@@ -191,7 +193,7 @@ def print_pairs(texts: DataFrame, words: int = 3, max_bits: int = 2) -> DataFram
     """(a, b), a < b: pairs of (node, text) with near fingerprints, enough to join all that those link. Texts
     of one fingerprint are paired with the least of them, which stands for it towards other fingerprints."""
     named = materialize(fingerprints(texts, "node", "text", words, "string"), "fingerprints")
-    least = materialize(named.groupBy("fp").agg(F.min("key").alias("least")), "least")
+    least = materialize(in_few_tasks(named.groupBy("fp").agg(F.min("key").alias("least")), named.count()), "least")
     within = named.join(least, "fp").where("key != least").select(F.col("least").alias("x"), F.col("key").alias("y"))
     side = lambda c, name: least.select(F.col("fp").alias(c), F.col("least").alias(name))
     across = links(least.select("fp"), max_bits).join(side("a", "x"), "a").join(side("b", "y"), "b").select("x", "y")

@@ -99,3 +99,33 @@ def test_fingerprints_link_without_the_join(spark, monkeypatch):
     found = neardup.prefixes
     monkeypatch.setattr(neardup, "prefixes", lambda *a: found(*a).where("false"))
     assert {5, 6} & {r.doc_id for r in STAGE(spark, docs, "").collect()} == {6}
+
+
+def test_small_steps_write_few_files(spark, monkeypatch):
+    """Steps of few rows write few files, however many parts their shuffles have and though none are put together."""
+    r, files = random.Random(5), {}
+    rows = []
+    for k in range(40):
+        text = r.choices([f"w{i}" for i in range(500)], k=60)
+        rows += [(3 * k, " ".join(text)), (3 * k + 1, " ".join([*text, "more"])), (3 * k + 2, " ".join(text[1:]))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+
+    def noted(df, name):
+        out = found(df, name)
+        files[name] = max(files.get(name, 0), len(out.inputFiles()))
+        return out
+
+    found = neardup.materialize
+    monkeypatch.setattr(neardup, "materialize", noted)
+    monkeypatch.setattr(simhash, "materialize", noted)
+    settings = {"spark.sql.shuffle.partitions": "24", "spark.sql.adaptive.coalescePartitions.enabled": "false"}
+    before = {k: spark.conf.get(k) for k in settings}
+    try:
+        for k, v in settings.items():
+            spark.conf.set(k, v)
+        assert sorted(r.doc_id for r in STAGE(spark, docs, "").collect()) == list(range(0, 120, 3))
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+    small = {"least", "variants", "edges", "able", "tried", "untried", "links", "roots", "mixed", "crossing"}
+    assert small <= set(files) and all(files[k] == 1 for k in small), files

@@ -41,8 +41,10 @@ HASH_BITS = 48
 SALTED = 4096
 #: Pairs of texts that a task verifies, at least.
 PAIRS_A_TASK = 256
-#: Bytes of text that are hashed together.
-CHUNK = 4 << 20
+#: Texts that a pair names and a task writes, a few MB of them.
+TEXTS_A_TASK = 1 << 12
+#: Bytes of text that are hashed together; each takes some 50 bytes meanwhile.
+CHUNK = 1 << 18
 
 #: ASCII letters to lower case, white space to blanks.
 FOLD = bytes(32 if c in b"\t\n\v\f\r" else c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -101,6 +103,7 @@ def shingle_hashes(texts: list[bytes], words: int = WORDS) -> tuple[np.ndarray,
             of.append(text[at])
             hashes.append(mixed(whole) >> np.uint64(64 - HASH_BITS))
     of, hashes = np.concatenate(of), np.concatenate(hashes)
+    del raw, start, h, text
     order = np.lexsort((hashes, of))
     of, hashes = of[order], hashes[order]
     new = np.append(True, (of[1:] != of[:-1]) | (hashes[1:] != hashes[:-1]))[: len(of)]
@@ -233,13 +236,16 @@ def prefixes(texts: DataFrame, threshold: float) -> DataFrame:
     batches = texts.select("node", "text").mapInArrow(pack, "batch long, blob binary")
     sent = texts.select("node", "text").mapInArrow(send, "bucket long, batch long, blob binary")
     replies = sent.groupBy("bucket").applyInArrow(counted, "batch long, bucket long, classes binary")
-    return batches.groupBy("batch").cogroup(replies.groupBy("batch")).applyInArrow(resolve, "shingle long, node string, place long, n long, own long")
+    made = batches.groupBy("batch").cogroup(replies.groupBy("batch")).applyInArrow(resolve, "shingle long, node string, place long, n long, own long")
+    return in_few_tasks(made, size, 4 * batch_bytes)
 
 
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
     """The pairs (a, b), a table, whose texts reach the threshold. Only texts that a pair names are moved."""
     named = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
-    few = materialize(texts.join(named, "node", "left_semi"), "near-texts")
+    n_pairs = pairs.count()
+    # moved once more, as a scan of all texts must keep its tasks
+    few = materialize(texts.join(named, "node", "left_semi").repartition(max(1, -(-2 * n_pairs // TEXTS_A_TASK))), "near-texts")
     side = lambda c: few.select(F.col("node").alias(c), F.col("text").alias(f"text_{c}"))
     both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "text_a", "text_b")
 
@@ -249,7 +255,7 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
             good = [similarity(x, y) >= threshold for x, y in zip(a, b, strict=True)]
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    return in_few_tasks(both, pairs.count(), PAIRS_A_TASK).mapInArrow(run, "a string, b string")
+    return in_few_tasks(both, n_pairs, PAIRS_A_TASK).mapInArrow(run, "a string, b string")
 
 
 def linked(texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:

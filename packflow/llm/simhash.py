@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from packflow.llm.common import NULL_ID, id_or_last, in_few_tasks, materialize, sliced, text_bytes
+from packflow.llm.common import NULL_ID, id_or_last, in_few_tasks, materialize, sliced, small_batches, text_bytes
 
 #: Up to so many fingerprints of one variant are compared pair by pair.
 PAIR_GROUP = 64
@@ -182,8 +182,9 @@ def keep_least(df: DataFrame, roots_of: Callable[[DataFrame], DataFrame], id_col
     text = lambda c: F.coalesce(F.col(c).cast("string"), F.lit(""))
     row = F.struct(*(F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(df.columns)))
     named = df.select(F.md5(text(f"`{text_col}`").cast("binary")).alias("node"), id_or_last(id_col).alias("key"), row.alias("row"))
-    one = materialize(named.groupBy("node").agg(F.min("key").alias("key"), F.min_by("row", "key").alias("row")), "distinct")
-    roots = materialize(roots_of(one.select("node", text(f"row.c{df.columns.index(text_col)}").alias("text"))), "roots")
+    with small_batches(df.sparkSession):
+        one = materialize(named.groupBy("node").agg(F.min("key").alias("key"), F.min_by("row", "key").alias("row")), "distinct")
+        roots = materialize(roots_of(one.select("node", text(f"row.c{df.columns.index(text_col)}").alias("text"))), "roots")
     best = roots.join(one.select("node", "key"), "node").groupBy("root").agg(F.min(F.struct("key", "node")).alias("best")).select("best.node")
     dropped = roots.select("node").join(best, "node", "left_anti")
     return one.join(dropped, "node", "left_anti").select(*(F.col(f"row.c{i}").alias(c) for i, c in enumerate(df.columns)))

@@ -6,7 +6,7 @@ import random
 import pytest
 
 import corpus_pipeline
-from packflow.llm import neardup, simhash
+from packflow.llm import common, neardup, simhash
 
 STAGE = dict(corpus_pipeline.STAGES)["simhash_dedup"]
 
@@ -129,3 +129,56 @@ def test_small_steps_write_few_files(spark, monkeypatch):
             spark.conf.set(k, v)
     small = {"least", "variants", "edges", "able", "tried", "untried", "links", "roots", "mixed", "crossing"}
     assert small <= set(files) and all(files[k] == 1 for k in small), files
+
+
+def test_hashing_takes_memory_in_proportion_to_the_text(monkeypatch):
+    """Batches of texts are hashed in pieces: whole-batch arrays of powers and sums took 32 bytes a byte of text."""
+    import tracemalloc
+
+    import numpy as np
+
+    r = random.Random(11)
+    words = [f"w{k}" for k in range(30_000)]
+    texts = [" ".join(r.choices(words, k=600)).encode() for _ in range(1200)]
+    monkeypatch.setattr(neardup, "_powers", [np.ones(1, np.uint64), np.ones(1, np.uint64)])
+    tracemalloc.start()
+    try:
+        neardup.shingle_hashes(texts)
+        peak = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert peak < 18 * sum(map(len, texts)), peak
+
+
+def test_texts_that_pairs_name_are_written_by_few_tasks(spark):
+    """The scan keeps its tasks, and what it finds is put together: a file, without checksum file or mark beside it."""
+    from pathlib import Path
+
+    texts = common.materialize(spark.range(40).selectExpr("cast(id as string) node", "concat('a b c d e ', id % 2) text").repartition(12), "texts")
+    pairs = common.materialize(spark.createDataFrame([(str(k), str(k + 1 + k % 4 // 2)) for k in range(0, 38, 2)], "a string, b string"), "pairs")
+    made, old = [], neardup.materialize
+    try:
+        neardup.materialize = lambda df, name: made.append(old(df, name)) or made[-1]
+        got = neardup.verified(pairs, texts, 0.8).collect()
+    finally:
+        neardup.materialize = old
+    assert {(r.a, r.b) for r in got} == {(str(k), str(k + 2)) for k in range(2, 38, 4)}
+    (file,) = made[0].inputFiles()
+    assert [p.name for p in Path(file.removeprefix("file://")).parent.iterdir()] == [Path(file).name]
+
+
+def test_arrow_batches_of_the_stage_are_bounded(spark):
+    """Both sides of a Python step hold a batch; inside the stage one is of some MB, afterwards Spark's bound is back."""
+    import pyarrow as pa
+
+    def sizes(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.nbytes])], names=["n"])
+
+    rows, before = spark.range(0, 6000, 1, 1).selectExpr("id", "repeat('abcd', 1000) text"), spark.conf.get(common.ARROW_CONF)
+    with common.small_batches(spark):
+        inside = [r.n for r in rows.mapInArrow(sizes, "n long").collect()]
+    assert max(inside) < 1.1 * common.ARROW_BYTES and sum(inside) > 6000 * 4000
+    seen = []
+    simhash.keep_least(rows, lambda t: seen.append(spark.conf.get(common.ARROW_CONF)) or t.selectExpr("node", "node root"), "id").count()
+    assert seen == [str(common.ARROW_BYTES)] and spark.conf.get(common.ARROW_CONF) == before
